@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from .common import table
 from .decontam import find_contamination, hit_count
+from .licenses import scan_licences
 from .urlfilter import Rule, judge_urls
 
 URL_RULES = [
@@ -24,6 +25,20 @@ def op4_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_urls(pages, URL_RULES).drop("url")
 
 
+def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = scan_licences(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return found.select(
+        "doc_id",
+        "n_words",
+        F.col("n_places").alias("n_base"),
+        "first_word",
+        "last_word",
+        F.array_join("phrase_labels", ",").alias("base_labels"),
+        F.array_join("labels", ",").alias("labels"),
+        F.col("coverage").alias("score"),
+    )
+
+
 def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     found = find_contamination(docs, table(spark, sf_dir, "benchmark"))
@@ -40,6 +55,7 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_url_filter": op4_url_filter,
+    "op5_license_scan": op5_license_scan,
     "op8_decontamination": op8_decontamination,
 }
 
