@@ -7,8 +7,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import id_remainder, table
 from .decontam import find_contamination, hit_count
+from .langid import fit_profiles, predict_language
 from .licenses import scan_licences
 from .urlfilter import Rule, judge_urls
 
@@ -53,10 +54,19 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    held = F.coalesce(id_remainder(F.col("doc_id"), 4) == 2, F.lit(False))
+    profiles = fit_profiles(docs.where(~held))
+    found = predict_language(docs.select("doc_id", "text"), profiles)
+    return found.select("doc_id", held.alias("held_out"), "lang_pred", "score")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_url_filter": op4_url_filter,
     "op5_license_scan": op5_license_scan,
     "op8_decontamination": op8_decontamination,
+    "op9_language_id": op9_language_id,
 }
 
 _ALNUM = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
