@@ -79,6 +79,8 @@ class Words:
     hash: np.ndarray
     #: word ``bounds[r] .. bounds[r+1]-1`` belong to row r
     bounds: np.ndarray
+    #: running polynomial sum over the slice's bytes, for hashes of parts of words
+    running: np.ndarray
 
     @property
     def counts(self) -> np.ndarray:
@@ -88,6 +90,15 @@ class Words:
     def row(self) -> np.ndarray:
         return np.repeat(np.arange(len(self.bounds) - 1), self.counts)
 
+    def prefix_hash(self, size: int) -> tuple[np.ndarray, np.ndarray]:
+        """(word, hash of its first ``size`` bytes) for the words longer than that."""
+        word = np.flatnonzero(self.end - self.start > size)
+        start = self.start[word]
+        if not len(word):
+            return word, np.empty(0, np.uint64)
+        with np.errstate(over="ignore"):
+            return word, mix((self.running[start + size] - self.running[start]) * _powers.down[start] + np.uint64(size))
+
 
 def slices(column: pa.Array | pa.ChunkedArray, limit: int = SLICE_BYTES) -> Iterator[Slice]:
     """Slices of a string column; null counts as empty text."""
@@ -130,7 +141,7 @@ def scan(part: Slice, word_bytes: np.ndarray, lower: bool = True, hashed: bool =
         if len(cuts):
             start, end = np.sort(np.r_[start, cuts]), np.sort(np.r_[end, cuts])
     bounds = np.searchsorted(start, part.offsets)
-    h = np.empty(0, np.uint64)
+    h = total = np.empty(0, np.uint64)
     if hashed and len(start):
         up, down = _powers.upto(n + 1)
         total = np.empty(n + 1, np.uint64)
@@ -138,7 +149,7 @@ def scan(part: Slice, word_bytes: np.ndarray, lower: bool = True, hashed: bool =
         with np.errstate(over="ignore"):
             np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[:n], dtype=np.uint64, out=total[1:])
             h = mix((total[end] - total[start]) * down[start])
-    return Words(start, end, h, bounds)
+    return Words(start, end, h, bounds, total)
 
 
 def word_hash(word: str) -> int:

@@ -11,6 +11,7 @@ from .common import id_remainder, table
 from .decontam import find_contamination, hit_count
 from .langid import fit_profiles, predict_language
 from .licenses import scan_licences
+from .toxicity import fit_toxicity, score_toxicity
 from .urlfilter import Rule, judge_urls
 
 URL_RULES = [
@@ -21,6 +22,13 @@ URL_RULES = [
 ]
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    held = F.coalesce(id_remainder(F.col("doc_id"), 3) == 1, F.lit(False))
+    model = fit_toxicity(docs, table(spark, sf_dir, "labels"), ~held)
+    return score_toxicity(docs, model).select("doc_id", held.alias("held_out"), "score", "predicted")
+
+
 def op4_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
     return judge_urls(pages, URL_RULES).drop("url")
@@ -63,6 +71,7 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_toxicity": op1_toxicity,
     "op4_url_filter": op4_url_filter,
     "op5_license_scan": op5_license_scan,
     "op8_decontamination": op8_decontamination,
