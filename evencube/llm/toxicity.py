@@ -63,29 +63,36 @@ def features(part: bytescan.Slice) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(rows), key.astype(np.int64)
 
 
+def _present(part: bytescan.Slice) -> tuple[np.ndarray, np.ndarray]:
+    """``features`` without repeats in a row, by row."""
+    row, key = features(part)
+    pair = np.unique(row << BITS | key)
+    return pair >> BITS, pair & ((1 << BITS) - 1)
+
+
 def _sigmoid(x: np.ndarray | float) -> np.ndarray | float:
     return 1 / (1 + np.exp(-np.clip(x, -35, 35)))
 
 
 def train(texts: pa.Array, labels: np.ndarray, how: Ftrl) -> tuple[np.ndarray, np.ndarray, float]:
     """(features, weights, bias): the non-zero weights after the passes over the texts in their order."""
-    rows, keys = [], []
+    held = np.zeros(1 << BITS, np.int32)
+    for part in bytescan.slices(texts):
+        held += np.bincount(_present(part)[1], minlength=1 << BITS).astype(np.int32)
+    key = np.flatnonzero(held >= how.min_texts)
+    place = np.full(1 << BITS, -1, np.int32)
+    place[key] = np.arange(len(key))
+    rows, places = [np.empty(0, np.int32)], [np.empty(0, np.int32)]
     for part in bytescan.slices(texts):
-        row, key = features(part)
-        pair = np.unique((row + part.first) << BITS | key)
-        rows.append(pair >> BITS)
-        keys.append(pair & ((1 << BITS) - 1))
-    row = np.concatenate(rows) if rows else np.empty(0, np.int64)
-    key, at, held = np.unique(np.concatenate(keys) if keys else row, return_inverse=True, return_counts=True)
-    common = np.flatnonzero(held >= how.min_texts)
-    new = np.full(len(key), -1, np.int64)
-    new[common] = np.arange(len(common))
-    at = new[at]
-    row, at = row[at >= 0], at[at >= 0]
+        row, found = _present(part)
+        common = place[found] >= 0
+        rows.append((row[common] + part.first).astype(np.int32))
+        places.append(place[found[common]])
+    row, at = np.concatenate(rows), np.concatenate(places)
     bounds = np.searchsorted(row, np.arange(len(labels) + 1))
     # the last coordinate is the bias, free of L1
-    z, n = np.zeros(len(common) + 1), np.zeros(len(common) + 1)
-    l1 = np.r_[np.full(len(common), how.l1), 0.0]
+    z, n = np.zeros(len(key) + 1), np.zeros(len(key) + 1)
+    l1 = np.r_[np.full(len(key), how.l1), 0.0]
 
     def weight(i: np.ndarray) -> np.ndarray:
         zi = z[i]
@@ -93,15 +100,15 @@ def train(texts: pa.Array, labels: np.ndarray, how: Ftrl) -> tuple[np.ndarray, n
 
     for _ in range(how.epochs):
         for r, label in enumerate(labels.tolist()):
-            i = np.r_[at[bounds[r] : bounds[r + 1]], len(common)]
+            i = np.r_[at[bounds[r] : bounds[r + 1]], len(key)]
             w = weight(i)
             g = float(_sigmoid(w.sum())) - label
             sigma = (np.sqrt(n[i] + g * g) - np.sqrt(n[i])) / how.alpha
             z[i] += g - sigma * w
             n[i] += g * g
-    w = weight(np.arange(len(common) + 1))
+    w = weight(np.arange(len(key) + 1))
     used = np.flatnonzero(w[:-1])
-    return key[common][used], w[used], float(w[-1])
+    return key[used], w[used], float(w[-1])
 
 
 @dataclass
