@@ -14,6 +14,7 @@ from .langid import fit_profiles, predict_language
 from .licenses import scan_licences
 from .packing import pack
 from .tokencount import count_tokens
+from .topk import scaled_vectors, top_products
 from .toxicity import fit_toxicity, score_toxicity
 from .urlfilter import Rule, judge_urls
 
@@ -32,6 +33,11 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_toxicity(docs, model).select("doc_id", held.alias("held_out"), "score", "predicted")
 
 
+def op2_top_products(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = scaled_vectors(table(spark, sf_dir, "embeddings"))
+    return top_products(vectors, F.col("vec_id") % 20 == 0, k=20)
+
+
 def op4_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
     return judge_urls(pages, URL_RULES).drop("url")
@@ -85,6 +91,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_toxicity": op1_toxicity,
+    "op2_top_products": op2_top_products,
     "op4_url_filter": op4_url_filter,
     "op5_license_scan": op5_license_scan,
     "op7_token_counts": op7_token_counts,
@@ -97,6 +104,19 @@ _ALNUM = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 _LOWER = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'"
 
 ORACLE_SQL: dict[str, str] = {
+    "op2_top_products": """
+        WITH v AS (
+            SELECT vec_id, [CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT) FOR x IN embedding] AS c FROM embeddings
+            WHERE vec_id IS NOT NULL AND len(embedding) > 0
+              AND len([x FOR x IN embedding IF x IS NULL OR NOT isfinite(x)]) = 0
+        ), s AS (
+            SELECT q.vec_id AS query_id, v.vec_id,
+                   CAST(list_sum([p[1] * p[2] FOR p IN list_zip(q.c, v.c)]) AS BIGINT) AS score
+            FROM (SELECT DISTINCT * FROM v WHERE vec_id % 20 = 0) q JOIN v ON q.vec_id <> v.vec_id AND len(q.c) = len(v.c)
+        ), r AS (
+            SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score FROM s
+        )
+        SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 20""",
     "op4_url_filter": f"""
         WITH cut AS (
             SELECT page_id, CASE WHEN url LIKE '%://%' THEN substr(url, strpos(url, '://') + 3) END AS rest FROM pages
