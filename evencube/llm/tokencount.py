@@ -66,10 +66,11 @@ class SegmentCounter:
 
     def compile(self, segments: Iterable[str]) -> None:
         """Annotate the transitions of segments not met before."""
+        segments = set(segments)
         new = [s for s in segments if s not in self.arcs]
         if len(self.arcs) + len(new) > MAX_ARCS:
             self.arcs.clear()
-            new = list(dict.fromkeys(new))
+            new = list(segments)
         spelled = [s[1:].replace(SPACE, " ") if s[:1] == SPACE else s for s in new]
         for key, ids in zip(new, self.model.encode(spelled, num_threads=1)):
             # the library puts its own blank before each; only a line end's segment has none
