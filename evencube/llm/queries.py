@@ -12,6 +12,7 @@ from .common import id_remainder, table
 from .decontam import find_contamination, hit_count
 from .langid import fit_profiles, predict_language
 from .licenses import scan_licences
+from .neardup import near_duplicates
 from .packing import pack
 from .tokencount import count_tokens
 from .topk import scaled_vectors, top_products
@@ -38,6 +39,10 @@ def op2_top_products(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_products(vectors, F.col("vec_id") % 20 == 0, k=20)
 
 
+def op3_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(table(spark, sf_dir, "documents"), words=3, percent=85)
+
+
 def op4_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
     return judge_urls(pages, URL_RULES).drop("url")
@@ -92,6 +97,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_toxicity": op1_toxicity,
     "op2_top_products": op2_top_products,
+    "op3_near_duplicates": op3_near_duplicates,
     "op4_url_filter": op4_url_filter,
     "op5_license_scan": op5_license_scan,
     "op7_token_counts": op7_token_counts,
