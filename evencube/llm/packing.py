@@ -12,12 +12,16 @@ packed again.
 
 from __future__ import annotations
 
+import functools
 import heapq
+import itertools
+import re
 import zlib
 from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -31,18 +35,25 @@ PIECE = 1024
 #: Windows of a group that one task packs.
 GROUP_WINDOWS = 512
 
-#: Words whose ids are kept per task; beyond it they are forgotten and encoded anew.
-MAX_WORDS = 400_000
+#: Distinct pieces whose ids are kept per worker process; beyond it they are forgotten and encoded anew.
+MAX_KEPT = 700_000
 
-#: Rows whose new words are encoded together, and their most characters.
-BATCH_ROWS, BATCH_CHARS = 1_000, 4 << 20
+#: Most rows and bytes of text that are encoded together.
+BATCH_ROWS, BATCH_BYTES = 1_000, 4 << 20
 
+#: Texts of these characters only (ASCII, letters of Latin-1 and Latin Extended-A) are cut as the vocabulary's own rule cuts them.
+PLAIN = re.compile("[\t\n\r -~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u017f]*")
 
-class WordEncoder:
-    """Ids of texts by a tokenizers file whose tokens never run over a blank or line end.
+#: Fixed value: the rule, for lower-cased plain texts.
+PLAIN_PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00df-\u00f6\u00f8-\u017f]+|[0-9]|[!-/:-@\[-`{-~]+")
 
-    Ids come from the library itself, once per distinct word; a text's ids are
-    its words' ids in order. Fits vocabularies that drop white space.
+
+class PieceEncoder:
+    """Ids of texts by a tokenizers file whose merges stay inside pieces and which drops white space.
+
+    The library gives the ids of every distinct piece once; a text's ids are
+    its pieces' ids in order. Plain texts are cut to words, single digits and
+    runs of signs, others only at blanks and line ends.
     """
 
     def __init__(self, tokenizer_file: str) -> None:
@@ -51,29 +62,45 @@ class WordEncoder:
         self.tokenizer = Tokenizer.from_file(tokenizer_file)
         self.tokenizer.no_padding()
         self.tokenizer.no_truncation()
-        probe = self.tokenizer.encode("ab  \n cd", add_special_tokens=False).ids
-        if probe != [i for w in ("ab", "cd") for i in self.tokenizer.encode(w, add_special_tokens=False).ids]:
+        self.special = [str(t) for t in self.tokenizer.get_added_tokens_decoder().values()]
+        probe = "Ab  c'll_d9.\n 12\u00c4\u00df'x!'s"
+        self.plain = self._ids([probe])[0] == self._ids(["".join(w) for w in PLAIN_PIECES.findall(probe.lower())], joined=True)
+        if self._ids(["ab  \n cd"])[0] != self._ids(["ab", "cd"], joined=True):
             raise ValueError("tokens of this vocabulary depend on white space")
-        self.ids: dict[str, bytes] = {}
-
-    def learn(self, words: set[str]) -> None:
-        new = [w for w in words if w not in self.ids]
-        if len(self.ids) + len(new) > MAX_WORDS:
-            self.ids.clear()
-            new = list(words)
-        encode = self.tokenizer.encode_batch_fast
+        self.kept: dict[str, bytes] = {}
+
+    def _ids(self, texts: Sequence[str], joined: bool = False) -> list:
+        found = [list(e.ids) for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
+        return [i for ids in found for i in ids] if joined else found
+
+    def _learn(self, pieces: set[str]) -> None:
+        new = [p for p in pieces if p not in self.kept]
+        if len(self.kept) + len(new) > MAX_KEPT:
+            self.kept.clear()
+            new = list(pieces)
         for k in range(0, len(new), 10_000):
             part = new[k : k + 10_000]
-            for word, found in zip(part, encode(part, add_special_tokens=False)):
-                self.ids[word] = np.array(found.ids, "<u4").tobytes()
+            found = [e.ids for e in self.tokenizer.encode_batch_fast(part, add_special_tokens=False)]
+            raw = np.fromiter(itertools.chain.from_iterable(found), "<u4").tobytes()
+            ends = list(itertools.accumulate(map(len, found), initial=0))
+            self.kept.update(zip(part, (raw[4 * a : 4 * b] for a, b in zip(ends, ends[1:]))))
+
+    def _cut(self, text: str) -> list[str]:
+        if self.plain and PLAIN.fullmatch(text) and not any(t in text for t in self.special):
+            return PLAIN_PIECES.findall(text.lower())
+        return text.replace("\n", " ").split(" ")
 
     def encode(self, texts: Sequence[str]) -> list[bytes]:
         """Little-endian 32-bit ids of every text."""
-        split = [t.replace("\n", " ").split(" ") for t in texts]
-        met: set[str] = set()
-        met.update(*split)
-        self.learn(met)
-        return [b"".join(map(self.ids.__getitem__, words)) for words in split]
+        cut = [self._cut(t) for t in texts]
+        self._learn(set().union(*cut))
+        return [b"".join(map(self.kept.__getitem__, pieces)) for pieces in cut]
+
+
+@functools.lru_cache(maxsize=2)
+def _encoder(tokenizer_file: str) -> PieceEncoder:
+    """One encoder per worker process and file, so that tasks share what it has learnt."""
+    return PieceEncoder(tokenizer_file)
 
 
 def cuts(total: int, window: int = WINDOW, piece: int = PIECE) -> list[tuple[int, int]]:
@@ -93,12 +120,12 @@ def cut_documents(docs: DataFrame, tokenizer_file: str, end_id: int, window: int
     """(doc_id, start, length, ids_crc32, doc_tokens) of every piece of every document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, end = WordEncoder(tokenizer_file), np.array([end_id], "<u4").tobytes()
+        encoder, end = _encoder(tokenizer_file), np.array([end_id], "<u4").tobytes()
         for batch in batches:
-            sizes = np.cumsum([0, *(len(t) if t else 0 for t in batch.column(1).to_pylist())])
+            sizes = np.cumsum([0, *pc.fill_null(pc.binary_length(batch.column(1)), 0).to_pylist()])
             row = 0
             while row < batch.num_rows:
-                stop = min(row + BATCH_ROWS, max(row + 1, int(np.searchsorted(sizes, sizes[row] + BATCH_CHARS, "right")) - 1), batch.num_rows)
+                stop = min(row + BATCH_ROWS, max(row + 1, int(np.searchsorted(sizes, sizes[row] + BATCH_BYTES, "right")) - 1), batch.num_rows)
                 part = batch.slice(row, stop - row)
                 which, start, length, crc, tokens = [], [], [], [], []
                 for r, ids in enumerate(encoder.encode([t or "" for t in part.column(1).to_pylist()])):
@@ -165,7 +192,7 @@ def pack_group(sizes: Sequence[int], capacity: int) -> np.ndarray:
         window, fullest = difference(sizes, k)
         if fullest <= capacity:
             return window
-        k += max(1, k * (fullest - capacity) // (4 * capacity))
+        k += max(1, -(-k * (fullest - capacity) // (2 * capacity)))
 
 
 def pack(docs: DataFrame, tokenizer_file: str, end_id: int = 2, window: int = WINDOW, piece: int = PIECE, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
