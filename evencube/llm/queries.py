@@ -14,6 +14,7 @@ from .langid import fit_profiles, predict_language
 from .licenses import scan_licences
 from .neardup import near_duplicates
 from .packing import pack
+from .quality import fit_quality, score_quality
 from .tokencount import count_tokens
 from .topk import scaled_vectors, top_products
 from .toxicity import fit_toxicity, score_toxicity
@@ -62,6 +63,12 @@ def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "lang", "text")
+    model = fit_quality(docs, table(spark, sf_dir, "labels"))
+    return score_quality(docs, model).select("doc_id", "lang", "symbols", "perplexity", "score", "kept")
+
+
 def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return count_tokens(docs, public_tokenizers.path("piece_bpe_32k.model")).drop("text")
@@ -100,6 +107,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_near_duplicates": op3_near_duplicates,
     "op4_url_filter": op4_url_filter,
     "op5_license_scan": op5_license_scan,
+    "op6_quality": op6_quality,
     "op7_token_counts": op7_token_counts,
     "op8_decontamination": op8_decontamination,
     "op9_language_id": op9_language_id,
