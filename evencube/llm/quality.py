@@ -41,7 +41,7 @@ MAX_LANGUAGES, MIN_TEXTS = 64, 20
 PRIOR_SYMBOLS = 150
 
 #: Width of the kept range in interquartile ranges beyond the quartiles.
-REACH = 8.0
+REACH = 10.0
 
 #: Most labelled ids that are broadcast to find trusted texts; more are joined by shuffle.
 MAX_BROADCAST_IDS = 2_000_000
