@@ -14,7 +14,7 @@ from __future__ import annotations
 
 import functools
 import heapq
-import itertools
+import json
 import re
 import zlib
 from collections.abc import Iterator, Sequence
@@ -68,6 +68,11 @@ class PieceEncoder:
         if self._ids(["ab  \n cd"])[0] != self._ids(["ab", "cd"], joined=True):
             raise ValueError("tokens of this vocabulary depend on white space")
         self.kept: dict[str, bytes] = {}
+        # ids that close a piece, where the vocabulary marks them
+        suffix = json.loads(self.tokenizer.to_str())["model"].get("end_of_word_suffix")
+        vocabulary = self.tokenizer.get_vocab()
+        self.closes = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.closes[[i for token, i in vocabulary.items() if suffix and token.endswith(suffix)]] = True
 
     def _ids(self, texts: Sequence[str], joined: bool = False) -> list:
         found = [list(e.ids) for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
@@ -78,12 +83,26 @@ class PieceEncoder:
         if len(self.kept) + len(new) > MAX_KEPT:
             self.kept.clear()
             new = list(pieces)
-        for k in range(0, len(new), 10_000):
-            part = new[k : k + 10_000]
-            found = [e.ids for e in self.tokenizer.encode_batch_fast(part, add_special_tokens=False)]
-            raw = np.fromiter(itertools.chain.from_iterable(found), "<u4").tobytes()
-            ends = list(itertools.accumulate(map(len, found), initial=0))
-            self.kept.update(zip(part, (raw[4 * a : 4 * b] for a, b in zip(ends, ends[1:]))))
+        plain = [p for p in new if self.plain and PLAIN_PIECES.fullmatch(p)]
+        for k in range(0, len(plain), 100):
+            if not self._learn_line(plain[k : k + 100]):
+                self._learn_each(plain[k : k + 100])
+        met = set(plain)
+        self._learn_each([p for p in new if p not in met])
+
+    def _learn_line(self, part: list[str]) -> bool:
+        """Ids of many plain pieces from one encoding, told apart by closing ids; false where these do not fit."""
+        ids = np.array(self.tokenizer.encode_batch_fast([" ".join(part)], add_special_tokens=False)[0].ids, "<u4")
+        ends = np.flatnonzero(self.closes[ids]) + 1
+        if len(ends) != len(part) or ends[-1] != len(ids):
+            return False
+        raw, cuts_ = ids.tobytes(), [0, *(4 * ends).tolist()]
+        self.kept.update(zip(part, (raw[a:b] for a, b in zip(cuts_, cuts_[1:]))))
+        return True
+
+    def _learn_each(self, part: list[str]) -> None:
+        found = [e.ids for e in self.tokenizer.encode_batch_fast(part, add_special_tokens=False)]
+        self.kept.update((p, np.array(ids, "<u4").tobytes()) for p, ids in zip(part, found))
 
     def _cut(self, text: str) -> list[str]:
         if self.plain and PLAIN.fullmatch(text) and not any(t in text for t in self.special):
