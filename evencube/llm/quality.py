@@ -92,10 +92,10 @@ def _discounts(counts: DataFrame) -> DataFrame:
     """(lang, d1, d2, d3): modified Kneser-Ney discounts from how many grams have counts 1 to 4."""
     many = [F.sum((F.col("n") == k).cast("double")).alias(f"t{k}") for k in (1, 2, 3, 4)]
     c = counts.groupBy("lang").agg(*many)
-    y = F.col("t1") / (F.col("t1") + 2 * F.col("t2"))
+    y = F.try_divide(F.col("t1"), F.col("t1") + 2 * F.col("t2"))
 
     def d(k: int) -> Column:
-        raw = k - (k + 1) * y * F.col(f"t{k + 1}") / F.col(f"t{k}")
+        raw = k - (k + 1) * y * F.try_divide(F.col(f"t{k + 1}"), F.col(f"t{k}"))
         # too few grams to tell: the usual absolute discount
         return F.when((F.col("t1") > 0) & (F.col(f"t{k}") > 0) & (raw > 0) & (raw < k), raw).otherwise(F.lit(0.6 + 0.3 * (k - 1)))
 
