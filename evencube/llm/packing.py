@@ -25,7 +25,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable
+from .common import durable, release
 
 WINDOW = 4096
 
@@ -159,6 +159,7 @@ def cut_documents(docs: DataFrame, tokenizer_file: str, end_id: int, window: int
                 columns = [part.column(0).take(pa.array(which, pa.int64())), *(pa.array(c, pa.int64()) for c in (start, length, crc, tokens))]
                 yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
                 row = stop
+        release()
 
     kind = docs.schema[doc_id].dataType.simpleString()
     source = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))

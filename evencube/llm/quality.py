@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bytescan
-from .common import durable
+from .common import durable, release
 
 BITS = 7
 SYMBOLS = 1 << BITS
@@ -261,5 +261,7 @@ def score_quality(docs: DataFrame, model: QualityModel, text: str = "text", lang
             score = np.where(np.isfinite(edge) & (size > 0), score, 1.0)
             columns = [pa.array(used, pa.string()), pa.array(loss), pa.array(size), pa.array(perplexity, mask=size == 0), pa.array(score), pa.array(kept)]
             yield pa.RecordBatch.from_arrays([*batch.columns, *columns], names=[*names, *new])
+        del work
+        release()
 
     return source.mapInArrow(run, schema)

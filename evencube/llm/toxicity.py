@@ -19,13 +19,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bytescan
-from .common import map_text
+from .common import map_text, release
 
 #: Hash range of features; also bounds the model at 2**BITS weights.
 BITS = 22
 
 #: Most labelled rows that a fit uses: those with the smallest hash of their id.
-MAX_TRAIN_ROWS = 12_000
+MAX_TRAIN_ROWS = 8_000
 
 #: Bytes of the stems that count as features beside whole words.
 STEMS = (4, 5, 6, 7)
@@ -39,7 +39,7 @@ class Ftrl:
     beta: float = 1.0
     l1: float = 8.0
     l2: float = 0.2
-    epochs: int = 8
+    epochs: int = 5
     #: texts of the sample that must hold a feature before it gets a coordinate
     min_texts: int = 8
 
@@ -77,19 +77,22 @@ def _sigmoid(x: np.ndarray | float) -> np.ndarray | float:
 def train(texts: pa.Array, labels: np.ndarray, how: Ftrl) -> tuple[np.ndarray, np.ndarray, float]:
     """(features, weights, bias): the non-zero weights after the passes over the texts in their order."""
     held = np.zeros(1 << BITS, np.int32)
+    parts = []
     for part in bytescan.slices(texts):
-        held += np.bincount(_present(part)[1], minlength=1 << BITS).astype(np.int32)
+        row, found = _present(part)
+        np.add.at(held, found, 1)
+        parts.append((row.astype(np.int32), found.astype(np.int32), len(part)))
     key = np.flatnonzero(held >= how.min_texts)
     place = np.full(1 << BITS, -1, np.int32)
     place[key] = np.arange(len(key))
-    rows, places = [np.empty(0, np.int32)], [np.empty(0, np.int32)]
-    for part in bytescan.slices(texts):
-        row, found = _present(part)
-        common = place[found] >= 0
-        rows.append((row[common] + part.first).astype(np.int32))
-        places.append(place[found[common]])
-    row, at = np.concatenate(rows), np.concatenate(places)
-    bounds = np.searchsorted(row, np.arange(len(labels) + 1))
+    sizes, places = [np.zeros(1, np.int64)], [np.empty(0, np.int32)]
+    while parts:
+        row, found, n_rows = parts.pop(0)
+        at = place[found]
+        sizes.append(np.bincount(row[at >= 0], minlength=n_rows))
+        places.append(at[at >= 0])
+    bounds, at = np.cumsum(np.concatenate(sizes)), np.concatenate(places)
+    del held, place, places
     # the last coordinate is the bias, free of L1
     z, n = np.zeros(len(key) + 1), np.zeros(len(key) + 1)
     l1 = np.r_[np.full(len(key), how.l1), 0.0]
@@ -162,7 +165,10 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, allowed: Column | None = No
         if not rows:
             return
         whole = pa.Table.from_batches(rows)
+        rows.clear()
         key, weight, bias = train(whole["text"], whole["toxic"].to_numpy().astype(float), how)
+        del whole
+        release()
         yield pa.RecordBatch.from_arrays([pa.array(np.r_[-1, key], pa.int64()), pa.array(np.r_[bias, weight], pa.float64())], names=["key", "weight"])
 
     found = sample.mapInArrow(run, "key long, weight double").toArrow()
