@@ -192,12 +192,13 @@ def grid_latin(spark: SparkSession, k: int, n: int, seed: int = 0) -> DataFrame:
 
 def padded_grid(spark: SparkSession, count: int, blocks: Sequence[int], latin: bool = False, seed: int = 0) -> DataFrame:
     """Grid designs of the given block sizes, glued column by column under keyed row orders; no join."""
-    axes = []
+    axes, cells = [], {}
     for b, size in enumerate(blocks):
         k = planner.integer_root(count, size)
         if k**size != count:
             raise ValueError(f"{count} points do not fill a grid of {size} dimensions")
-        cell = rng.permute(F.col("id"), count, seed, 100 + b)
+        cells[f"cell{b}"] = rng.permute(F.col("id"), count, seed, 100 + b)
+        cell = F.col(f"cell{b}")
         for d in range(size):
             u = rng.uniform(seed, "jitter", F.col("id"), b, d)
             if latin:
@@ -205,7 +206,7 @@ def padded_grid(spark: SparkSession, count: int, blocks: Sequence[int], latin: b
                 axes.append((bin_ + u) / F.lit(float(count)))
             else:
                 axes.append((F.pmod(F.floor(cell / k**d), F.lit(k)) + u) / F.lit(float(k)))
-    return _frame(spark, count, axes)
+    return spark.range(count).withColumns(cells).select(F.col("id").alias("point_id"), F.array(*axes).alias("x"))
 
 
 def padded_designs(parts: Sequence[DataFrame], count: int, seed: int = 0) -> DataFrame:

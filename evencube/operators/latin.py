@@ -212,7 +212,7 @@ def match_bins(strata: DataFrame, count: int, init: str = "random_greedy", seed:
 
 
 def latin_np(lo: np.ndarray, hi: np.ndarray, how: str, *key: int) -> np.ndarray:
-    """Points of a Latin design over the strata: ``cog`` bins in centre order, else ``match_axis`` from that start."""
+    """Points of a Latin design over the strata: ``cog`` bins in centre order, else ``match_axis`` from that start (``cog_matched``: from centre order)."""
     count, n = lo.shape
     out = np.empty_like(lo)
     for d in range(n):
@@ -222,7 +222,7 @@ def latin_np(lo: np.ndarray, hi: np.ndarray, how: str, *key: int) -> np.ndarray:
             bins = np.empty(count, np.int64)
             bins[order] = np.arange(count)
         else:
-            bins = match_axis(lo[:, d], hi[:, d], count, 0, how, *key, d)
+            bins = match_axis(lo[:, d], hi[:, d], count, 0, how.removesuffix("_matched"), *key, d)
         low, high = np.maximum(lo[:, d], bins / count), np.minimum(hi[:, d], (bins + 1) / count)
         miss = high - low <= EDGE / count
         low, high = np.where(miss, lo[:, d], low), np.where(miss, hi[:, d], high)

@@ -11,6 +11,7 @@ from __future__ import annotations
 from collections.abc import Iterator, Sequence
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -74,12 +75,98 @@ def leaf_box(leaf: Column, count: int, n: int, avoid_odd: bool = True, mode: str
     return _descent(count, n, avoid_odd, mode, seed, low, high, lambda s, axis, cut, share: leaf < s.off + share)
 
 
+#: Leaves up to which a point's way down is compiled into nested comparisons, and up to which the tree travels as literal arrays.
+CASE_LEAVES, TREE_LEAVES = 256, 20_000
+
+
+def split_tree(count: int, n: int, avoid_odd: bool, mode: str, seed: int, lo: list[float], hi: list[float]) -> tuple[list[int], list[float], list[int], list[int]]:
+    """(axis, cut, below, above) per inner node, root first; children are inner node numbers or ``-1 - leaf``."""
+    axis, cut, below, above = [], [], [], []
+    todo = [(0, count, lo, hi, -1, False)]
+    while todo:
+        off, cnt, low, high, parent, upper = todo.pop()
+        name = len(axis) if cnt > 1 else -1 - off
+        if parent >= 0:
+            (above if upper else below)[parent] = name
+        if cnt == 1:
+            continue
+        share = counts.smaller_share(cnt, avoid_odd)
+        sides = [h - v for v, h in zip(low, high)]
+        tied = [k for k, side in enumerate(sides) if side >= max(sides) * (1 - counts.TIE)]
+        d = tied[0]
+        if mode == "keyed":
+            share = share if rng.uniform_py(seed, "swap", off, cnt) < 0.5 else cnt - share
+            d = tied[int(rng.uniform_py(seed, "axis", off, cnt) * len(tied))]
+        at = low[d] + sides[d] * float(share) / float(cnt)
+        axis.append(d)
+        cut.append(at)
+        below.append(0)
+        above.append(0)
+        left_high, right_low = [*high[:d], at, *high[d + 1 :]], [*low[:d], at, *low[d + 1 :]]
+        todo += [(off + share, cnt - share, right_low, high, name, True), (off, share, low, left_high, name, False)]
+    return axis, cut, below, above
+
+
+def descend_np(x: np.ndarray, count: int, n: int, avoid_odd: bool, lo: list[float], hi: list[float]) -> np.ndarray:
+    """Stratum of every point in fixed mode, level by level for all points at once."""
+    low, high = np.tile(lo, (len(x), 1)), np.tile(hi, (len(x), 1))
+    cnt, off, row = np.full(len(x), count), np.zeros(len(x), np.int64), np.arange(len(x))
+    while (cnt > 1).any():
+        sides = high - low
+        axis = (sides >= sides.max(axis=1, keepdims=True) * (1 - counts.TIE)).argmax(axis=1)
+        share = counts.smaller_share_np(cnt, avoid_odd)
+        cut = low[row, axis] + sides[row, axis] * share / cnt
+        open_ = cnt > 1
+        left = open_ & (x[row, axis] < cut)
+        right = open_ & ~left
+        high[row[left], axis[left]] = cut[left]
+        low[row[right], axis[right]] = cut[right]
+        off = np.where(right, off + share, off)
+        cnt = np.where(left, share, np.where(right, cnt - share, cnt))
+    return off
+
+
 def stratum_of(x: Column, count: int, n: int, avoid_odd: bool = True, mode: str = "fixed", seed: int = 0, lo=None, hi=None) -> Column:
-    """Stratum number of a point (array column); a cut belongs to the upper side, points outside to the nearest edge's box. Null point: null."""
+    """Stratum number of a point (array column); a cut belongs to the upper side, points outside to the nearest edge's box.
+
+    Null points and points with a null or not-a-number coordinate get null.
+    Small trees become nested comparisons inside generated code, middling ones
+    lookups in literal arrays, large fixed ones a vectorised descent.
+    """
     _check(count, n, mode)
     low, high = _bounds(n, lo, hi)
+    known = x.isNotNull() & ~F.exists(x, lambda v: v.isNull() | F.isnan(v))
+    if count == 1:
+        return F.when(known, F.lit(0).cast("long"))
+    if count <= TREE_LEAVES:
+        axis, cut, below, above = split_tree(count, n, avoid_odd, mode, seed, low, high)
+        if count <= CASE_LEAVES:
+
+            def branch(node: int) -> Column:
+                if node < 0:
+                    return F.lit(-1 - node).cast("long")
+                return F.when(F.element_at(x, axis[node] + 1) < cut[node], branch(below[node])).otherwise(branch(above[node]))
+
+            return F.when(known, branch(0))
+        literal = lambda v, kind: F.lit(np.array(v, kind).tolist())
+        axes, cuts, lows, highs = literal(axis, int), literal(cut, float), literal(below, int), literal(above, int)
+        at = lambda a, k: F.element_at(a, (k + 1).cast("int"))
+        step = lambda node, _: F.when(node < 0, node).otherwise(F.when(F.element_at(x, at(axes, node) + 1) < at(cuts, node), at(lows, node)).otherwise(at(highs, node)).cast("long"))
+        levels = F.sequence(F.lit(1), F.lit(counts.depth(count, avoid_odd)))
+        return F.when(known, -1 - F.aggregate(levels, F.lit(0).cast("long"), step))
+    if mode == "fixed":
+
+        @F.pandas_udf("long")
+        def descend(points: pd.Series) -> pd.Series:
+            full = points.map(lambda v: v is not None and len(v) == n and bool(np.isfinite(v).all()))
+            out = pd.Series(pd.array([None] * len(points), "Int64"), index=points.index)
+            if full.any():
+                out[full] = descend_np(np.stack(points[full].to_numpy()), count, n, avoid_odd, low, high)
+            return out
+
+        return F.when(known, descend(F.when(known, x)))
     found = _descent(count, n, avoid_odd, mode, seed, low, high, lambda s, axis, cut, share: F.element_at(x, axis.cast("int")) < cut)
-    return F.when(x.isNotNull() & ~F.exists(x, lambda v: v.isNull() | F.isnan(v)), found.off)
+    return F.when(known, found.off)
 
 
 def expand_np(count: np.ndarray, off: np.ndarray, lo: np.ndarray, hi: np.ndarray, avoid_odd: bool, mode: str, seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -89,8 +89,13 @@ def permute(i: Column, n: int, seed: int, dim: int = 0) -> Column:
         return F.shiftleft(done.l, bits).bitwiseOR(done.r)
 
     steps = F.sequence(F.lit(1), F.lit(MOST_STEPS))
-    walked = F.aggregate(steps, once(i.cast("long")), lambda v, _: F.when(v >= n, once(v)).otherwise(v))
-    return F.when(walked < n, walked).otherwise(F.raise_error(F.lit("the walk did not return")).cast("long"))
+    # the check sits in the finish, so that the walk is written once in the plan
+    return F.aggregate(
+        steps,
+        once(i.cast("long")),
+        lambda v, _: F.when(v >= n, once(v)).otherwise(v),
+        lambda v: F.when(v < n, v).otherwise(F.raise_error(F.lit("the walk did not return")).cast("long")),
+    )
 
 
 def permute_np(i: np.ndarray, n: int, seed: int, dim: int = 0) -> np.ndarray:
