@@ -22,6 +22,18 @@ def release() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+#: Rows of an Arrow batch of texts; a batch is held several times over, in the JVM and in Python.
+BATCH_ROWS = 1_000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Lowers the session's Arrow batch size (a run-time setting) to ``BATCH_ROWS``, never raises it."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(key, "10000"))
+    if now <= 0 or now > BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def durable(df: DataFrame) -> DataFrame:
     """``df`` with its lineage cut by a reliable checkpoint in the folder of ``spark.checkpoint.dir``.
 
@@ -57,6 +69,7 @@ def map_text(
     array to one array per field. An input column with a result's name is
     replaced, as in ``withColumn``; the text column itself is kept.
     """
+    small_batches(df.sparkSession)
     names = {f.name for f in fields}
     if text in names:
         raise ValueError(f"result column {text!r} would replace the text")

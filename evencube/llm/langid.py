@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bytescan
-from .common import map_text
+from .common import map_text, small_batches
 
 DIMENSIONS, SEED = 8192, 20_011
 
@@ -157,6 +157,7 @@ def count_trigrams(docs: DataFrame, text: str, lang: str) -> DataFrame:
             code = np.flatnonzero(n)
             yield pa.RecordBatch.from_arrays([pa.array([name] * len(code), pa.string()), pa.array(code, pa.int32()), pa.array(n[code], pa.int64())], names=["lang", "code", "n"])
 
+    small_batches(docs.sparkSession)
     each = docs.select(F.col(lang).cast("string").alias("lang"), F.col(text).alias("text")).where("lang is not null")
     return each.mapInArrow(run, "lang string, code int, n long").groupBy("lang", "code").agg(F.sum("n").alias("n"))
 

@@ -25,7 +25,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, release
+from .common import durable, release, small_batches
 
 WINDOW = 4096
 
@@ -161,6 +161,7 @@ def cut_documents(docs: DataFrame, tokenizer_file: str, end_id: int, window: int
                 row = stop
         release()
 
+    small_batches(docs.sparkSession)
     kind = docs.schema[doc_id].dataType.simpleString()
     source = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
     return source.mapInArrow(run, f"doc_id {kind}, start long, length long, ids_crc32 long, doc_tokens long")

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bytescan
-from .common import durable, release
+from .common import durable, release, small_batches
 
 BITS = 7
 SYMBOLS = 1 << BITS
@@ -63,29 +63,29 @@ def codes(part: bytescan.Slice) -> np.ndarray:
 def count_trigrams(trusted: DataFrame, text: str = "text", lang: str = "lang") -> DataFrame:
     """(lang, gram, n) over whole texts, by language and over all of them; each task sends its sums."""
 
+    small_batches(trusted.sparkSession)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[str, np.ndarray] = {}
-
-        def add(name: str, found: np.ndarray) -> None:
-            got = np.bincount(found, minlength=SYMBOLS**3)
-            total[name] = total[name] + got if name in total else got
-
         for batch in batches:
             names = batch.column(0).dictionary_encode()
             which = names.indices.to_numpy(zero_copy_only=False)
             for part in bytescan.slices(batch.column(1)):
                 found = codes(part)
                 of = np.repeat(which[part.first : part.first + len(part)], np.diff(part.offsets))
-                add(ANY, found)
                 for k in np.unique(of).tolist():
-                    if name := names.dictionary[int(k)].as_py():
-                        add(name, found[of == k])
+                    name = names.dictionary[int(k)].as_py()
+                    if name not in total:
+                        total[name] = np.zeros(SYMBOLS**3, np.int64)
+                    np.add.at(total[name], found[of == k], 1)
         for name, n in total.items():
             gram = np.flatnonzero(n)
             yield pa.RecordBatch.from_arrays([pa.array([name] * len(gram), pa.string()), pa.array(gram, pa.int32()), pa.array(n[gram], pa.int64())], names=["lang", "gram", "n"])
 
     source = trusted.select(F.coalesce(F.col(lang).cast("string"), F.lit(ANY)).alias("lang"), F.col(text).alias("text"))
-    return source.mapInArrow(run, "lang string, gram int, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
+    sent = source.mapInArrow(run, "lang string, gram int, n long")
+    both = F.explode(F.array_distinct(F.array(F.col("lang"), F.lit(ANY)))).alias("lang")
+    return sent.select(both, "gram", "n").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
 
 
 def _discounts(counts: DataFrame) -> DataFrame:
@@ -238,6 +238,7 @@ def score_quality(docs: DataFrame, model: QualityModel, text: str = "text", lang
     its limits or beyond. Columns of those names are replaced; repeated rows
     score alike; an empty table gives an empty result; documents never move.
     """
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
     new = ["model", "loss", "symbols", "perplexity", "score", "kept"]
     kinds = [T.StringType(), T.DoubleType(), T.LongType(), T.DoubleType(), T.DoubleType(), T.BooleanType()]

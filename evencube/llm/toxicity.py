@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bytescan
-from .common import map_text, release
+from .common import map_text, release, small_batches
 
 #: Hash range of features; also bounds the model at 2**BITS weights.
 BITS = 22
@@ -147,6 +147,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, allowed: Column | None = No
     executor repeats the same result. Without any labelled text the model is
     neutral (score 0.5).
     """
+    small_batches(docs.sparkSession)
     rank = F.xxhash64("doc_id")
     known = labels.where("toxic is not null and doc_id is not null")
     if allowed is not None:
