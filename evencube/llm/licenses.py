@@ -202,8 +202,9 @@ def chain(passages: list[tuple[int, int, int, int]], sizes: Sequence[int]) -> di
         # a later passage starts no earlier than this, so other chains are out of reach for good
         near = [c for c in open_chains.get(template, ()) if c[2] >= end - sizes[template] - MAX_GAP]
         for covered, first, last, upto in near:
-            start, fresh = end - size + 1, min(at - upto, end - last)
-            if start - last - 1 <= MAX_GAP and 0 < fresh <= size and covered + fresh > grown[0]:
+            # words that overlap the chain, in text or template, count once
+            start, fresh = end - size + 1, min(size, at - upto, end - last)
+            if start - last - 1 <= MAX_GAP and fresh > 0 and covered + fresh > grown[0]:
                 grown = (covered + fresh, first, end, at)
         open_chains[template] = [*near, grown]
         share = (min(1.0, grown[0] / sizes[template]), grown[1], grown[2])

@@ -207,7 +207,9 @@ def fit_quality(docs: DataFrame, labels: DataFrame) -> QualityModel:
     for name in sorted(set(lang.tolist())):
         at = {k: (lang == name) & (kind == k) for k in ("p1", "p2", "p3", "r1", "r2", "r3")}
         model.rows[name] = {k: (code[m], value[m]) for k, m in at.items()}
-    model.limits = _limits(score_quality(chosen, model))
+    # the model of all languages has limits of its own, for texts of other languages
+    every = _limits(score_quality(chosen.withColumn("lang", F.lit(None).cast("string")), model))
+    model.limits = every | _limits(score_quality(chosen, model))
     return model
 
 
