@@ -26,8 +26,8 @@ from .graph import components
 #: Minhashes of a half key; chance that a pair at the threshold shares no table.
 HASHES, MISS = 3, 2e-4
 
-#: Classes of a block that one side of a tile holds.
-TILE = 128
+#: Classes of a block that one side of a tile holds, and the most for blocks of over TILE * TILE classes.
+TILE, LARGE_TILE = 128, 1024
 
 SEED = 0x5EED_0F_5E75
 
@@ -181,7 +181,9 @@ def _table_edges(classes: DataFrame) -> DataFrame:
 def _block_links(source: DataFrame, blocks: DataFrame, classes: DataFrame, words: int, percent: int) -> DataFrame:
     """(a, b) links between classes of one block, from whole sets, tile by tile."""
     members = blocks.select(F.col("node").alias("rep"), F.col("component").alias("block"))
-    parts = members.groupBy("block").agg(F.ceil(F.count("*") / TILE).cast("int").alias("parts"))
+    size = F.count("*")
+    count = F.greatest(F.least(F.ceil(size / TILE), F.lit(TILE)), F.ceil(size / LARGE_TILE))
+    parts = members.groupBy("block").agg(count.cast("int").alias("parts"))
     placed = members.join(parts, "block").withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
     texts = source.join(placed.withColumnRenamed("rep", "doc_id"), "doc_id")
     sets = map_text(texts, "text", [T.StructField("set", T.BinaryType())], lambda: set_bytes(words)).drop("text")
