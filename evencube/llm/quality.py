@@ -106,7 +106,8 @@ def _order(counts: DataFrame, lower: DataFrame | None) -> tuple[DataFrame, DataF
     """((lang, gram, p), (lang, context, rest)) of one order: interpolated probabilities and the mass left to lower orders."""
     discounts = _discounts(counts)
     share = F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
-    cut = counts.join(discounts, "lang").withColumn("cut", F.least(share, F.col("n").cast("double"))).drop("d1", "d2", "d3")
+    # one row per model: at most MAX_LANGUAGES and the one of all languages
+    cut = counts.join(F.broadcast(discounts), "lang").withColumn("cut", F.least(share, F.col("n").cast("double"))).drop("d1", "d2", "d3")
     cut = cut.withColumn("context", F.shiftright("gram", BITS))
     contexts = cut.groupBy("lang", "context").agg(F.sum("n").alias("total"), F.sum("cut").alias("mass"))
     contexts = contexts.withColumn("rest", F.col("mass") / F.col("total"))
