@@ -189,13 +189,34 @@ def match_axis(lo: np.ndarray, hi: np.ndarray, count: int, start: int, init: str
     return augmenting_matching(first, last, wish, start)
 
 
+#: Bins of a range whose running sums one task works out.
+BIN_RANGE = 4096
+
+
 def components(rows: DataFrame, count: int) -> DataFrame:
-    """``rows`` (dim, lo, hi, ...) with comp: runs of bins that no box's overlap leaves; each has as many boxes as bins."""
-    w = Window.partitionBy("dim").orderBy("bin_lo", "bin_hi", "stratum_id")
-    runs = rows.withColumn("bin_lo", F.floor(F.col("lo") * count + EDGE)).withColumn("bin_hi", F.ceil(F.col("hi") * count - EDGE) - 1)
-    reach = F.max("bin_hi").over(w.rowsBetween(Window.unboundedPreceding, -1))
-    fresh = runs.withColumn("new", F.when(F.coalesce(reach, F.lit(-1)) < F.col("bin_lo"), F.col("bin_lo")))
-    return fresh.withColumn("comp", F.last("new", ignorenulls=True).over(w.rowsBetween(Window.unboundedPreceding, 0))).drop("bin_lo", "bin_hi", "new")
+    """``rows`` (dim, lo, hi, ...) with comp, the first bin of the run of bins that no box straddles out of.
+
+    Each component has as many boxes as bins. Boxes that straddle a bin's lower
+    edge are counted by running sums inside bin ranges, offset by the ranges
+    before, so no task sees a whole axis.
+    """
+    first = F.floor(F.col("lo") * count + EDGE).cast("long")
+    last = F.greatest(F.ceil(F.col("hi") * count - EDGE).cast("long") - 1, first)
+    runs = rows.withColumn("first_", first).withColumn("last_", last)
+    # an edge below bin b is straddled by the boxes with first < b <= last
+    change = runs.select("dim", F.explode(F.array(F.struct((F.col("first_") + 1).alias("bin"), F.lit(1).alias("d")), F.struct((F.col("last_") + 1).alias("bin"), F.lit(-1).alias("d")))).alias("c"))
+    grid = rows.select("dim").distinct().withColumn("bin", F.explode(F.sequence(F.lit(0), F.lit(count - 1)))).select("dim", F.col("bin").cast("long"), F.lit(0).alias("d"))
+    steps = change.select("dim", "c.bin", "c.d").unionByName(grid).groupBy("dim", "bin").agg(F.sum("d").alias("d")).withColumn("range_", F.floor(F.col("bin") / BIN_RANGE))
+    sums = steps.groupBy("dim", "range_").agg(F.sum("d").alias("total"))
+    before = F.coalesce(F.sum("total").over(Window.partitionBy("dim").orderBy("range_").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    inside = Window.partitionBy("dim", "range_").orderBy("bin")
+    straddled = steps.withColumn("s_", F.sum("d").over(inside)).join(F.broadcast(sums.select("dim", "range_", before.alias("before"))), ["dim", "range_"])
+    cut = straddled.withColumn("cut", F.when(F.col("s_") + F.col("before") == 0, F.col("bin")))
+    lasts = cut.groupBy("dim", "range_").agg(F.max("cut").alias("m"))
+    carried = lasts.select("dim", "range_", F.max("m").over(Window.partitionBy("dim").orderBy("range_").rowsBetween(Window.unboundedPreceding, -1)).alias("carried"))
+    starts = cut.withColumn("own", F.max("cut").over(inside)).join(F.broadcast(carried), ["dim", "range_"])
+    starts = starts.select("dim", F.col("bin").alias("first_"), F.coalesce("own", "carried").alias("comp"))
+    return runs.join(starts, ["dim", "first_"]).drop("first_", "last_")
 
 
 def match_bins(strata: DataFrame, count: int, init: str = "random_greedy", seed: int = 0) -> DataFrame:
