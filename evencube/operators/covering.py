@@ -143,37 +143,50 @@ def covering_exact_2d(x: np.ndarray) -> float:
     return float(np.sqrt(worst))
 
 
+#: Vertices that are solved for at once.
+SOLVE = 20_000
+
+
+def _cell_radius_sq(x: np.ndarray, i: int, near: list[int]) -> float:
+    """Squared distance from point i to the farthest vertex of its cell, cut by the bisectors with ``near`` and the cube's faces."""
+    from itertools import combinations, islice
+
+    n = x.shape[1]
+    normals = np.concatenate([x[near] - x[i], -np.eye(n), np.eye(n)])
+    limits = np.r_[(x[near] ** 2).sum(axis=1) / 2 - (x[i] @ x[i]) / 2, np.zeros(n), np.ones(n)]
+    picks, worst = combinations(range(len(normals)), n), 0.0
+    while block := list(islice(picks, SOLVE)):
+        at = np.array(block)
+        m = normals[at]
+        good = np.abs(np.linalg.det(m)) > 1e-12
+        if not good.any():
+            continue
+        p = np.linalg.solve(m[good], limits[at[good]][..., None])[..., 0]
+        inside = (p @ normals.T <= limits + 1e-9).all(axis=1)
+        if inside.any():
+            worst = max(worst, float(((p[inside] - x[i]) ** 2).sum(axis=1).max()))
+    return worst
+
+
 def covering_exact_nd(x: np.ndarray) -> float:
-    """Exact radius in the unit cube for small sets: largest empty ball centred at a vertex of the bisectors and faces.
+    """Exact radius in the unit cube: the farthest vertex of any point's cell.
 
-    Vertices are intersections of n planes among bisectors of near points and
-    faces; with c near points that is a choice of n out of c, so keep n <= 3.
+    A cell is cut by its nearest points; more are taken until the next one is
+    too far to cut it. Vertices are intersections of n planes, so this is meant
+    for up to five axes and some hundred points; two axes are clipped instead.
     """
-    from itertools import combinations
-
     n, worst = x.shape[1], 0.0
     if n == 2:
         return covering_exact_2d(x)
-    faces = [(np.eye(n)[d], v) for d in range(n) for v in (0.0, 1.0)]
     for i in range(len(x)):
         d2 = ((x - x[i]) ** 2).sum(axis=1)
-        near = [j for j in np.argsort(d2) if d2[j] > 0]
-        size, value = min(len(near), 12), 0.0
+        near = [j for j in np.argsort(d2, kind="stable").tolist() if d2[j] > 0]
+        size = min(len(near), 4 * n)
         while True:
-            planes = [(x[j] - x[i], float((x[j] @ x[j] - x[i] @ x[i]) / 2)) for j in near[:size]] + faces
-            a, b = np.array([p for p, _ in planes]), np.array([v for _, v in planes])
-            value = 0.0
-            for pick in combinations(range(len(planes)), n):
-                m = a[list(pick)]
-                if abs(np.linalg.det(m)) < 1e-12:
-                    continue
-                p = np.linalg.solve(m, b[list(pick)])
-                if (p < -1e-9).any() or (p > 1 + 1e-9).any() or (a[:size] @ p > b[:size] + 1e-9).any():
-                    continue
-                value = max(value, float(((p - x[i]) ** 2).sum()))
+            value = _cell_radius_sq(x, i, near[:size])
             if size == len(near) or d2[near[size]] > 4 * value:
                 break
-            size = min(len(near), 2 * size)
+            size = min(len(near), size + 2 * n)
         worst = max(worst, value)
     return float(np.sqrt(worst))
 

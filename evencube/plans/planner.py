@@ -12,7 +12,7 @@ BROADCAST_STRATA = 20_000
 EXACT_PAIRS = 200_000
 
 #: Dimensions up to which the exact covering radius is worked out, and its most points.
-EXACT_COVER_DIMS, EXACT_COVER_POINTS = 2, 20_000
+EXACT_COVER_DIMS, EXACT_COVER_POINTS = 3, 2_000
 
 
 def integer_root(count: int, dims: int) -> int:

@@ -135,8 +135,8 @@ MEASURED = ("srs", "lhs", "radinv", "power_lattice", "power_lattice_latin", "gri
 
 def measures_np(x: np.ndarray, probes: int, tries: int, *key: int) -> dict[str, float]:
     n = x.shape[1]
-    out = {"discrepancy": math.sqrt(max(0.0, discrepancy.discrepancy_np(x))), "lower": covering.lower_np(x, probes, *key), "upper": fitted.fitted_upper_np(x, tries, *key)}
-    if n <= planner.EXACT_COVER_DIMS:
+    out = {"discrepancy": math.sqrt(max(0.0, discrepancy.discrepancy_of(x))), "lower": covering.lower_np(x, probes, *key), "upper": fitted.fitted_upper_np(x, tries, *key)}
+    if planner.covering_method(len(x), n) == "exact":
         out["exact"] = covering.covering_exact_nd(x)
     return out
 
@@ -171,7 +171,7 @@ def discrepancy_sweep(spark: SparkSession, dims: Sequence[int], sizes: Sequence[
 
     def work(method: str, n: int, c: int, rep: int) -> list[tuple]:
         x = make_design(method, c, n, tables[n, c], SEED, 4, n, c, rep)
-        return [(method, n, c, math.sqrt(max(0.0, discrepancy.discrepancy_np(x))))]
+        return [(method, n, c, math.sqrt(max(0.0, discrepancy.discrepancy_of(x))))]
 
     rows = replicate(spark, jobs, "method string, n int, count int, rep int", work, "method string, n int, count int, value double")
     named = rows.withColumnRenamed("n", "dims").withColumnRenamed("count", "size")

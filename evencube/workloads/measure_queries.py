@@ -93,6 +93,23 @@ def discrepancy_boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return discrepancy.discrepancy_boxes(points, 2, 200, seed=6).select("boxes", rounded("discrepancy_sq", 10).alias("discrepancy_sq"))
 
 
+_PAIR = product_sql([f"(1 - greatest(a.x{d}, b.x{d})) * least(a.x{d}, b.x{d})" for d in (1, 2)])
+
+
+@query(
+    "discrepancy_by_group",
+    f"""WITH p AS ({cloud_sql('part', 'p_partkey', ['p_size', 'p_retailprice'])}), g AS (SELECT p_partkey % 5 AS grp, x1, x2 FROM p JOIN part ON point_id = p_partkey),
+    n AS (SELECT grp, CAST(count(*) AS DOUBLE) AS n, sum(x1 * (1 - x1) * x2 * (1 - x2)) AS s FROM g GROUP BY grp),
+    q AS (SELECT a.grp, sum({_PAIR}) AS t FROM g a JOIN g b ON a.grp = b.grp GROUP BY a.grp)
+    SELECT grp, round(t / (n * n) - s / (2 * n) + 1.0 / 144, 10) AS discrepancy_sq FROM n JOIN q USING (grp)""",
+)
+def discrepancy_by_group(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ..functions.udafs import discrepancy_agg
+
+    points = cloud(spark, sf_dir, "part", "p_partkey", {"size": F.col("p_size"), "price": F.col("p_retailprice")})
+    return points.groupBy((F.col("point_id") % 5).alias("grp")).agg(discrepancy_agg(F.col("x")).alias("d")).select("grp", F.round("d", 10).alias("discrepancy_sq"))
+
+
 @query("expected_discrepancy", "SELECT CAST(c AS BIGINT) AS count, CAST(d AS INTEGER) AS dims, round(pow(6.0, -d) * (1 - pow(2.0, -d)) / c * pow(12.0, d), 8) AS scaled FROM (VALUES (100), (4900)) a(c), (VALUES (2), (5), (10)) b(d)")
 def expected_discrepancy(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = [(c, d, discrepancy.expected_sq(c, d) * 12.0**d) for c in (100, 4900) for d in (2, 5, 10)]

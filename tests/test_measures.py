@@ -36,6 +36,42 @@ def test_tiles_give_the_closed_form(spark, monkeypatch):
     assert row["count"] == 150 and row.discrepancy_sq == pytest.approx(discrepancy.discrepancy_np(x), rel=1e-9)
 
 
+@settings(max_examples=40, deadline=None)
+@given(st.integers(1, 300), st.integers(1, 4), st.integers(0, 30), st.booleans())
+def test_divide_and_conquer_agrees(count, n, seed, tied):
+    x = np.random.default_rng(seed).random((count, n))
+    x = np.round(x, 1) if tied else x
+    assert discrepancy.discrepancy_dc_np(x) == pytest.approx(discrepancy.discrepancy_np(x), rel=1e-8, abs=1e-12)
+
+
+def test_discrepancy_in_sql(spark):
+    from evencube.functions import udafs
+
+    udafs.register(spark)
+    x = np.random.default_rng(3).random((60, 2))
+    frame(spark, x).createOrReplaceTempView("cloud")
+    rows = spark.sql("SELECT point_id % 2 AS g, discrepancy(x) AS d FROM cloud GROUP BY point_id % 2").collect()
+    assert {r.g: pytest.approx(r.d) for r in rows} == {g: discrepancy.discrepancy_np(x[g::2]) for g in (0, 1)}
+
+
+def test_gap_is_bounded_by_the_modulus_of_continuity():
+    """A Lipschitz function's best sampled value misses its minimum by at most its constant times the covering radius."""
+    for seed in range(5):
+        lo, hi = strata.bsplit_np(50, 2, mode="keyed", seed=seed)
+        x = (lo + hi) / 2
+        best = np.random.default_rng(seed).random(2)
+        gap = np.sqrt(((x - best) ** 2).sum(axis=1)).min()
+        assert gap <= covering.covering_exact_2d(x) + 1e-12
+
+
+def test_exact_radius_in_higher_dimensions():
+    lo, hi = strata.grid_np(2, 4)
+    assert covering.covering_exact_nd((lo + hi) / 2) == pytest.approx(2 / 4)
+    x = np.random.default_rng(2).random((10, 5))
+    exact = covering.covering_exact_nd(x)
+    assert covering.lower_np(x, 20_000, 1) <= exact + 1e-9 <= fitted.fitted_upper_np(x, 3, 1) + 1e-6
+
+
 def test_sampled_boxes_estimate_the_integral(spark):
     x = np.random.default_rng(1).random((40, 2))
     row = discrepancy.discrepancy_boxes(frame(spark, x), 2, 6000, seed=1).first()
@@ -255,4 +291,4 @@ def test_median_ranks_cover():
 
 def test_planner():
     assert planner.integer_root(125, 3) == 5 and planner.integer_root(124, 3) == 4 and planner.integer_root(10**12, 3) == 10_000
-    assert planner.discrepancy_method(10**9, 3) == "boxes" and planner.covering_method(100, 5) == "bounds" and planner.strata_engine(10**9) == "subtree"
+    assert planner.discrepancy_method(10**9, 3) == "boxes" and planner.covering_method(100, 5) == "bounds" and planner.covering_method(100, 3) == "exact" and planner.strata_engine(10**9) == "subtree"
