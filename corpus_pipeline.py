@@ -25,29 +25,43 @@ from evencube.llm.toxicity import fit_toxicity, score_toxicity
 ORACLE_SQL = None
 
 
+#: Columns that the operators add; documents may have columns of these names too.
+ADDED = {"score", "predicted", "model", "loss", "symbols", "perplexity", "kept", "n_words", "hit_spans", "item_ids"}
+
+
+def _apart(docs: DataFrame) -> DataFrame:
+    """``docs`` with columns that an operator would replace put under other names."""
+    return docs.withColumnsRenamed({c: f"__own_{c}" for c in docs.columns if c.lower() in ADDED})
+
+
+def _back(judged: DataFrame, docs: DataFrame) -> DataFrame:
+    """The columns of ``docs`` from rows judged under ``_apart``'s names."""
+    return judged.select(*[F.col(f"`__own_{c}`" if c.lower() in ADDED else f"`{c}`").alias(c) for c in docs.columns])
+
+
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity model, fitted on the labelled ones, does not predict toxic."""
     model = fit_toxicity(docs, table(spark, sf_dir, "labels"))
-    return score_toxicity(docs, model).where("predicted = 0").select(*docs.columns)
+    return _back(score_toxicity(_apart(docs), model).where("predicted = 0"), docs)
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose perplexity lies within their language's limits."""
     model = fit_quality(docs, table(spark, sf_dir, "labels"))
-    return score_quality(docs, model).where("kept").select(*docs.columns)
+    return _back(score_quality(_apart(docs), model).where("kept"), docs)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near duplicates (five words, 0.8) the document with the smallest id."""
     found = near_duplicates(docs, words=5, percent=80)
     dropped = found.where("not kept and doc_id is not null").select("doc_id").distinct()
-    return docs.join(dropped, "doc_id", "left_anti").select(*docs.columns)
+    return docs.join(dropped, "doc_id", "left_anti").select(*[f"`{c}`" for c in docs.columns])
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a passage of the benchmark."""
-    found = find_contamination(docs, table(spark, sf_dir, "benchmark"))
-    return found.where(F.size("hit_spans") == 0).select(*docs.columns)
+    found = find_contamination(_apart(docs), table(spark, sf_dir, "benchmark"))
+    return _back(found.where(F.size("hit_spans") == 0), docs)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

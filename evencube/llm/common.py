@@ -59,31 +59,34 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def map_text(
     df: DataFrame,
-    text: str,
+    text: str | Sequence[str],
     fields: Sequence[T.StructField],
-    make: Callable[[], Callable[[pa.Array], list[pa.Array]]],
+    make: Callable[[], Callable[..., list[pa.Array]]],
 ) -> DataFrame:
-    """Append columns computed from a text column, batch by batch, keeping rows and other columns.
+    """Append columns computed from text columns, batch by batch, keeping rows and other columns.
 
-    ``make`` is called once per task and returns the function from a string
-    array to one array per field. An input column with a result's name is
-    replaced, as in ``withColumn``; the text column itself is kept.
+    ``make`` is called once per task and returns the function from one array per
+    column in ``text`` to one array per field. An input column with a result's
+    name (as Spark tells names apart) is replaced, as in ``withColumn``; the
+    columns in ``text`` are kept.
     """
     small_batches(df.sparkSession)
-    names = {f.name for f in fields}
-    if text in names:
-        raise ValueError(f"result column {text!r} would replace the text")
-    kept = [f.name for f in df.schema.fields if f.name not in names]
-    source = df.select(*[f"`{n}`" for n in kept])
+    inputs = [text] if isinstance(text, str) else list(text)
+    names = {f.name.lower() for f in fields}
+    if names & {c.lower() for c in inputs}:
+        raise ValueError("a result column would replace its input")
+    kept = [f.name for f in df.schema.fields if f.name.lower() not in names]
+    # plain names inside, as Python stages cannot take names with dots
+    source = df.select(*[F.col(f"`{n}`").alias(f"c{k}") for k, n in enumerate(kept)])
+    out_names, at = [*source.columns, *(f.name for f in fields)], [kept.index(c) for c in inputs]
     schema = T.StructType([*source.schema.fields, *fields])
-    out_names, at = [*kept, *(f.name for f in fields)], kept.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         work = make()
         for batch in batches:
             if batch.num_rows:
-                yield pa.RecordBatch.from_arrays([*batch.columns, *work(batch.column(at))], names=out_names)
+                yield pa.RecordBatch.from_arrays([*batch.columns, *work(*(batch.column(k) for k in at))], names=out_names)
         del work
         release()
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(run, schema).toDF(*kept, *(f.name for f in fields))

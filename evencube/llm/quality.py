@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bytescan
-from .common import durable, release, small_batches
+from .common import durable, map_text, small_batches
 
 BITS = 7
 SYMBOLS = 1 << BITS
@@ -241,20 +241,16 @@ def score_quality(docs: DataFrame, model: QualityModel, text: str = "text", lang
     its limits or beyond. Columns of those names are replaced; repeated rows
     score alike; an empty table gives an empty result; documents never move.
     """
-    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    new = ["model", "loss", "symbols", "perplexity", "score", "kept"]
-    kinds = [T.StringType(), T.DoubleType(), T.LongType(), T.DoubleType(), T.DoubleType(), T.BooleanType()]
-    source = docs.drop(*new)
-    names = source.columns
-    schema = T.StructType([*source.schema.fields, *(T.StructField(n, k) for n, k in zip(new, kinds))])
-    text_at, lang_at = names.index(text), names.index(lang)
+    new = ("model", "loss", "symbols", "perplexity", "score", "kept")
+    kinds = (T.StringType(), T.DoubleType(), T.LongType(), T.DoubleType(), T.DoubleType(), T.BooleanType())
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def make() -> Callable[[pa.Array, pa.Array], list[pa.Array]]:
         model = shared.value
-        work = model.scorer()
-        for batch in batches:
-            loss, size, used = work(batch.column(text_at), batch.column(lang_at).cast(pa.string()))
+        sums = model.scorer()
+
+        def work(texts: pa.Array, langs: pa.Array) -> list[pa.Array]:
+            loss, size, used = sums(texts, langs.cast(pa.string()))
             limits = np.array([model.limits.get(n, (0.0, -np.inf, np.inf)) for n in used]).reshape(-1, 3)
             steady = (loss + PRIOR_SYMBOLS * limits[:, 0]) / (size + PRIOR_SYMBOLS)
             kept = (steady >= limits[:, 1]) & (steady <= limits[:, 2]) | (size == 0)
@@ -263,9 +259,8 @@ def score_quality(docs: DataFrame, model: QualityModel, text: str = "text", lang
                 score = np.clip(1 - (steady - limits[:, 0]) / edge, 0, 1)
                 perplexity = np.exp(loss / size)
             score = np.where(np.isfinite(edge) & (size > 0), score, 1.0)
-            columns = [pa.array(used, pa.string()), pa.array(loss), pa.array(size), pa.array(perplexity, mask=size == 0), pa.array(score), pa.array(kept)]
-            yield pa.RecordBatch.from_arrays([*batch.columns, *columns], names=[*names, *new])
-        del work
-        release()
+            return [pa.array(used, pa.string()), pa.array(loss), pa.array(size), pa.array(perplexity, mask=size == 0), pa.array(score), pa.array(kept)]
+
+        return work
 
-    return source.mapInArrow(run, schema)
+    return map_text(docs, [text, lang], [T.StructField(n, k) for n, k in zip(new, kinds)], make)

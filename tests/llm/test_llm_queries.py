@@ -169,3 +169,27 @@ def test_pipeline_on_an_empty_table(spark, small, tmp_path):
     for t in ("documents", "labels", "benchmark"):
         spark.read.parquet(f"{small}/{t}.parquet").limit(0).coalesce(1).write.parquet(str(tmp_path / f"{t}.parquet"))
     assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+
+
+def test_pipeline_keeps_columns_of_clashing_names(spark, small):
+    import corpus_pipeline
+    from pyspark.sql import functions as F
+
+    plain = spark.read.parquet(f"{small}/documents.parquet")
+    docs = plain.withColumns({"score": F.lit("own"), "Kept": F.lit(7), "hit_spans": F.col("doc_id"), "a.b": F.lit(None).cast("int"), "model": F.col("source")})
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        docs = stage(spark, docs, small).cache()
+        assert docs.columns == [*plain.columns, "score", "Kept", "hit_spans", "a.b", "model"]
+        assert docs.where("score = 'own' AND Kept = 7 AND hit_spans = doc_id AND model = source").count() == docs.count() > 0
+
+
+def test_pipeline_with_nulls_everywhere(spark, small):
+    import corpus_pipeline
+    from pyspark.sql import functions as F
+
+    plain = spark.read.parquet(f"{small}/documents.parquet")
+    holes = plain.select(*[F.when(F.pmod(F.xxhash64("doc_id", F.lit(c)), F.lit(4)) > 0, F.col(c)).alias(c) for c in plain.columns])
+    docs = holes.unionByName(holes)
+    for _, stage in corpus_pipeline.STAGES:
+        docs = stage(spark, docs, small).cache()
+        assert docs.count() > 0
