@@ -2,11 +2,12 @@
 
 Symbols are characters folded to 128 classes (ASCII as it is, the bytes of
 other characters folded to 31), so a language's model has at most 128**3
-entries whatever the corpus holds. Counts over all trusted texts are summed in
-shards; discounts, context totals and lower orders are joined to them shard by
-shard. The finished probabilities, of proven bounded size, go to every task,
-which scores whole documents where they lie. A document is kept when its
-perplexity lies within limits set by quantiles of its language's trusted texts.
+entries whatever the corpus holds. Counts over all trusted texts are summed by language and
+gram; in each language's shard they are joined with their discounts, context
+totals and lower orders. The finished probabilities, of proven bounded size, go
+to every task, which scores whole documents where they lie. A document is kept
+when its perplexity lies within limits set by quantiles of its language's
+trusted texts.
 """
 
 from __future__ import annotations
@@ -16,12 +17,12 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bytescan
-from .common import durable, map_text, small_batches
+from .common import map_text, small_batches
 
 BITS = 7
 SYMBOLS = 1 << BITS
@@ -88,55 +89,56 @@ def count_trigrams(trusted: DataFrame, text: str = "text", lang: str = "lang") -
     return sent.select(both, "gram", "n").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
 
 
-def _discounts(counts: DataFrame) -> DataFrame:
-    """(lang, d1, d2, d3): modified Kneser-Ney discounts from how many grams have counts 1 to 4."""
-    many = [F.sum((F.col("n") == k).cast("double")).alias(f"t{k}") for k in (1, 2, 3, 4)]
-    c = counts.groupBy("lang").agg(*many)
-    y = F.try_divide(F.col("t1"), F.col("t1") + 2 * F.col("t2"))
-
-    def d(k: int) -> Column:
-        raw = k - (k + 1) * y * F.try_divide(F.col(f"t{k + 1}"), F.col(f"t{k}"))
+def _discounts(n: np.ndarray) -> np.ndarray:
+    """Modified Kneser-Ney discounts of counts 1, 2 and 3 or more, from how many grams have counts 1 to 4."""
+    t = [int((n == k).sum()) for k in (1, 2, 3, 4)]
+    y = t[0] / (t[0] + 2 * t[1]) if t[0] else 0.0
+    out = []
+    for k in (1, 2, 3):
+        raw = k - (k + 1) * y * t[k] / t[k - 1] if t[0] and t[k - 1] else 0.0
         # too few grams to tell: the usual absolute discount
-        return F.when((F.col("t1") > 0) & (F.col(f"t{k}") > 0) & (raw > 0) & (raw < k), raw).otherwise(F.lit(0.6 + 0.3 * (k - 1)))
-
-    return c.select("lang", *[d(k).alias(f"d{k}") for k in (1, 2, 3)])
+        out.append(raw if 0 < raw < k else 0.6 + 0.3 * (k - 1))
+    return np.array(out)
 
 
-def _order(counts: DataFrame, lower: DataFrame | None) -> tuple[DataFrame, DataFrame]:
-    """((lang, gram, p), (lang, context, rest)) of one order: interpolated probabilities and the mass left to lower orders."""
-    discounts = _discounts(counts)
-    share = F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
-    # one row per model: at most MAX_LANGUAGES and the one of all languages
-    cut = counts.join(F.broadcast(discounts), "lang").withColumn("cut", F.least(share, F.col("n").cast("double"))).drop("d1", "d2", "d3")
-    cut = cut.withColumn("context", F.shiftright("gram", BITS))
-    contexts = cut.groupBy("lang", "context").agg(F.sum("n").alias("total"), F.sum("cut").alias("mass"))
-    contexts = contexts.withColumn("rest", F.col("mass") / F.col("total"))
-    seen = cut.join(contexts.drop("mass"), ["lang", "context"]).withColumn("own", (F.col("n") - F.col("cut")) / F.col("total"))
-    if lower is None:
-        p = F.col("own") + F.col("rest") / SYMBOLS
-    else:
-        seen = seen.join(lower.withColumnRenamed("p", "below").withColumnRenamed("gram", "suffix"), ["lang", "suffix"])
-        p = F.col("own") + F.col("rest") * F.col("below")
-    return seen.select("lang", "gram", p.alias("p")), contexts.select("lang", "context", "rest")
+def _order(gram: np.ndarray, n: np.ndarray, below: np.ndarray | float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(p of every gram, contexts, mass that each leaves to lower orders): counts joined with their contexts and with p one order below."""
+    cut = np.minimum(_discounts(n)[np.minimum(n, 3) - 1], n)
+    context, at = np.unique(gram >> BITS, return_inverse=True)
+    total = np.bincount(at, n)
+    rest = np.bincount(at, cut) / total
+    return (n - cut) / total[at] + rest[at] * below, context, rest
 
 
-def probabilities(trigrams: DataFrame) -> DataFrame:
-    """(lang, kind, code, value): for orders 1 to 3 the p of seen grams and the rest of their contexts."""
-    low = lambda df, width: df.withColumn("suffix", F.col("gram").bitwiseAND((1 << width * BITS) - 1))
+def kneser_ney(gram: np.ndarray, n: np.ndarray) -> dict[str, tuple[np.ndarray, np.ndarray]]:
+    """p1 to p3 (seen grams) and r1 to r3 (contexts' rests) of one model, as (codes, values)."""
+    out: dict[str, tuple[np.ndarray, np.ndarray]] = {}
     # lower orders count in how many different words-before their grams are seen
-    pairs = durable(low(trigrams, 2).groupBy("lang", F.col("suffix").alias("gram")).agg(F.count("*").alias("n")))
-    singles = low(pairs, 1).groupBy("lang", F.col("suffix").alias("gram")).agg(F.count("*").alias("n"))
-    p1, r1 = _order(singles, None)
-    p2, r2 = _order(low(pairs, 1), p1)
-    p3, r3 = _order(low(trigrams, 2), p2)
-    kinds = [(p1, "gram", "p", "p1"), (p2, "gram", "p", "p2"), (p3, "gram", "p", "p3"), (r1, "context", "rest", "r1"), (r2, "context", "rest", "r2"), (r3, "context", "rest", "r3")]
-    out = None
-    for df, code, value, kind in kinds:
-        rows = df.select("lang", F.lit(kind).alias("kind"), F.col(code).cast("int").alias("code"), F.col(value).cast("double").alias("value"))
-        out = rows if out is None else out.unionByName(rows)
+    levels = [(gram, n)]
+    for width in (2, 1):
+        levels.append(np.unique(levels[-1][0] & ((1 << width * BITS) - 1), return_counts=True))
+    lower: tuple[np.ndarray, np.ndarray] | None = None
+    for order, (codes_, counts) in enumerate(reversed(levels), 1):
+        below = 1 / SYMBOLS if lower is None else lower[1][np.searchsorted(lower[0], codes_ & ((1 << (order - 1) * BITS) - 1))]
+        p, context, rest = _order(codes_, counts, below)
+        lower = (codes_, p)
+        out[f"p{order}"], out[f"r{order}"] = (codes_, p), (context, rest)
     return out
 
 
+def probabilities(trigrams: DataFrame) -> DataFrame:
+    """(lang, kind, code, value) from summed counts, one shard per language; a shard has at most 128**3 grams."""
+
+    def run(shard: pa.Table) -> pa.Table:
+        shard = shard.sort_by("gram")
+        found = kneser_ney(shard["gram"].to_numpy().astype(np.int64), shard["n"].to_numpy())
+        lang = shard["lang"][0].as_py()
+        parts = [pa.table({"lang": [lang] * len(c), "kind": [kind] * len(c), "code": pa.array(c, pa.int32()), "value": pa.array(v, pa.float64())}) for kind, (c, v) in found.items()]
+        return pa.concat_tables(parts)
+
+    return trigrams.groupBy("lang").applyInArrow(run, "lang string, kind string, code int, value double")
+
+
 @dataclass
 class QualityModel:
     """Per language: the rows of ``probabilities`` and (centre, low, high) of the log perplexity."""
@@ -201,7 +203,7 @@ def fit_quality(docs: DataFrame, labels: DataFrame) -> QualityModel:
     sizes = trusted.where("lang is not null").groupBy("lang").count().where(F.col("count") >= MIN_TEXTS)
     own = [r.lang for r in sizes.orderBy(F.desc("count"), "lang").limit(MAX_LANGUAGES).collect()]
     chosen = trusted.withColumn("lang", F.when(F.col("lang").isin(own), F.col("lang")) if own else F.lit(None).cast("string"))
-    found = probabilities(durable(count_trigrams(chosen))).toArrow()
+    found = probabilities(count_trigrams(chosen)).toArrow()
     model = QualityModel({})
     lang, kind = (np.array(found[c].to_pylist(), object) for c in ("lang", "kind"))
     code, value = found["code"].to_numpy(), found["value"].to_numpy()
