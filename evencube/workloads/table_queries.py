@@ -386,6 +386,12 @@ def events_session_fill(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.withColumns({"start": F.col("start").cast("timestamp_ntz"), "end": F.col("end").cast("timestamp_ntz")})
 
 
+@query("events_late", "SELECT ts < (SELECT max(ts) FROM events) - INTERVAL 5 DAY AS late, count(*) AS n, count(DISTINCT user_id) AS users FROM events GROUP BY 1")
+def events_late(spark: SparkSession, sf_dir: str) -> DataFrame:
+    told = fill.split_late(read(spark, sf_dir, "events"), "ts", "5 days")
+    return told.groupBy("late").agg(F.count("*").alias("n"), F.count_distinct("user_id").alias("users"))
+
+
 # scans
 
 KEYS = {

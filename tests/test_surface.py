@@ -90,6 +90,58 @@ def test_state_counts_every_event(spark, small):
     assert got.groupBy("stratum_id").agg(F.max("seen").alias("n")).agg(F.sum("n").alias("n")).first().n == spark.read.parquet(f"{small}/events.parquet").count()
 
 
+def test_reservoirs_do_not_depend_on_arrival(spark, small):
+    from evencube import rng
+
+    rows = placed(stream(spark, small), spark, small)
+    got = finished(fill.reservoir_per_stratum(rows, "ts", "event_id", 5, late="40 days", keep="60 days", seed=1), "reservoir", "update")
+    batch = placed(spark.read.parquet(f"{small}/events.parquet"), spark, small).select("stratum_id", "event_id").collect()
+    want: dict = {}
+    for r in batch:
+        want.setdefault(r.stratum_id, []).append((rng.uniform_py(1, "reservoir", r.event_id), r.event_id))
+    last = {r.stratum_id: r["keys"] for r in got.collect()}
+    assert last == {s: sorted(i for _, i in sorted(v)[:5]) for s, v in want.items()}
+
+
+def test_epochs_are_written_once(spark, small, tmp_path):
+    rows = placed(stream(spark, small), spark, small).select("event_id", "stratum_id")
+    for _ in range(2):  # a restart finds its checkpoint and adds nothing
+        q = fill.write_epochs(rows, str(tmp_path / "out"), str(tmp_path / "state"))
+        try:
+            q.processAllAvailable()
+        finally:
+            q.stop()
+    back = spark.read.parquet(str(tmp_path / "out"))
+    assert back.count() == back.select("event_id").distinct().count() == spark.read.parquet(f"{small}/events.parquet").count()
+
+
+def test_late_rows_are_told_apart(spark, small):
+    events = spark.read.parquet(f"{small}/events.parquet")
+    got = fill.split_late(events, "ts", "5 days")
+    newest = events.agg(F.max("ts").alias("t")).first().t
+    import datetime
+
+    assert got.where("late").count() == events.where(F.col("ts") < F.lit(newest - datetime.timedelta(days=5))).count() > 0
+
+
+def plan(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_plans(spark, small):
+    """Filters and columns reach the scan; designs, draws and assignment neither shuffle nor leave the JVM."""
+    from evencube.operators import designs, draws
+    from evencube.workloads import table_queries
+
+    boxed = plan(table_queries.rows_in_box(spark, small))
+    assert "PushedFilters: [IsNotNull(l_quantity)" in boxed and "l_tax" not in boxed
+    assert "BatchEvalPython" not in boxed and "ArrowEvalPython" not in boxed
+    for df in (designs.lhs(spark, 1000, 3), designs.radinv(spark, 1000, 3), designs.padded_grid(spark, 625, [2, 1], latin=True), designs.power_lattice(spark, 101, 3, a=7), draws.draw(strata.bsplit_strata(spark, 100, 2), 2)):
+        text = plan(df)
+        assert "Exchange" not in text and "Python" not in text and "Join" not in text
+    assert plan(strata.bsplit_strata(spark, 10**6, 3)).count("Exchange") <= 1  # roots only
+
+
 def test_scaling_edges(spark):
     rows = spark.createDataFrame([(1, 5.0, 1), (2, 5.0, None), (3, 5.0, 3)], "id long, a double, b int")
     got = {r.point_id: r.x for r in tf.scaled_points(rows, F.col("id"), {"a": F.col("a"), "b": F.col("b")}).collect()}
