@@ -209,6 +209,66 @@ def covering_over_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
     return covering.covering_over(centres, space, "point_id", "x").select(rounded("radius").alias("radius"))
 
 
+def _over_sql(count: int) -> str:
+    near = f"SELECT x1, x2, min(sqrt(pow(x1 - (lo1 + hi1) / 2, 2) + pow(x2 - (lo2 + hi2) / 2, 2))) AS d FROM u, s{count} GROUP BY x1, x2"
+    return f"SELECT CAST({count} AS BIGINT) AS count, round(max(d), {DIGITS}) AS radius, round(max(d) / {_floor_sql(count, 2)}, {DIGITS}) AS normalized FROM ({near})"
+
+
+OVER = (16, 64, 100, 144)
+
+
+@query(
+    "covering_over_sweep",
+    "WITH RECURSIVE " + ", ".join(tree_sql(c, 2, name=f"s{c}") for c in OVER)
+    + f", p AS ({cloud_sql('orders', 'o_orderkey', ['o_totalprice', 'epoch_us(o_orderdate)'])}), u AS (SELECT DISTINCT x1, x2 FROM p) " + " UNION ALL ".join(map(_over_sql, OVER)),
+)
+def covering_over_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The tightness sweep with table rows as the space: radius of stratum centres over all orders."""
+    space, out = cloud(spark, sf_dir, "orders", "o_orderkey", {"price": F.col("o_totalprice"), "day": tf.timestamp_axis(F.col("o_orderdate"))}), None
+    for c in OVER:
+        centres = draws.draw(strata.bsplit_strata(spark, c, 2), None).select("x")
+        found = covering.covering_over(centres, space, "point_id", "x")
+        one = found.select(F.lit(c).cast("long").alias("count"), rounded("radius").alias("radius"), rounded(F.col("radius") / covering.covering_floor(c, 2)).alias("normalized"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(
+    "worst_probe",
+    f"""WITH RECURSIVE {tree_sql(100, 2)}, q AS ({_probe_sql(1000, 2, 8)}),
+    d AS (SELECT probe_id, min(sqrt(pow(p1 - (lo1 + hi1) / 2, 2) + pow(p2 - (lo2 + hi2) / 2, 2))) AS d FROM q, strata GROUP BY probe_id)
+    SELECT probe_id, round(d, {DIGITS}) AS distance FROM d ORDER BY d DESC, probe_id LIMIT 10""",
+)
+def worst_probe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ten probes farthest from any stratum centre: where the design is thinnest."""
+    centres = draws.draw(strata.bsplit_strata(spark, 100, 2), None)
+    near = covering.nearest(covering.probes(spark, 1000, 2, 8), centres)
+    return near.orderBy(F.desc("distance"), "probe_id").limit(10).select("probe_id", rounded("distance").alias("distance"))
+
+
+_ROWS = ", ".join(rng.permute_sql(196, 3, d, f"p{d}") for d in range(2))
+
+
+@query(
+    "projection_designs",
+    f"""WITH RECURSIVE {_ROWS}, r AS (
+        SELECT 'srs' AS design, d AS dim, CASE d WHEN 0 THEN {rng.uniform_sql(3, 'srs', 'i', '0')} ELSE {rng.uniform_sql(3, 'srs', 'i', '1')} END AS v FROM p0, range(2) t(d)
+        UNION ALL SELECT 'lhs', 0, (v + {rng.uniform_sql(3, 'lhs', 'i', '0')}) / 196.0 FROM p0
+        UNION ALL SELECT 'lhs', 1, (v + {rng.uniform_sql(3, 'lhs', 'i', '1')}) / 196.0 FROM p1
+        UNION ALL SELECT 'grid_jitter', d, (((i // CASE d WHEN 0 THEN 1 ELSE 14 END) % 14) + CASE d WHEN 0 THEN {rng.uniform_sql(3, 'draw', 'i', '0', '0', '1')} ELSE {rng.uniform_sql(3, 'draw', 'i', '0', '1', '1')} END) / 14.0 FROM p0, range(2) t(d))
+    SELECT design, CAST(dim AS INTEGER) AS dim, CAST(196 - count(DISTINCT least(floor(v * 196), 195)) AS BIGINT) AS empty_bins FROM r GROUP BY design, dim""",
+)
+def projection_designs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Empty 1/N bins per axis: none for the Latin design, about 1/e of all for the others."""
+    from ..operators import latin
+
+    out = None
+    for name, points in (("srs", designs.srs(spark, 196, 2, seed=3)), ("lhs", designs.lhs(spark, 196, 2, seed=3)), ("grid_jitter", designs.grid_jitter(spark, 14, 2, seed=3))):
+        one = latin.latin_violations(points, 196, 2).select(F.lit(name).alias("design"), "dim", "empty_bins")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @query(
     "covering_over_emb",
     f"""WITH p AS ({_prefix_sql(4)}), c AS (SELECT * FROM p WHERE point_id % 10 = 0)

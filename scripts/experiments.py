@@ -9,7 +9,7 @@ sys.path.insert(0, str(Path(__file__).resolve().parent.parent))
 from compare import session
 from pyspark.sql import functions as F
 
-from evencube.operators import covering
+from evencube.operators import covering, strata
 from evencube.workloads import experiments as e
 
 #: Published spreads (plate: standard deviation; hundred: three integrands).
@@ -60,12 +60,17 @@ def main(reps: int) -> None:
         print(f"{r.dims} | {r.wins}, {r.ties}, {r.losses} | {', '.join(map(str, CONTEST[r.dims]))}")
     rows = timed("Exact radius in two dimensions, every fifth size to 1024", lambda: e.rule_table(spark, (2,), range(4, 1025, 5), exact_dims=2).collect())
     print(f"with, ties, without: {rows[0].wins}, {rows[0].ties}, {rows[0].losses}")
-    rows = timed("Upper bound over exact radius", lambda: covering.bound_tightness(e.radius_bounds(spark, (2,), range(4, 1025, 20)).withColumnRenamed("dims", "n")).collect())
+    rows = timed("Upper bound over exact radius", lambda: covering.bound_tightness(e.radius_bounds(spark, (2,), range(5, 1025, 17)).withColumnRenamed("dims", "n")).collect())
     print("; ".join(f"n={r.n}: exact for {r.tight:.0%}, mean ratio {r.mean_ratio:.3f}" for r in rows))
     rows = timed("Measures, 100 points, 25 replications", lambda: e.measure_table(spark, 100, (2, 5, 10), 25).orderBy("n", "discrepancy").collect())
     print("n | design | discrepancy | radius or its bound | front\n-|-|-|-|-")
     for r in rows:
         print(f"{r.n} | {r.method} | {r.discrepancy:.3e} | {r.radius:.4f} | {'yes' if r.front else ''}")
+    print("\n### Run time of stratification\n")
+    for count in (100_000, 200_000, 400_000, 800_000):
+        began = time.time()
+        strata.bsplit_np(count, 6)
+        print(f"{count}: {time.time() - began:.2f} s, {(time.time() - began) / count * 1e6:.2f} us a stratum")
     rows = timed("Best of 50 n points, mean gap", lambda: e.optimum_gap_rows(spark, (2, 4, 8, 16), max(20, reps // 5), candidates=200).groupBy("n", "objective").pivot("method").agg(F.avg("gap")).orderBy("objective", "n").collect())
     for r in rows:
         d = r.asDict()
