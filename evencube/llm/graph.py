@@ -8,28 +8,18 @@ from pyspark.sql import functions as F
 from .common import durable
 
 
-def _with_least(edges: DataFrame, least: DataFrame) -> DataFrame:
-    """``edges`` with their node's smallest neighbour.
-
-    The hash beside the node makes the join deal both sides anew, so that a
-    hub's edges can be split over tasks; dealt as the minima are, they could not.
-    """
-    mark = F.xxhash64("a")
-    return edges.withColumn("h", mark).join(least.withColumn("h", mark), ["a", "h"]).drop("h")
-
-
 def _large_star(edges: DataFrame) -> DataFrame:
     """Every larger neighbour of a node moves to the node's smallest neighbour (or the node itself)."""
     both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
     least = both.groupBy("a").agg(F.min("b").alias("low"))
-    moved = _with_least(both, least).where("b > a").select(F.col("b").alias("a"), F.least("a", "low").alias("b"))
+    moved = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.least("a", "low").alias("b"))
     return moved.where("a <> b").distinct()
 
 
 def _small_star(edges: DataFrame) -> DataFrame:
     """Every smaller neighbour of a node, and the node, move to the smallest of them; edges point down (a > b)."""
     least = edges.groupBy("a").agg(F.min("b").alias("low"))
-    moved = _with_least(edges, least).select(F.col("b").alias("a"), F.col("low").alias("b")).unionByName(least.select("a", F.col("low").alias("b")))
+    moved = edges.join(least, "a").select(F.col("b").alias("a"), F.col("low").alias("b")).unionByName(least.select("a", F.col("low").alias("b")))
     return moved.where("a <> b").distinct()
 
 
@@ -37,8 +27,8 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, component) for every node of an undirected edge; component is the smallest node that can be reached.
 
     Loops and repeated edges do no harm; edges with a null end are left out.
-    Hubs only meet partial minima and joins that can be split; nothing is
-    collected. The number of rounds grows with the logarithm of the graph.
+    Nothing is collected; a hub's edges meet in one task, as sorted, spillable
+    rows. The number of rounds grows with the logarithm of the graph.
     """
     pairs = edges.where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != F.col(b)))
     now = durable(pairs.select(F.greatest(a, b).alias("a"), F.least(a, b).alias("b")).distinct())
