@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -149,16 +152,31 @@ def boxes(spark, m: int, n: int, seed: int) -> DataFrame:
 def discrepancy_boxes(points: DataFrame, n: int, m: int, seed: int = 0, x: str = "x") -> DataFrame:
     """(boxes, discrepancy_sq) estimated from m boxes: 2**-n times the mean squared gap of share and volume.
 
-    The boxes (a parameter, not the data) are broadcast; points stream by and
-    each partition sends m counts.
+    The boxes (a parameter, not the data) go to every task; points stream by in
+    Arrow batches and each task sends m counts. Rows with a null point take no
+    part.
     """
     spark = points.sparkSession
+    made = boxes(spark, m, n, seed).orderBy("box_id").toArrow()
+    corners = spark.sparkContext.broadcast(tuple(np.array(made[side].to_pylist()).reshape(m, n) for side in ("lo", "hi")))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lo, hi = corners.value
+        hits, count = np.zeros(m, np.int64), 0
+        for batch in batches:
+            p = batch.column(0).flatten().to_numpy(zero_copy_only=False).reshape(-1, n)
+            count += len(p)
+            for k in range(0, len(p), 2048):
+                inside = np.ones((m, len(p[k : k + 2048])), bool)
+                for d in range(n):
+                    v = p[k : k + 2048, d]
+                    inside &= (v >= lo[:, d, None]) & (v < hi[:, d, None])
+                hits += inside.sum(axis=1)
+        if count:
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(m)), pa.array(hits), pa.array(np.full(m, count))], names=["box_id", "hits", "count"])
+
     chosen = points.where(F.col(x).isNotNull()).select(F.col(x).alias("x"))
-    made = boxes(spark, m, n, seed)
-    inside = F.forall(F.arrays_zip("x", "lo", "hi"), lambda s: (s["x"] >= s["lo"]) & (s["x"] < s["hi"]))
-    hits = chosen.join(F.broadcast(made), inside).groupBy("box_id").agg(F.count("*").alias("hits"))
-    size = chosen.agg(F.count("*").alias("count"))
-    from .strata import volume
-
-    full = made.join(hits, "box_id", "left").crossJoin(size).withColumn("gap", F.coalesce("hits", F.lit(0)) / F.col("count") - volume(F.col("lo"), F.col("hi")))
-    return full.agg(F.count("*").alias("boxes"), (F.avg(F.col("gap") * F.col("gap")) * 2.0**-n).alias("discrepancy_sq"))
+    found = chosen.mapInArrow(run, "box_id long, hits long, count long").groupBy("box_id").agg(F.sum("hits").alias("hits"), F.sum("count").alias("count"))
+    volumes = spark.createDataFrame([(k, float(v)) for k, v in enumerate((corners.value[1] - corners.value[0]).prod(axis=1))], "box_id long, volume double")
+    gap = F.col("hits") / F.col("count") - F.col("volume")
+    return found.join(F.broadcast(volumes), "box_id").agg(F.count("*").alias("boxes"), (F.avg(gap * gap) * 2.0**-n).alias("discrepancy_sq"))
