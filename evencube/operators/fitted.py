@@ -32,18 +32,23 @@ def mean_gap_np(x: np.ndarray, lo: np.ndarray, hi: np.ndarray, *key: int) -> tup
     stack = [(np.arange(len(x)), lo.astype(float), hi.astype(float), 1)]
     while stack:
         member, a, b, node = stack.pop()
-        spread = x[member].max(axis=0) > x[member].min(axis=0) if len(member) > 1 else np.zeros(len(a), bool)
+        if len(member) == 1:
+            low[member[0]], high[member[0]] = a, b
+            continue
+        mine = x[member]
+        spread = mine.max(axis=0) > mine.min(axis=0)
         if not spread.any():
             low[member], high[member] = a, b
             continue
         side = np.where(spread, b - a, -np.inf)
         tied = np.flatnonzero(side >= side.max() * (1 - 1e-12))
-        axis = int(tied[int(rng.fast_uniform(*key, 41, node % (1 << 62)) * len(tied))])
-        cut = _gap_cut(x[member, axis])
-        left = x[member, axis] <= cut
+        axis = int(tied[0]) if len(tied) == 1 else int(tied[int(rng.fast_uniform(*key, 41, node % (1 << 62)) * len(tied))])
+        v = mine[:, axis]
+        cut = _gap_cut(v)
+        left = v <= cut
         if left.all() or not left.any():  # neighbours too close for a midpoint
-            cut = float(x[member, axis].min())
-            left = x[member, axis] <= cut
+            cut = float(v.min())
+            left = v <= cut
         upper, lower = b.copy(), a.copy()
         upper[axis] = lower[axis] = cut
         stack += [(member[left], a, upper, 2 * node), (member[~left], lower, b, 2 * node + 1)]
