@@ -33,7 +33,7 @@ WINDOW = 4096
 PIECE = 1024
 
 #: Windows of a group that one task packs.
-GROUP_WINDOWS = 512
+GROUP_WINDOWS = 256
 
 #: Distinct pieces whose ids are kept per worker process; beyond it they are forgotten and encoded anew.
 MAX_KEPT = 700_000
@@ -111,9 +111,20 @@ class PieceEncoder:
 
     def encode(self, texts: Sequence[str]) -> list[bytes]:
         """Little-endian 32-bit ids of every text."""
-        cut = [self._cut(t) for t in texts]
-        self._learn(set().union(*cut))
-        return [b"".join(map(self.kept.__getitem__, pieces)) for pieces in cut]
+        out, waiting, unknown, get = [], [], set(), self.kept.get
+        for row, text in enumerate(texts):
+            pieces = self._cut(text)
+            found = list(map(get, pieces))
+            if None in found:
+                unknown.update(p for p, ids in zip(pieces, found) if ids is None)
+                waiting.append((row, pieces, found))
+                out.append(b"")
+            else:
+                out.append(b"".join(found))
+        self._learn(unknown)
+        for row, pieces, found in waiting:
+            out[row] = b"".join([self.kept[p] if ids is None else ids for p, ids in zip(pieces, found)])
+        return out
 
 
 @functools.lru_cache(maxsize=2)
