@@ -47,8 +47,9 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose perplexity lies within their language's limits."""
-    model = fit_quality(docs, table(spark, sf_dir, "labels"))
-    return _back(score_quality(_apart(docs), model).where("kept"), docs)
+    apart = _apart(docs)
+    model = fit_quality(apart, table(spark, sf_dir, "labels"))
+    return _back(score_quality(apart, model).where("kept"), docs)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,28 +1,25 @@
 """Quality classifier: an interpolated modified Kneser-Ney trigram model of trusted text.
 
-Symbols are characters folded to 128 classes (ASCII as it is, the bytes of
-other characters folded to 31), so a language's model has at most 128**3
-entries whatever the corpus holds. Counts over all trusted texts are summed by language and
-gram; in each language's shard they are joined with their discounts, context
-totals and lower orders. The finished probabilities, of proven bounded size, go
-to every task, which scores whole documents where they lie. A document is kept
-when its perplexity lies within limits set by quantiles of its language's
-trusted texts.
+Documents are judged by the word model of ``wordmodel``: its counts over all
+trusted texts of a language grow with the corpus. A document is kept when its
+loss lies between quantiles of its language's trusted texts, each scored
+without its own share. The model over 128 folded character classes
+(``count_trigrams``, ``probabilities``) is a small one for other uses; no
+query judges by it.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
-from dataclasses import dataclass, field
+from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
-from . import bytescan
-from .common import map_text, small_batches
+from . import bytescan, wordmodel
+from .common import durable, small_batches
 
 BITS = 7
 SYMBOLS = 1 << BITS
@@ -35,14 +32,11 @@ SYMBOL_OF[128:] = 1 + np.arange(128) % 31
 #: The model for texts without a language of their own.
 ANY = ""
 
-#: Most languages with a model of their own, and trusted texts a language needs for one.
-MAX_LANGUAGES, MIN_TEXTS = 64, 20
+#: Trusted texts a language needs for a model of its own.
+MIN_TEXTS = 20
 
-#: Symbols of typical text that are added to a document's mean, so that a few words decide little.
-PRIOR_SYMBOLS = 150
-
-#: Width of the kept range in interquartile ranges beyond the quartiles.
-REACH = 10.0
+#: Quantiles of a language's trusted texts between which documents are kept.
+LOW, HIGH = 0.005, 0.995
 
 #: Most labelled ids that are broadcast to find trusted texts; more are joined by shuffle.
 MAX_BROADCAST_IDS = 2_000_000
@@ -141,10 +135,9 @@ def probabilities(trigrams: DataFrame) -> DataFrame:
 
 @dataclass
 class QualityModel:
-    """Per language: the rows of ``probabilities`` and (centre, low, high) of the log perplexity."""
+    """Per language: the rows of ``probabilities``."""
 
     rows: dict[str, dict[str, tuple[np.ndarray, np.ndarray]]]
-    limits: dict[str, tuple[float, float, float]] = field(default_factory=dict)
 
     def dense(self, name: str) -> np.ndarray:
         """Negative log probability of every trigram code."""
@@ -160,109 +153,100 @@ class QualityModel:
         p3[of["p3"][0]] = of["p3"][1]
         return -np.log(np.maximum(p3, 1e-12)).astype(np.float32)
 
-    def scorer(self) -> Callable[[pa.Array, pa.Array], tuple[np.ndarray, np.ndarray, list[str]]]:
-        """From texts and languages to summed negative log probability, symbols and the model's name, per row."""
-        tables: dict[str, np.ndarray] = {}
-
-        def work(text: pa.Array, lang: pa.Array) -> tuple[np.ndarray, np.ndarray, list[str]]:
-            names = [x if x in self.rows else ANY for x in lang.to_pylist()]
-            loss, size = np.zeros(len(names)), np.zeros(len(names), np.int64)
-            if not self.rows:
-                return loss, size, names
-            known = {name: k for k, name in enumerate(sorted(set(names)))}
-            which = np.array([known[n] for n in names], np.int64)
-            for name in known:
-                if name not in tables:
-                    tables[name] = self.dense(name)
-            for part in bytescan.slices(text):
-                found, length = codes(part), np.diff(part.offsets)
-                of = np.repeat(which[part.first : part.first + len(part)], length)
-                value = np.empty(len(found), np.float32)
-                for name, k in known.items():
-                    mine = of == k
-                    value[mine] = tables[name][found[mine]]
-                total = np.r_[0.0, np.cumsum(value, dtype=np.float64)]
-                loss[part.first : part.first + len(part)] = total[part.offsets[1:]] - total[part.offsets[:-1]]
-                size[part.first : part.first + len(part)] = length
-            return loss, size, names
-
-        return work
-
-
-def fit_quality(docs: DataFrame, labels: DataFrame) -> QualityModel:
-    """A model of the texts that ``labels`` (doc_id, quality) mark with quality 1, all of them.
+
+@dataclass
+class WordQuality:
+    """Trusted texts, and the languages that have a model of their own."""
+
+    docs: DataFrame
+    ids: DataFrame
+    own: list[str]
+
+    def flagged(self) -> DataFrame:
+        """The documents with ``__trusted``, true where their label says quality 1."""
+        mark = self.ids.withColumn("__trusted", F.lit(True))
+        return self.docs.join(mark, "doc_id", "left").withColumn("__trusted", F.coalesce("__trusted", F.lit(False)))
+
+    def model_of(self, lang: str) -> Column:
+        of = F.col(lang).cast("string")
+        return F.when(of.isin(self.own), of).otherwise(F.lit(ANY)) if self.own else F.lit(ANY)
+
+
+def fit_quality(docs: DataFrame, labels: DataFrame) -> WordQuality:
+    """What a model of the texts that ``labels`` (doc_id, quality) mark with quality 1 is made of, all of them.
 
     Languages with fewer than ``MIN_TEXTS`` trusted texts, and texts without a
-    language, use the model of all languages together; of more than
-    ``MAX_LANGUAGES`` the most frequent get their own. Without any trusted text
+    language, use the model of all languages together. Without any trusted text
     the model keeps everything.
     """
     ids = labels.where("quality = 1 and doc_id is not null").select("doc_id").distinct()
-    small = ids.count() <= MAX_BROADCAST_IDS
-    trusted = docs.select("doc_id", "text", "lang").join(F.broadcast(ids) if small else ids, "doc_id", "left_semi")
+    ids = F.broadcast(ids) if ids.count() <= MAX_BROADCAST_IDS else ids
+    trusted = docs.select("doc_id", "lang").join(ids, "doc_id", "left_semi")
     sizes = trusted.where("lang is not null").groupBy("lang").count().where(F.col("count") >= MIN_TEXTS)
-    own = [r.lang for r in sizes.orderBy(F.desc("count"), "lang").limit(MAX_LANGUAGES).collect()]
-    chosen = trusted.withColumn("lang", F.when(F.col("lang").isin(own), F.col("lang")) if own else F.lit(None).cast("string"))
-    found = probabilities(count_trigrams(chosen)).toArrow()
-    model = QualityModel({})
-    lang, kind = (np.array(found[c].to_pylist(), object) for c in ("lang", "kind"))
-    code, value = found["code"].to_numpy(), found["value"].to_numpy()
-    for name in sorted(set(lang.tolist())):
-        at = {k: (lang == name) & (kind == k) for k in ("p1", "p2", "p3", "r1", "r2", "r3")}
-        model.rows[name] = {k: (code[m], value[m]) for k, m in at.items()}
-    # the model of all languages has limits of its own, for texts of other languages
-    every = _limits(score_quality(chosen.withColumn("lang", F.lit(None).cast("string")), model))
-    model.limits = every | _limits(score_quality(chosen, model))
-    return model
-
-
-def _limits(scored: DataFrame) -> dict[str, tuple[float, float, float]]:
-    """(median, low, high) of the steadied log perplexity, per model."""
-    mean = F.col("loss") / F.col("symbols")
-    full = scored.where("symbols > 0")
-    centre = {r.model: r.m for r in full.groupBy("model").agg(F.percentile_approx(mean, 0.5, 10_000).alias("m")).collect()}
-    if not centre:
-        return {}
-    typical = F.element_at(F.create_map(*[F.lit(x) for pair in centre.items() for x in pair]), F.col("model"))
-    steady = (F.col("loss") + PRIOR_SYMBOLS * typical) / (F.col("symbols") + PRIOR_SYMBOLS)
-    parts = full.groupBy("model").agg(F.percentile_approx(steady, [0.25, 0.75], 10_000).alias("q")).collect()
-    out = {}
-    for r in parts:
-        low, high = r.q
-        wide = max(high - low, 0.01)
-        out[r.model] = (centre[r.model], low - REACH * wide, high + REACH * wide)
-    return out
+    return WordQuality(docs, ids, sorted(str(r.lang) for r in sizes.collect()))
+
+
+def _keyed(docs: DataFrame, model: WordQuality, text: str, lang: str) -> DataFrame:
+    """``docs`` with the key of their text and model."""
+    full = F.coalesce(F.col(text), F.lit(""))
+    return docs.withColumns({"__a": F.xxhash64(full), "__b": F.xxhash64(F.lit(1), full), "__model": model.model_of(lang)})
+
+
+def _limits(losses: DataFrame) -> DataFrame:
+    """(model, centre, low, high): the trusted texts' median loss a word, and quantiles of their ``_distance`` from it."""
+    full = losses.where("trusted and fresh > 0")
+    centre = full.groupBy("model").agg(F.percentile_approx(F.try_divide("fresh_loss", "fresh"), 0.5, 10_000).alias("centre"))
+    far = full.join(F.broadcast(centre), "model").groupBy("model", "centre").agg(F.percentile_approx(_distance(), [LOW, HIGH], 10_000).alias("q"))
+    return far.select("model", "centre", F.col("q")[0].alias("low"), F.col("q")[1].alias("high"))
+
+
+def _distance(prefix: str = "") -> Column:
+    """Mean loss of the fresh words less the centre, by the root of their number: the means of few words scatter more."""
+    size = F.col(f"{prefix}fresh")
+    return (F.try_divide(F.col(f"{prefix}fresh_loss"), size) - F.col(f"{prefix}centre")) * F.sqrt(size)
 
 
-def score_quality(docs: DataFrame, model: QualityModel, text: str = "text", lang: str = "lang") -> DataFrame:
+def score_quality(docs: DataFrame, model: WordQuality, text: str = "text", lang: str = "lang") -> DataFrame:
     """``docs`` with model, loss, symbols, perplexity, score and kept.
 
     ``loss`` is the whole text's negative log probability, ``perplexity`` per
-    symbol (null for null or empty texts, which are kept: nothing speaks
-    against them), ``score`` 1 at the language's typical perplexity and 0 at
-    its limits or beyond. Columns of those names are replaced; repeated rows
-    score alike; an empty table gives an empty result; documents never move.
+    word, its end counted as one (null for null or blank texts, which are kept:
+    nothing speaks against them). The limits are on the words whose trigram no
+    (other) trusted text has, so that near copies of trusted texts do not
+    stretch them, and widen as the root of their number falls; ``score`` is 1 at
+    the language's centre and 0 at its limits or beyond. A trusted text is scored as if it
+    were not in the model. Columns of those names are replaced; repeated rows
+    score alike; an empty table gives an empty result.
     """
-    shared = docs.sparkSession.sparkContext.broadcast(model)
     new = ("model", "loss", "symbols", "perplexity", "score", "kept")
-    kinds = (T.StringType(), T.DoubleType(), T.LongType(), T.DoubleType(), T.DoubleType(), T.BooleanType())
-
-    def make() -> Callable[[pa.Array, pa.Array], list[pa.Array]]:
-        model = shared.value
-        sums = model.scorer()
-
-        def work(texts: pa.Array, langs: pa.Array) -> list[pa.Array]:
-            loss, size, used = sums(texts, langs.cast(pa.string()))
-            limits = np.array([model.limits.get(n, (0.0, -np.inf, np.inf)) for n in used]).reshape(-1, 3)
-            steady = (loss + PRIOR_SYMBOLS * limits[:, 0]) / (size + PRIOR_SYMBOLS)
-            kept = (steady >= limits[:, 1]) & (steady <= limits[:, 2]) | (size == 0)
-            edge = np.where(steady > limits[:, 0], limits[:, 2], limits[:, 1]) - limits[:, 0]
-            with np.errstate(invalid="ignore", divide="ignore"):
-                score = np.clip(1 - (steady - limits[:, 0]) / edge, 0, 1)
-                perplexity = np.exp(loss / size)
-            score = np.where(np.isfinite(edge) & (size > 0), score, 1.0)
-            return [pa.array(used, pa.string()), pa.array(loss), pa.array(size), pa.array(perplexity, mask=size == 0), pa.array(score), pa.array(kept)]
-
-        return work
-
-    return map_text(docs, [text, lang], [T.StructField(n, k) for n, k in zip(new, kinds)], make)
+    names = [c for c in docs.columns if c.lower() not in new]
+    same = docs is model.docs and (text, lang) == ("text", "lang")
+    trusted = _keyed(model.flagged(), model, "text", "lang")
+    own = trusted if same else _keyed(docs, model, text, lang).withColumn("__trusted", F.lit(False))
+    columns = [F.col("__a").alias("a"), F.col("__b").alias("b"), F.xxhash64("__model").alias("model"), F.col("__trusted").alias("trusted")]
+    parts = [own.select(*columns, F.col(text).alias("text"))]
+    known = trusted.where("__trusted").select(*columns, F.col("text"))
+    if not same:
+        parts.append(known)
+    if own.where(F.col("__model") == ANY).limit(1).count():
+        parts.append(trusted.where(F.col("__trusted") & (F.col("__model") != ANY)).select(*columns, "text").withColumn("model", F.xxhash64(F.lit(ANY))))
+    texts = parts[0]
+    for part in parts[1:]:
+        texts = texts.unionByName(part)
+    n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))
+    losses = durable(wordmodel.losses(texts, 2 * n))
+    found = losses.join(F.broadcast(_limits(losses)), "model", "left").withColumnsRenamed({c: f"__{c}_of" for c in ("a", "b", "model", "trusted")})
+    mean = F.try_divide("__loss", "__words")
+    found = found.withColumnsRenamed({c: f"__{c}" for c in ("loss", "words", "fresh_loss", "fresh", "low", "centre", "high")})
+    far = _distance("__")
+    edge = F.when(far > 0, F.col("__high")).otherwise(F.col("__low"))
+    results = [
+        F.col("__model").alias("model"),
+        F.coalesce("__loss", F.lit(0.0)).alias("loss"),
+        F.coalesce("__words", F.lit(0)).cast("long").alias("symbols"),
+        F.when(F.col("__words") > 0, F.exp(mean)).alias("perplexity"),
+        F.coalesce(F.when(far == 0, 1.0).when(edge * far <= 0, 0.0).otherwise(F.greatest(F.lit(0.0), 1 - far / edge)), F.lit(1.0)).alias("score"),
+        F.coalesce(far.between(F.col("__low"), F.col("__high")), F.lit(True)).alias("kept"),
+    ]
+    matched = (F.col("__a") == F.col("__a_of")) & (F.col("__b") == F.col("__b_of")) & (F.xxhash64("__model") == F.col("__model_of")) & (F.col("__trusted") == F.col("__trusted_of"))
+    return own.join(found, matched, "left").select(*[F.col(f"`{c}`") for c in names], *results)

@@ -1,0 +1,378 @@
+"""Interpolated modified Kneser-Ney trigrams of words, counted and looked up in shards of the middle word.
+
+A word is a lower-cased run without blanks, hashed to 48 bits: the vocabulary
+is open and nothing is cut. Every position of every text goes to the shard of
+its trigram's middle word, where the trigram, its context, its bigram and the
+bigram's context meet. Only how many words come before a word is spread over
+the shards: their sums are made in shards of words and sent back to the shards
+that asked. A trusted text is scored as if it were not in the model: its own
+share is taken off all counts (of the words-before of a word only what lies in
+the same shard, which is all of it for a word that occurs once).
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark import TaskContext
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from . import bytescan
+from .common import release, small_batches
+
+#: Positions that a task packs at once.
+CHUNK = 1_000_000
+
+#: Stands before and after a text.
+EDGE = np.uint64(0x5DEECE66D123)
+
+
+def _pair(a: np.ndarray, b: np.ndarray, salt: int) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        return bytescan.mix(a * np.uint64(0xD6E8FEB86659FD93) + b + np.uint64(salt))
+
+
+def _planes(x: np.ndarray) -> np.ndarray:
+    return x.astype("<u4").view(np.uint8).reshape(-1, 4).T.ravel()
+
+
+def _pack(*parts: bytes | np.ndarray) -> bytes:
+    parts = [p if isinstance(p, bytes) else p.tobytes() for p in parts]
+    raw = np.array([len(p) for p in parts], "<u8").tobytes() + b"".join(parts)
+    return len(raw).to_bytes(8, "little") + pa.compress(raw, codec="zstd", asbytes=True)
+
+
+def _unpack(blob: bytes, n: int) -> list[np.ndarray]:
+    raw = np.frombuffer(pa.decompress(blob[8:], int.from_bytes(blob[:8], "little"), codec="zstd"), np.uint8)
+    ends = 8 * n + np.cumsum(raw[: 8 * n].view("<u8")).astype(np.int64)
+    return [raw[a:b] for a, b in zip([8 * n, *ends[:-1]], ends)]
+
+
+def _short(words: np.ndarray) -> np.ndarray:
+    """The six bytes of each word that are in use."""
+    return np.ascontiguousarray(words, "<u8").view(np.uint8).reshape(-1, 8)[:, :6].ravel()
+
+
+def _long(raw: np.ndarray) -> np.ndarray:
+    out = np.zeros((len(raw) // 6, 8), np.uint8)
+    out[:, :6] = raw.reshape(-1, 6)
+    return out.view("<u8").ravel()
+
+
+def _groups(key: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(distinct keys in order, a place of each, every place's number among them), by the fastest sort."""
+    order = np.argsort(key)
+    there = key[order]
+    new = np.ones(len(key), bool)
+    np.not_equal(there[1:], there[:-1], out=new[1:])
+    inverse = np.empty(len(key), np.int64)
+    inverse[order] = np.cumsum(new) - 1
+    return there[new], order[new], inverse
+
+
+def _ids(planes: np.ndarray) -> np.ndarray:
+    return planes.reshape(4, -1).T.copy().view("<u4").ravel().astype(np.int64)
+
+
+def padded(part: bytescan.Slice) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(words of all rows, two edges before and one after each; where a trigram ends; its row)."""
+    words = bytescan.scan(part, bytescan.NON_SPACE)
+    sizes = np.where(words.counts > 0, words.counts + 3, 0)
+    starts = np.cumsum(sizes) - sizes
+    seq = np.full(int(sizes.sum()), EDGE)
+    row = words.row
+    seq[starts[row] + 2 + np.arange(len(row)) - words.bounds[row]] = words.hash >> np.uint64(16)
+    of = np.repeat(np.arange(len(sizes)), sizes)
+    last = np.flatnonzero(np.arange(len(seq)) - starts[of] >= 2)
+    return seq, last.astype(np.int32), of[last]
+
+
+#: A document in a blob: its number in the chunk, its model's hash, whether it is trusted.
+DOC = np.dtype([("nth", "<u4"), ("model", "<u8"), ("trusted", "u1")])
+
+
+def _send(seq: np.ndarray, last: np.ndarray, row: np.ndarray, docs: np.ndarray, n: int) -> Iterator[tuple[int, bytes]]:
+    """One blob a shard: the documents, the words used and the trigrams by their words' numbers."""
+    word, at, times = np.unique(seq, return_inverse=True, return_counts=True)
+    # frequent words get small numbers, which pack well
+    order = np.argsort(-times, kind="stable")
+    rank = np.empty(len(order), np.uint32)
+    rank[order] = np.arange(len(order), dtype=np.uint32)
+    at, word = rank[at], word[order]
+    shard = (bytescan.mix(word) % np.uint64(n)).astype(np.int32)[at[last - 1]]
+    by = np.argsort(shard, kind="stable")
+    bounds = np.searchsorted(shard[by], np.arange(n + 1))
+    for s in range(n):
+        mine = by[bounds[s] : bounds[s + 1]]
+        if len(mine):
+            mine = mine[np.lexsort((at[last[mine] - 1], row[mine]))]
+            used, ids = np.unique(np.concatenate([at[last[mine] - k] for k in (2, 1, 0)]), return_inverse=True)
+            who, nth = np.unique(row[mine], return_inverse=True)
+            yield s, _pack(*(docs[f][who].tobytes() for f in DOC.names), _short(word[used]), _planes(np.diff(nth, prepend=0)), *(_planes(x) for x in ids.reshape(3, -1)))
+
+
+def shards(texts: DataFrame, n: int):
+    """RDD of (shard, (chunk, blob)) from (a, b, model hash as long, trusted, text), and of (chunk, (chunk, None, documents))."""
+    small_batches(texts.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts: list = []
+        docs: list = []
+        size = first = number = 0
+        task = TaskContext.get().partitionId() << 24
+
+        def out() -> Iterator[pa.RecordBatch]:
+            chunk, doc = task + number, np.concatenate(docs)
+            base = np.cumsum([0, *(len(p[0]) for p in parts)])
+            seq = np.concatenate([p[0] for p in parts])
+            last = np.concatenate([p[1] + b for p, b in zip(parts, base)])
+            row = np.concatenate([p[2] for p in parts])
+            parts.clear()
+            found = [(s, "gram", b) for s, b in _send(seq, last, row, doc, n)]
+            found.append((chunk % n, "docs", np.ascontiguousarray(doc).tobytes()))
+            del seq, last, row
+            release()
+            for k in range(0, len(found), 8):
+                shard, kind, blob = zip(*found[k : k + 8])
+                yield pa.RecordBatch.from_arrays([pa.array(shard, pa.int32()), pa.array([chunk] * len(shard), pa.int64()), pa.array(kind), pa.array(blob, pa.binary())], names=["shard", "chunk", "kind", "blob"])
+
+        for batch in batches:
+            doc = np.empty(batch.num_rows, FULL)
+            doc["nth"] = first + np.arange(len(doc))
+            for k, name in enumerate(("a", "b", "model", "trusted")):
+                doc[name] = batch.column(k).to_numpy(zero_copy_only=False).astype("<i8").view(FULL[name]) if name != "trusted" else batch.column(k).to_numpy(zero_copy_only=False)
+            for part in bytescan.slices(batch.column(4)):
+                seq, last, row = padded(part)
+                parts.append((seq, last, (row + first + part.first).astype(np.uint32)))
+                size += len(row)
+            docs.append(doc)
+            first += len(doc)
+            if size >= CHUNK:
+                yield from out()
+                parts, docs, size, first, number = [], [], 0, 0, number + 1
+        if size:
+            yield from out()
+        release()
+
+    sent = texts.select("a", "b", "model", F.col("trusted").cast("int"), "text").mapInArrow(run, "shard int, chunk long, kind string, blob binary")
+    return sent.rdd.map(lambda r: (r.shard, (r.kind, r.chunk, bytes(r.blob)))).partitionBy(n, int)
+
+
+#: A document of a chunk, with the two halves of its key.
+FULL = np.dtype([*DOC.descr, ("a", "<i8"), ("b", "<i8")])
+
+
+class Shard:
+    """All positions of one shard and the counts of the trusted ones."""
+
+    def __init__(self, blobs: list[tuple[int, bytes]]) -> None:
+        docs, nth, words, first = [], [], [], 0
+        self.chunks = []
+        for chunk, blob in blobs:
+            *columns, word, step, one, two, three = _unpack(blob, 8)
+            doc, word = np.empty(len(columns[2]), DOC), _long(word)
+            for name, x in zip(DOC.names, columns):
+                doc[name] = x.view(DOC[name])
+            self.chunks.append((chunk, first, first + len(doc)))
+            ids = (one, two, three)
+            docs.append(doc)
+            nth.append(np.cumsum(_ids(step)) + first)
+            words.append(np.stack([word[_ids(x)] for x in ids]))
+            first += len(doc)
+        self.docs = np.concatenate(docs)
+        doc, (one, two, three) = np.concatenate(nth), np.concatenate(words, axis=1)
+        model = self.docs["model"][doc]
+        w2 = _pair(model, two, 1)
+        gram = _pair(_pair(w2, three, 2), one, 3)
+        # distinct trigrams of every document
+        _, at, inv = _groups(_pair(gram, doc.astype(np.uint64), 9))
+        self.own = np.bincount(inv, minlength=len(at))
+        self.doc, self.gram = doc[at], gram[at]
+        self.model, self.w2, self.c = model[at], w2[at], _pair(w2[at], one[at], 4)
+        self.b, self.w3 = _pair(w2[at], three[at], 2), _pair(model[at], three[at], 5)
+        self.trusted = self.docs["trusted"][self.doc] > 0
+        t = np.flatnonzero(self.trusted)
+        # counts of the trusted texts
+        self.G, rep, inv = _groups(self.gram[t])
+        rep = t[rep]
+        self.n3 = np.bincount(inv, self.own[t], len(self.G)).astype(np.int64)
+        self.B, rep2, inv = _groups(self.b[rep])
+        self.n2 = np.bincount(inv, minlength=len(self.B))
+        rep2 = rep[rep2]
+        self.contexts3 = _contexts(self.c[rep], self.n3)
+        self.contexts2 = _contexts(self.w2[rep2], self.n2)
+        self.models3, self.models2 = self.model[rep], self.model[rep2]
+        # words that any position asks for, and how many words before each are here
+        self.W, rep, self.at_w = _groups(self.w3)
+        self.models1 = self.model[rep]
+        self.before = np.bincount(np.searchsorted(self.W, self.w3[rep2]), minlength=len(self.W))
+
+
+def _contexts(key: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(contexts, their total and how many of their grams have counts 1, 2 and 3 or more)."""
+    found, _, inv = _groups(key)
+    cls = np.minimum(n, 3)
+    return found, np.stack([np.bincount(inv, n, len(found)), *(np.bincount(inv, cls == k, len(found)) for k in (1, 2, 3))])
+
+
+def _look(keys: np.ndarray, values: np.ndarray, asked: np.ndarray) -> np.ndarray:
+    """Values of the asked keys, 0 where there are none."""
+    if not len(keys):
+        return np.zeros((*values.shape[:-1], len(asked)), values.dtype)
+    at = np.minimum(np.searchsorted(keys, asked), len(keys) - 1)
+    return np.where(keys[at] == asked, values[..., at], 0)
+
+
+def _level(doc: np.ndarray, context: np.ndarray, contexts: tuple, n: np.ndarray, less: np.ndarray, cut: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(p of the order's own, mass left to lower orders), for rows distinct in (doc, gram) whose counts ``n`` lose ``less``."""
+    found = _look(*contexts, context)
+    if less.any():
+        hit = np.zeros(int(doc.max()) + 1, bool)
+        hit[doc[less > 0]] = True
+        mine = np.flatnonzero(hit[doc])
+        *_, inv = _groups(_pair(context[mine], doc[mine].astype(np.uint64), 6))
+        before, after = np.minimum(n[mine], 3), np.minimum(n[mine] - less[mine], 3)
+        found[0, mine] -= np.bincount(inv, less[mine])[inv]
+        for k in (1, 2, 3):
+            found[k, mine] += np.bincount(inv, (after == k) * 1.0 - (before == k))[inv]
+    left = n - less
+    d = np.where(left > 0, np.take_along_axis(cut, np.clip(np.minimum(left, 3) - 1, 0, 2)[:, None], 1)[:, 0], 0)
+    total = np.maximum(found[0], 1)
+    rest = np.where(found[0] > 0, (cut.T * found[1:]).sum(axis=0) / total, 1.0)
+    return np.maximum(left - d, 0) / total, np.minimum(rest, 1.0)
+
+
+def counts_of_counts(models: np.ndarray, n: np.ndarray) -> dict[int, np.ndarray]:
+    """By model: how many grams have counts 1, 2, 3, 4, and 3 or more; grams; sum of counts."""
+    out, (found, inv) = {}, np.unique(models, return_inverse=True)
+    sums = [np.bincount(inv, x, len(found)) for x in (n == 1, n == 2, n == 3, n == 4, n >= 3, n > 0, n)]
+    for k, m in enumerate(found.tolist()):
+        out[m] = np.array([s[k] for s in sums])
+    return out
+
+
+def discounts(t: np.ndarray) -> np.ndarray:
+    """Modified Kneser-Ney discounts from how many grams have counts 1 to 4."""
+    y = t[0] / (t[0] + 2 * t[1]) if t[0] else 0.0
+    raw = [k - (k + 1) * y * t[k] / t[k - 1] if t[0] and t[k - 1] else 0.0 for k in (1, 2, 3)]
+    # too few grams to tell: the usual absolute discount
+    return np.array([r if 0 < r < k else 0.6 + 0.3 * (k - 1) for k, r in zip((1, 2, 3), raw)])
+
+
+def losses(texts: DataFrame, n: int) -> DataFrame:
+    """(a, b, trusted, model, loss, words, fresh_loss, fresh) per document of ``texts`` (a, b, model, trusted, text), copies summed.
+
+    ``fresh`` are the words whose trigram no (other) trusted text has; near
+    copies of trusted texts have few.
+    """
+    spark = texts.sparkSession
+    data = shards(texts, n)
+
+    def ask(index: int, rows: Iterator) -> Iterator[tuple[int, tuple]]:
+        blobs = [x[1:] for _, x in rows if x[0] == "gram"]
+        if not blobs:
+            return
+        s = Shard(blobs)
+        del blobs
+        yield 0, ("t", counts_of_counts(s.models3, s.n3), counts_of_counts(s.models2, s.n2))
+        to = (s.W % np.uint64(n)).astype(np.int64)
+        for k in range(n):
+            m = to == k
+            if m.any():
+                yield k, ("w", index, _pack(s.W[m], s.models1[m], _planes(s.before[m])), k)
+        release()
+
+    words = data.mapPartitionsWithIndex(ask).partitionBy(n, int)
+
+    def summed(rows: list) -> tuple[np.ndarray, np.ndarray, np.ndarray, list]:
+        asked = [(x[1], *_unpack(x[2], 3)) for _, x in rows if x[0] == "w"]
+        if not asked:
+            return np.empty(0, np.uint64), np.empty(0, np.uint64), np.empty(0), []
+        every = np.concatenate([w.view("<u8") for _, w, _, _ in asked])
+        found, rep, inv = _groups(every)
+        total = np.bincount(inv, np.concatenate([_ids(b) for *_, b in asked])).astype(np.int64)
+        return found, np.concatenate([m.view("<u8") for _, _, m, _ in asked])[rep], total, [(x[1], x[3], w.view("<u8")) for (_, x), (_, w, _, _) in zip([y for y in rows if y[1][0] == "w"], asked)]
+
+    def tell(rows: Iterator) -> Iterator[tuple]:
+        rows = list(rows)
+        _, models, total, _ = summed(rows)
+        yield counts_of_counts(models, total), [x[1:] for _, x in rows if x[0] == "t"]
+
+    tables: list[dict[int, np.ndarray]] = [{}, {}, {}]
+    for one, more in words.mapPartitions(tell).collect():
+        for k, found in [(0, one), *((j, x) for pair in more for j, x in zip((2, 1), pair))]:
+            for m, t in found.items():
+                tables[k][m] = tables[k].get(m, 0) + t
+    shared = spark.sparkContext.broadcast(tables)
+
+    def answer(rows: Iterator) -> Iterator[tuple[int, tuple]]:
+        found, _, total, asked = summed(list(rows))
+        for index, k, w in asked:
+            yield index, ("told", k, _pack(_planes(total[np.searchsorted(found, w)])))
+
+    answers = words.mapPartitions(answer).partitionBy(n, int)
+
+    def score(rows: Iterator) -> Iterator[tuple]:
+        blobs, told = [], []
+        for _, x in rows:
+            if x[0] == "docs":
+                yield x[1] % n, x
+            else:
+                (blobs if x[0] == "gram" else told).append(x[1:])
+        if not blobs:
+            return
+        s = Shard(blobs)
+        del blobs
+        # counts come in the order in which the words were asked for
+        one, to = np.zeros(len(s.W), np.int64), (s.W % np.uint64(n)).astype(np.int64)
+        for k, c in told:
+            one[to == k] = _ids(_unpack(c, 1)[0])
+        names, of = np.unique(s.model, return_inverse=True)
+        none = np.zeros(7)
+        t1 = np.array([shared.value[0].get(m, none) for m in names.tolist()])
+        cut = [np.array([discounts(t.get(m, none)) for m in names.tolist()])[of] for t in shared.value]
+        seen = _look(s.G, s.n3, s.gram)
+        less = np.where(s.trusted, s.own, 0)
+        p3, r3 = _level(s.doc, s.c, s.contexts3, seen, less, cut[2])
+        alone = (seen > 0) & (seen == less)
+        # the same one order below, on rows distinct in (doc, bigram)
+        _, rep, inv = _groups(_pair(s.b, s.doc.astype(np.uint64), 7))
+        n2, less2 = _look(s.B, s.n2, s.b[rep]), np.bincount(inv, alone).astype(np.int64)
+        p2, r2 = _level(s.doc[rep], s.w2[rep], s.contexts2, n2, less2, cut[1][rep])
+        alone2 = (n2 > 0) & (n2 == less2)
+        *_, inv1 = _groups(_pair(s.w3[rep], s.doc[rep].astype(np.uint64), 8))
+        n1 = np.maximum(one[s.at_w[rep]] - np.bincount(inv1, alone2)[inv1], 0).astype(np.int64)
+        c1, t = cut[0][rep], t1[of[rep]]
+        d = np.where(n1 > 0, np.take_along_axis(c1, np.clip(np.minimum(n1, 3) - 1, 0, 2)[:, None], 1)[:, 0], 0)
+        mass = c1[:, 0] * t[:, 0] + c1[:, 1] * t[:, 1] + c1[:, 2] * t[:, 4]
+        total = np.maximum(t[:, 6], 1)
+        p1 = np.maximum(n1 - d, 0) / total + np.where(t[:, 6] > 0, mass / total, 1.0) / (t[:, 5] + 1)
+        p = p3 + r3 * (p2 + r2 * p1)[inv]
+        loss, fresh = -np.log(np.maximum(p, 1e-30)) * s.own, seen == less
+        sums = [np.bincount(s.doc, x, len(s.docs)).astype("<f4") for x in (loss, s.own, loss * fresh, s.own * fresh)]
+        for chunk, first, end in s.chunks:
+            yield chunk % n, ("loss", chunk, _pack(s.docs["nth"][first:end], *(x[first:end] for x in sums)))
+        release()
+
+    def add(rows: Iterator) -> Iterator[tuple]:
+        rows = [x for _, x in rows]
+        chunks = {x[1]: np.frombuffer(x[2], FULL) for x in rows if x[0] == "docs"}
+        sums = {k: np.zeros((4, len(d))) for k, d in chunks.items()}
+        for kind, chunk, blob in rows:
+            if kind == "loss":
+                nth, *found = _unpack(blob, 5)
+                sums[chunk][:, nth.view("<u4")] += np.stack([x.view("<f4") for x in found])
+        for k, d in chunks.items():
+            model = np.ascontiguousarray(d["model"]).view("<i8")
+            loss, size, fresh_loss, fresh = sums[k]
+            yield from zip(d["a"].tolist(), d["b"].tolist(), (d["trusted"] > 0).tolist(), model.tolist(), loss.tolist(), size.astype(int).tolist(), fresh_loss.tolist(), fresh.astype(int).tolist())
+
+    # both are dealt alike, so that their partitions meet without another shuffle
+    met = data.union(answers)
+    assert met.getNumPartitions() == data.getNumPartitions()
+    rows = met.mapPartitions(score).partitionBy(n, int).mapPartitions(add)
+    found = spark.createDataFrame(rows, "a long, b long, trusted boolean, model long, loss double, words long, fresh_loss double, fresh long", verifySchema=False)
+    return found.groupBy("a", "b", "trusted", "model").agg(*[F.sum(c).alias(c) for c in ("loss", "words", "fresh_loss", "fresh")])

@@ -2,6 +2,7 @@
 
 import random
 import re
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -10,7 +11,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from evencube.llm import bytescan, decontam, graph, langid, licenses, neardup, packing, quality, tokencount, topk, toxicity, urlfilter
+from evencube.llm import bytescan, decontam, graph, langid, licenses, neardup, packing, quality, tokencount, topk, toxicity, urlfilter, wordmodel
 
 UP = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 PATTERNS = {"alnum": (bytescan.ALNUM, re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")), "solid": (bytescan.NON_SPACE, re.compile(r"[^\x20\x09-\x0D]+"))}
@@ -406,6 +407,58 @@ def test_quality_edges(spark):
     assert long.count() == len(EDGE)
 
 
+def test_word_model_by_hand(spark):
+    """Losses of a text outside the trusted ones against plain dictionaries; a trusted text is scored without its share."""
+    good = ["a b c a b", "a b d", "b c a b", "c a b c d"]
+    rows = [(k, 0, 7, True, t) for k, t in enumerate(good)] + [(9, 0, 7, False, "a b c x b d")]
+    found = lambda r: {x.a: x for x in wordmodel.losses(spark.createDataFrame(r, "a long, b long, model long, trusted boolean, text string"), 3).collect()}
+
+    def grams(texts):
+        return Counter(g for t in texts for w in [["<", "<", *t.split(), "<"]] for g in zip(w, w[1:], w[2:]))
+
+    n3 = grams(good)
+    n2 = Counter(g[1:] for g in n3)
+    n1 = Counter(g[1:] for g in n2)
+    uniform = 1 / (len(n1) + 1)
+
+    def p(gram):
+        if not gram:
+            return uniform
+        n = {3: n3, 2: n2, 1: n1}[len(gram)]
+        d = wordmodel.discounts([sum(v == k for v in n.values()) for k in (1, 2, 3, 4)])
+        same = [v for g, v in n.items() if g[:-1] == gram[:-1]]
+        if not same:
+            return p(gram[1:])
+        own = n[gram] - d[min(n[gram], 3) - 1] if n[gram] else 0
+        return own / sum(same) + min(1, sum(d[min(v, 3) - 1] for v in same) / sum(same)) * p(gram[1:])
+
+    got = found(rows)
+    assert got[9].loss == pytest.approx(-sum(np.log(p(g)) for g in grams(["a b c x b d"]).elements()), rel=1e-5)
+    assert (got[9].words, got[9].fresh) == (7, 3)
+    apart = found([*rows[1:4], (0, 0, 7, False, good[0])])
+    assert got[0].words == 6 and got[0].fresh == apart[0].fresh
+    assert got[0].loss == pytest.approx(apart[0].loss, rel=0.2)
+
+
+def test_what_the_word_model_gathers_is_open(spark):
+    """More trusted words make more grams, beyond any fixed alphabet: whole words count."""
+    good = [" ".join(f"w{(k * 7 + j) % 50}" for j in range(60)) for k in range(60)]
+    shuffled = " ".join(f"w{(j * j * 11 + 3 * j) % 50}" for j in range(60))
+    docs = frame(spark, [*good, shuffled], lang=["en"] * 61)
+    got = {r.doc_id: r for r in quality.score_quality(docs, quality.fit_quality(docs, spark.createDataFrame([(k, 1) for k in range(60)], "doc_id long, quality int"))).collect()}
+    assert got[60].perplexity > 5 * max(got[k].perplexity for k in range(60))
+
+
+def test_more_than_64_languages_have_models_of_their_own(spark):
+    texts, langs = [], []
+    for k in range(66):
+        texts += [f"lang{k} has a word{j % 5} of its own{k}" for j in range(20)]
+        langs += [f"l{k}"] * 20
+    docs = frame(spark, texts, lang=langs)
+    got = quality.score_quality(docs, quality.fit_quality(docs, spark.createDataFrame([(k, 1) for k in range(len(texts))], "doc_id long, quality int")))
+    assert {r.model for r in got.select("model").distinct().collect()} == {f"l{k}" for k in range(66)}
+
+
 def test_language_edges(spark):
     docs = frame(spark, ["the house and the garden"] * 3 + ["das haus und der garten"] * 3 + ["nothing"], lang=["en"] * 3 + ["de"] * 3 + [None])
     profiles = langid.fit_profiles(docs)
