@@ -140,6 +140,21 @@ def test_op6_keeps_good_and_drops_bad(spark, small):
     assert got[got.quality == 1].kept.mean() > 0.97 and got[got.quality == 0].kept.mean() < 0.3
 
 
+def test_op6_drops_every_kind_of_bad_document(spark, small):
+    """At sf0.1: most of each kind of bad document goes, and trusted ones stay."""
+    sf = small.replace("sf0.001", "sf0.1")
+    got = q.op6_quality(spark, sf).toPandas().merge(pd.read_parquet(f"{sf}/labels.parquet"), on="doc_id")
+    got = got.merge(pd.read_parquet(f"{sf}/documents.parquet", columns=["doc_id", "text"]), on="doc_id")
+    words = got.text.str.split()
+    repeats = words.map(lambda w: sum(a == b for a, b in zip(w, w[1:])) > 0.3 * max(len(w) - 1, 1))
+    lists, symbols = got.text.str.count(r"\|") > 3, got.text.str.contains(r"[#$%&*]{3}")
+    bad = got.quality == 0
+    assert got[~bad].kept.mean() > 0.985
+    assert got[bad & repeats].kept.mean() < 0.45
+    for kind in (lists & ~repeats, symbols & ~repeats, ~(lists | symbols | repeats)):
+        assert got[bad & kind].kept.mean() < 0.05
+
+
 def test_every_query_runs_on_whole_tables(spark, small):
     n = len(pd.read_parquet(f"{small}/documents.parquet"))
     for name in ("op1_toxicity", "op5_license_scan", "op6_quality", "op7_token_counts", "op8_decontamination", "op9_language_id"):
