@@ -11,14 +11,14 @@ import tempfile
 import uuid
 
 import public_tokenizers
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from evencube.llm.common import table
+from evencube.llm.common import durable, table
 from evencube.llm.decontam import find_contamination
 from evencube.llm.neardup import near_duplicates
 from evencube.llm.packing import pack
-from evencube.llm.quality import fit_quality, score_quality
+from evencube.llm.quality import MAX_BROADCAST_IDS, fit_quality, score_quality
 from evencube.llm.toxicity import fit_toxicity, score_toxicity
 
 #: SQL cannot express the trained stages.
@@ -53,10 +53,27 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near duplicates (five words, 0.8) the document with the smallest id."""
-    found = near_duplicates(docs, words=5, percent=80)
-    dropped = found.where("not kept and doc_id is not null").select("doc_id").distinct()
-    return docs.join(dropped, "doc_id", "left_anti").select(*[f"`{c}`" for c in docs.columns])
+    """Of each group of near duplicates (five words, 0.8) one row: that of the smallest id.
+
+    A row without an id is compared too; it counts as one of a very large id
+    that its text gives. Of rows of the same id and text one stays; rows of the
+    same id whose texts differ, and rows without words, pass.
+    """
+    text = F.col("text")
+    large = F.lit(1 << 62).bitwiseOR(F.xxhash64(text).bitwiseAND(F.lit((1 << 62) - 1)))
+    words = text.rlike(r"[^\x20\x09-\x0D]")
+    keyed = docs.withColumns({"__id": F.coalesce(F.col("doc_id").cast("long"), F.when(words, large)), "__sign": F.when(words, F.struct(F.xxhash64(text), F.xxhash64(F.lit(1), text)))})
+    found = near_duplicates(keyed, words=5, percent=80, doc_id="__id")
+    dropped = found.where("not kept and doc_id is not null").select(F.col("doc_id").alias("__id")).distinct()
+    left, same = keyed.join(dropped, "__id", "left_anti"), ["__id", "__sign"]
+    repeated = durable(keyed.where("__sign is not null").groupBy(*same).count().where("count > 1").select(*same))
+    n = repeated.count()
+    if n:
+        repeated = F.broadcast(repeated) if n <= MAX_BROADCAST_IDS else repeated
+        first = Window.partitionBy(*same).orderBy(F.lit(0))
+        one = left.join(repeated, same, "left_semi").withColumn("__nth", F.row_number().over(first)).where("__nth = 1").drop("__nth")
+        left = left.join(repeated, same, "left_anti").unionByName(one)
+    return left.select(*[f"`{c}`" for c in docs.columns])
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -178,6 +178,19 @@ def test_pipeline(spark, small):
     assert key(run) == key(docs.toPandas())
 
 
+def test_near_dedup_keeps_one_row_of_repeated_and_of_null_ids(spark, small):
+    import corpus_pipeline
+
+    long = " ".join(f"w{k}" for k in range(60))
+    other, third = long.replace("w", "x"), long.replace("w", "y")
+    rows = [(1, long), (1, long), (2, long), (None, long), (None, other), (None, other), (None, other + " x60"), (4, third), (4, "apart"), (5, None), (5, None), (None, " ")]
+    got = corpus_pipeline.near_dedup(spark, spark.createDataFrame(rows, "doc_id long, text string"), small).collect()
+    assert sum(r.text == long for r in got) == 1 and [r.doc_id for r in got if r.text == long] == [1]
+    assert sum((r.text or "").startswith(other) for r in got) == 1
+    assert sorted(r.text for r in got if r.doc_id == 4) == ["apart", third]
+    assert sum(r.text is None for r in got) == 2 and sum(r.text == " " for r in got) == 1
+
+
 def test_pipeline_on_an_empty_table(spark, small, tmp_path):
     import corpus_pipeline
 
