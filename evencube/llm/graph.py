@@ -1,40 +1,61 @@
-"""Connected components by alternating star contractions."""
+"""Connected components by alternating star contractions, and joins that split hot keys."""
 
 from __future__ import annotations
 
+from collections.abc import Sequence
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import durable
 
+#: A key is hot when it has more rows than this and than a ``HOT_KEYS``-th of them all: there are fewer than HOT_KEYS such.
+HOT_ROWS, HOT_KEYS = 256, 8192
+
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def join_split(rows: DataFrame, values: DataFrame, keys: Sequence[str], n: str, total: int) -> DataFrame:
+    """Inner join of ``rows`` with ``values``, which has one row a key and in column ``n`` the key's number of rows.
+
+    The rows of hot keys stay where they are and meet a broadcast of those
+    keys' values, fewer than ``HOT_KEYS`` rows whatever the size; all others
+    are joined by shuffle. ``total`` is the number of rows.
+    """
+    keys, bound = list(keys), max(HOT_ROWS, total // HOT_KEYS)
+    hot = values.where(F.col(n) > bound).drop(n)
+    cold = values.where(F.col(n) <= bound).drop(n)
+    there = F.broadcast(hot.select(*keys))
+    return rows.join(F.broadcast(hot), keys).unionByName(rows.join(there, keys, "left_anti").join(cold, keys))
+
+
+def _large_star(edges: DataFrame, total: int) -> DataFrame:
     """Every larger neighbour of a node moves to the node's smallest neighbour (or the node itself)."""
     both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    least = both.groupBy("a").agg(F.min("b").alias("low"))
-    moved = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.least("a", "low").alias("b"))
+    least = both.groupBy("a").agg(F.min("b").alias("low"), F.count_if(F.col("b") > F.col("a")).alias("n"))
+    up = edges.select(F.col("b").alias("a"), F.col("a").alias("b"))
+    moved = join_split(up, least, ["a"], "n", total).select(F.col("b").alias("a"), F.least("a", "low").alias("b"))
     return moved.where("a <> b").distinct()
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
+def _small_star(edges: DataFrame, total: int) -> DataFrame:
     """Every smaller neighbour of a node, and the node, move to the smallest of them; edges point down (a > b)."""
-    least = edges.groupBy("a").agg(F.min("b").alias("low"))
-    moved = edges.join(least, "a").select(F.col("b").alias("a"), F.col("low").alias("b")).unionByName(least.select("a", F.col("low").alias("b")))
-    return moved.where("a <> b").distinct()
+    least = edges.groupBy("a").agg(F.min("b").alias("low"), F.count("*").alias("n"))
+    moved = join_split(edges, least, ["a"], "n", total).select(F.col("b").alias("a"), F.col("low").alias("b"))
+    own = least.select("a", F.col("low").alias("b"))
+    return moved.unionByName(own).where("a <> b").distinct()
 
 
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, component) for every node of an undirected edge; component is the smallest node that can be reached.
 
     Loops and repeated edges do no harm; edges with a null end are left out.
-    Nothing is collected; a hub's edges meet in one task, as sorted, spillable
-    rows. The number of rounds grows with the logarithm of the graph.
+    Nothing is collected, and a hub's edges are not gathered in one task. The
+    number of rounds grows with the logarithm of the graph.
     """
     pairs = edges.where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != F.col(b)))
     now = durable(pairs.select(F.greatest(a, b).alias("a"), F.least(a, b).alias("b")).distinct())
     mark = _mark(now)
     while mark[0]:
-        now = durable(_small_star(_large_star(now)))
+        now = durable(_small_star(durable(_large_star(now, mark[0])), mark[0]))
         before, mark = mark, _mark(now)
         if mark == before:
             break

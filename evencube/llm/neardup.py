@@ -3,15 +3,17 @@
 Two collections of ``m`` half keys, each of ``HASHES`` minhashes, stand for all
 ``m * m`` tables whose keys pair a half key of one collection with one of the
 other: the tables of twice as long keys cost only the square root of their
-minhashes. Documents of equal sets form one class. Classes that share a table
-key form blocks; inside blocks every pair is compared by its whole sets, in
-tiles of bounded size, and the links' connected components are the result.
+minhashes. Documents of equal sets form one class. A table bucket's smallest
+class is its hub. Every class is first compared, by whole sets, with two of its
+hubs; what that joins is contracted, and only in buckets that still hold several
+components are the pairs across components compared too. A pair must agree in
+enough half keys before sets are sent. Components of the links are the result.
 """
 
 from __future__ import annotations
 
 import math
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -21,13 +23,19 @@ from pyspark.sql import types as T
 
 from . import bytescan
 from .common import durable, map_text
-from .graph import components
+from .graph import components, join_split
 
 #: Minhashes of a half key; chance that a pair at the threshold shares no table.
-HASHES, MISS = 3, 2e-4
+HASHES, MISS = 4, 2e-4
 
-#: Classes of a block that one side of a tile holds, and the most for blocks of over TILE * TILE classes.
-TILE, LARGE_TILE = 128, 1024
+#: Chance that a pair at the threshold agrees in too few half keys to be compared.
+FEW = 2e-5
+
+#: Classes of a bucket whose pairs are made by a join; those of larger ones are made tile by tile, a side of TILE each.
+SMALL, TILE = 32, 256
+
+#: Bytes of sets and members that one hub meets in one task.
+HUB_BYTES, HUB_ROWS = 32 << 20, 1024
 
 SEED = 0x5EED_0F_5E75
 
@@ -37,6 +45,14 @@ def half_keys(similarity: float, hashes: int = HASHES, miss: float = MISS) -> in
     return max(1, math.ceil(math.log(miss / 2) / math.log(1 - similarity**hashes))) if similarity < 1 else 1
 
 
+def least_agreement(similarity: float, m: int, hashes: int = HASHES, few: float = FEW) -> int:
+    """Half keys that two sets at ``similarity`` agree in, at least, but for a chance of ``few``; of 2 m."""
+    p, below, k = similarity**hashes, 0.0, 0
+    while k < 2 * m and (below := below + math.comb(2 * m, k) * p**k * (1 - p) ** (2 * m - k)) <= few:
+        k += 1
+    return max(k, 2)
+
+
 def sketcher(words: int, m: int) -> Callable[[pa.Array], list[pa.Array]]:
     """Per text: set size, two 64-bit set signatures, m half keys of either collection (none for an empty set)."""
     rng = np.random.default_rng(SEED)
@@ -89,42 +105,12 @@ def set_bytes(words: int) -> Callable[[pa.Array], list[pa.Array]]:
     return work
 
 
-def tile_links(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, alone: bool, percent: int) -> list[tuple[int, int]]:
-    """Links that connect all classes of a tile whose sets are similar enough: a spanning forest of them.
-
-    ``side`` is false for classes of the tile's first part and true for its
-    second; with ``alone`` the tile is one part against itself.
-    """
-    size = np.array([len(s) for s in sets])
-    h = np.concatenate(sets)
-    owner = np.repeat(np.arange(len(sets)), size)
-    _, at, held = np.unique(h, return_inverse=True, return_counts=True)
-    shared = held > 1
-    place = np.cumsum(shared) - 1
-    use = shared[at]
-    # rows that differ in a few shingles share most; the product counts them
-    matrix = np.zeros((len(sets), int(shared.sum())), np.float32)
-    matrix[owner[use], place[at[use]]] = 1
-    left = np.arange(len(sets)) if alone else np.flatnonzero(~side)
-    right = left if alone else np.flatnonzero(side)
-    both = (matrix[left] @ matrix[right].T).astype(np.int64)
-    either = size[left][:, None] + size[right][None, :] - both
-    x, y = np.nonzero(100 * both >= percent * either)
-    root = list(range(len(sets)))
-
-    def find(i: int) -> int:
-        while root[i] != i:
-            root[i] = root[root[i]]
-            i = root[i]
-        return i
-
-    out = []
-    for i, j in zip(left[x].tolist(), right[y].tolist()):
-        a, b = find(i), find(j)
-        if a != b:
-            root[max(a, b)] = min(a, b)
-            out.append((int(ids[i]), int(ids[j])))
-    return out
+def shared_with(hub: np.ndarray, sets: list[np.ndarray]) -> np.ndarray:
+    """How many values of each of ``sets`` are in the sorted ``hub``."""
+    every = np.concatenate(sets)
+    at = np.minimum(np.searchsorted(hub, every), len(hub) - 1)
+    owner = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+    return np.bincount(owner[hub[at] == every], minlength=len(sets))
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
@@ -137,8 +123,9 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
     (64-bit shingle hashes). component_id is the smallest id that links reach,
     kept says that it is the document's own. Repeated rows come back repeated;
     rows that share an id count as connected; a null id keeps its row, with a
-    null component and kept false. A pair at the threshold shares no table with
-    chance ``MISS`` at most, one of higher similarity still less.
+    null component and kept false. A pair at the threshold shares no table, or
+    too few half keys, with chance ``MISS + FEW`` at most, one of higher
+    similarity still less.
     """
     if not 0 < percent <= 100:
         raise ValueError("0 < percent <= 100")
@@ -149,53 +136,153 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
     sketched = durable(map_text(source, "text", fields, lambda: sketcher(words, m)).drop("text"))
     known = sketched.where("doc_id is not null and n_shingles > 0")
     # one row per class of equal sets
-    classes = durable(known.groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"), F.first("left").alias("left"), F.first("right").alias("right")))
-
-    blocks = components(_table_edges(classes))
-    links = _block_links(source, blocks, classes, words, percent)
-    linked = components(links).select(F.col("node").alias("rep"), F.col("component"))
-    of_class = classes.select("s1", "s2", "rep").join(linked, "rep", "left").select("s1", "s2", F.coalesce("component", "rep").alias("component"))
-    of_row = sketched.select("doc_id", "n_shingles", "s1", "s2").join(of_class, ["s1", "s2"], "left")
-    component = F.when(F.col("n_shingles") > 0, F.when(F.col("doc_id").isNotNull(), F.col("component"))).otherwise(F.col("doc_id"))
-    return of_row.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(False)).alias("kept"))
+    kept = [F.first(c).alias(c) for c in ("left", "right", "n_shingles")]
+    classes = durable(known.groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n"), *kept))
+    repeated = durable(known.groupBy("doc_id").count().where("count > 1").select("doc_id"))
+    repeats = repeated.count() > 0
+
+    paired = durable(_table_keys(classes, m))
+    total = paired.count()
+    hubs = paired.groupBy("key").agg(F.min("rep").alias("b"), F.count("*").alias("n")).where("n > 1")
+    stars = durable(join_split(paired, hubs, ["key"], "n", total).where("rep <> b").groupBy(F.col("rep").alias("a"), "b").agg(F.count("*").alias("tables")))
+    reps = stars.select(F.col("a").alias("doc_id")).unionByName(stars.select(F.col("b").alias("doc_id"))).distinct()
+    sets = durable(_sets(source, reps, repeated if repeats else None, words))
+
+    # the smallest hub joins a family to one star, the one met most often reaches over its drift
+    two = stars.groupBy("a").agg(F.min("b").alias("x"), F.max_by("b", F.struct("tables", -F.col("b"))).alias("y"))
+    first = durable(two.select("a", F.explode(F.array_distinct(F.array("x", "y"))).alias("b")))
+    links = _confirmed(first, sets, percent)
+    if repeats:
+        links = links.unionByName(_of_one_id(known, repeated, classes))
+    joined = components(links)
+    rest = _across(paired, total, joined, classes, first, m, percent)
+    more = durable(_confirmed(rest, sets, percent))
+    if more.count():
+        joined = components(joined.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
+
+    linked = joined.select(F.col("node").alias("rep"), "component")
+    of_class = classes.select("s1", "s2", "rep", "n").join(linked, "rep", "left")
+    of_class = of_class.select("s1", "s2", "n", F.coalesce("component", "rep").alias("component_id"))
+    found = join_split(known.select("doc_id", "n_shingles", "s1", "s2"), of_class, ["s1", "s2"], "n", sketched.count())
+    kept = (F.col("doc_id") == F.col("component_id")).alias("kept")
+    alone = sketched.where("doc_id is null or n_shingles = 0")
+    own = F.when(F.col("n_shingles") == 0, F.col("doc_id")).alias("component_id")
+    return found.select("doc_id", "n_shingles", "component_id", kept).unionByName(
+        alone.select("doc_id", "n_shingles", own, F.col("doc_id").isNotNull().alias("kept"))
+    )
 
 
-def _table_edges(classes: DataFrame) -> DataFrame:
-    """(a, b): every class with the smallest class of each table bucket they share.
+def _table_keys(classes: DataFrame, m: int) -> DataFrame:
+    """(rep, key) of every table that a class may share.
 
     A table's key can only be shared where both its half keys are, so half keys
     of a single class are dropped before they are paired.
     """
+    total = classes.count() * m
 
     def shared(side: str) -> DataFrame:
-        rows = classes.select("rep", F.explode(side).alias(side))
-        met = rows.groupBy(side).agg(F.count("*").alias("n")).where("n > 1").select(side)
-        return rows.join(met, side)
-
-    paired = shared("left").join(shared("right"), "rep").select("rep", F.xxhash64("left", "right").alias("key"))
-    paired = durable(paired)
-    least = paired.groupBy("key").agg(F.min("rep").alias("b"), F.count("*").alias("n")).where("n > 1").drop("n")
-    return paired.join(least, "key").where("rep <> b").select(F.col("rep").alias("a"), "b").distinct()
-
-
-def _block_links(source: DataFrame, blocks: DataFrame, classes: DataFrame, words: int, percent: int) -> DataFrame:
-    """(a, b) links between classes of one block, from whole sets, tile by tile."""
-    members = blocks.select(F.col("node").alias("rep"), F.col("component").alias("block"))
-    size = F.count("*")
-    count = F.greatest(F.least(F.ceil(size / TILE), F.lit(TILE)), F.ceil(size / LARGE_TILE))
-    parts = members.groupBy("block").agg(count.cast("int").alias("parts"))
-    placed = members.join(parts, "block").withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
-    texts = source.join(placed.withColumnRenamed("rep", "doc_id"), "doc_id")
-    sets = map_text(texts, "text", [T.StructField("set", T.BinaryType())], lambda: set_bytes(words)).drop("text")
+        rows = classes.select("rep", F.xxhash64("s1", "s2").alias("class"), F.explode(side).alias(side))
+        met = rows.groupBy(side).agg(F.count("*").alias("n")).where("n > 1")
+        return join_split(rows, met, [side], "n", total)
+
+    return shared("left").join(shared("right"), ["rep", "class"]).select("rep", F.xxhash64("left", "right").alias("key"))
+
+
+def _sets(source: DataFrame, reps: DataFrame, repeated: DataFrame | None, words: int) -> DataFrame:
+    """(rep, size, set) of the classes named by ``reps``; an id of several texts has several, one of repeated rows one."""
+    texts = source.join(reps, "doc_id", "left_semi")
+    if repeated is not None:
+        many = texts.join(repeated, "doc_id", "left_semi").withColumns({"__h": F.xxhash64("text"), "__g": F.xxhash64(F.lit(1), "text")})
+        texts = texts.join(repeated, "doc_id", "left_anti").unionByName(many.dropDuplicates(["doc_id", "__h", "__g"]).drop("__h", "__g"))
+    found = map_text(texts, "text", [T.StructField("set", T.BinaryType())], lambda: set_bytes(words))
+    return found.select(F.col("doc_id").alias("rep"), (F.octet_length("set") / 8).cast("long").alias("size"), "set").where("size > 0")
+
+
+def _of_one_id(known: DataFrame, repeated: DataFrame, classes: DataFrame) -> DataFrame:
+    """(a, b): every id of repeated rows with the classes of its texts."""
+    rows = known.select("doc_id", "s1", "s2").join(repeated, "doc_id", "left_semi").distinct()
+    return rows.join(classes.select("s1", "s2", "rep"), ["s1", "s2"]).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
+
+
+def _across(paired: DataFrame, total: int, joined: DataFrame, classes: DataFrame, done: DataFrame, m: int, percent: int) -> DataFrame:
+    """(a, b), a > b: pairs of a bucket, of different components so far, that agree in enough half keys; without those in ``done``."""
+    least = least_agreement(percent / 100, m)
+    labelled = paired.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("rep", "key", F.coalesce("component", "rep").alias("c"))
+    open_ = labelled.groupBy("key").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.count("*").alias("n")).where("low <> high")
+    members = durable(join_split(labelled, open_.select("key", "n", F.col("n").alias("size")), ["key"], "n", total))
+    sketch = classes.select("rep", "left", "right", "n_shingles")
+
+    few = members.where(F.col("size") <= SMALL).select("key", "rep", "c")
+    other = few.select("key", F.col("rep").alias("b"), F.col("c").alias("d"))
+    met = few.withColumnRenamed("rep", "a").join(other, "key").where("a > b and c <> d").select("a", "b").distinct()
+    met = met.join(done, ["a", "b"], "left_anti")
+    one, two = (sketch.toDF(*[f"{c}_{x}" for c in sketch.columns]).withColumnRenamed(f"rep_{x}", x) for x in "ab")
+    agree = F.size(F.array_intersect("left_a", "left_b")) + F.size(F.array_intersect("right_a", "right_b"))
+    like = 100 * F.least("n_shingles_a", "n_shingles_b") >= percent * F.greatest("n_shingles_a", "n_shingles_b")
+    small = met.join(one, "a").join(two, "b").where(like & (agree >= least)).select("a", "b")
+
+    large = members.where(F.col("size") > SMALL).withColumn("parts", F.ceil(F.col("size") / TILE).cast("int"))
+    large = large.join(sketch, "rep").withColumn("part", F.pmod(F.xxhash64("rep"), "parts").cast("int"))
     # part p meets every part: tile (min, max)
-    tiled = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select(
-        "block", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", F.col("doc_id").alias("rep"), "set"
+    tiles = large.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select(
+        "key", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "rep", "c", F.concat("left", "right").alias("halves")
     )
 
     def run(tile: pa.Table) -> pa.Table:
+        rep, c, part = (tile[x].to_numpy() for x in ("rep", "c", "part"))
+        halves = tile["halves"].combine_chunks().flatten().to_numpy().reshape(len(rep), -1)
         i, j = tile["i"][0].as_py(), tile["j"][0].as_py()
-        sets = [np.frombuffer(b, np.uint64) for b in tile["set"].to_pylist()]
-        found = tile_links(tile["rep"].to_numpy(), sets, tile["part"].to_numpy() != i, i == j, percent) if sets else []
-        return pa.table({"a": pa.array([a for a, _ in found], pa.int64()), "b": pa.array([b for _, b in found], pa.int64())})
+        x, y = np.flatnonzero(part == i), np.flatnonzero(part == j)
+        same = np.zeros((len(x), len(y)), np.int16)
+        for k in range(halves.shape[1]):
+            same += halves[x, k][:, None] == halves[y, k][None, :]
+        p, q = np.nonzero((same >= least) & (c[x][:, None] != c[y][None, :]))
+        a, b = rep[x[p]], rep[y[q]]
+        return pa.table({"a": pa.array(np.maximum(a, b), pa.int64()), "b": pa.array(np.minimum(a, b), pa.int64())})
+
+    big = tiles.groupBy("key", "i", "j").applyInArrow(run, "a long, b long").distinct().join(done, ["a", "b"], "left_anti")
+    return durable(small.unionByName(big).distinct())
+
+
+def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(a, b) of ``pairs`` whose whole sets are similar enough; ``b`` is the hub that its members are sent to.
+
+    A hub of many members, or of many bytes, is sent to several tasks.
+    """
+    sizes = sets.groupBy("rep").agg(F.min("size").alias("low"), F.max("size").alias("high"))
+    spread = F.greatest(F.ceil(F.col("n") / HUB_ROWS), F.ceil(F.col("n") * F.col("high") * (800 / percent) / HUB_BYTES)).cast("int")
+    hubs = pairs.groupBy("b").agg(F.count("*").alias("n")).join(sizes.withColumnRenamed("rep", "b"), "b").withColumn("chunks", spread)
+    members = join_split(pairs, hubs, ["b"], "n", pairs.count()).join(sets.withColumnRenamed("rep", "a"), "a")
+    members = members.where(100 * F.least("size", "high") >= percent * F.greatest("size", "low"))
+    own = hubs.join(sets.withColumnRenamed("rep", "b"), "b").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    rows = own.select("b", "chunk", F.lit(None).cast("long").alias("a"), "set").unionByName(
+        members.select("b", F.pmod(F.xxhash64("a"), "chunks").cast("int").alias("chunk"), "a", "set")
+    )
 
-    return tiled.groupBy("block", "i", "j").applyInArrow(run, "a long, b long")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hub, hub_sets = (None, None), []
+        for batch in batches:
+            b, chunk, a = batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()
+            sets = [np.frombuffer(x, np.uint64) for x in batch.column(3).to_pylist()]
+            out_a, out_b, k = [], [], 0
+            while k < len(a):
+                if a[k] is None:
+                    # the hub's own rows come first
+                    hub, hub_sets = ((b[k], chunk[k]), [*hub_sets, sets[k]]) if hub == (b[k], chunk[k]) else ((b[k], chunk[k]), [sets[k]])
+                    k += 1
+                    continue
+                stop = k + 1
+                while stop < len(a) and a[stop] is not None:
+                    stop += 1
+                size = np.array([len(s) for s in sets[k:stop]])
+                near = np.zeros(stop - k, bool)
+                for mine in hub_sets:
+                    both = shared_with(mine, sets[k:stop])
+                    near |= 100 * both >= percent * (size + len(mine) - both)
+                out_a += [x for x, yes in zip(a[k:stop], near.tolist()) if yes]
+                out_b += [hub[0]] * int(near.sum())
+                k = stop
+            yield pa.RecordBatch.from_arrays([pa.array(out_a, pa.int64()), pa.array(out_b, pa.int64())], names=["a", "b"])
+
+    dealt = rows.repartition("b", "chunk").sortWithinPartitions("b", "chunk", F.col("a").asc_nulls_first())
+    return dealt.mapInArrow(run, "a long, b long")

@@ -260,6 +260,35 @@ def test_components_by_brute_force(spark):
     assert graph.components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_hot_keys_are_joined_apart(spark):
+    rows = spark.createDataFrame([(1, k) for k in range(600)] + [(2, 7), (3, 8), (None, 9)], "a long, x long")
+    values = rows.groupBy("a").count().withColumnRenamed("count", "n").where("a <> 3").withColumn("low", F.col("a") * 10)
+    got = graph.join_split(rows, values, ["a"], "n", rows.count())
+    assert sorted((r.a, r.x, r.low) for r in got.collect()) == [(1, k, 10) for k in range(600)] + [(2, 7, 20)]
+
+
+def test_boilerplate_is_hardly_compared(spark, monkeypatch):
+    counted, confirmed = [], neardup._confirmed
+
+    def watch(pairs, sets, percent):
+        counted.append(pairs.count())
+        return confirmed(pairs, sets, percent)
+
+    monkeypatch.setattr(neardup, "_confirmed", watch)
+    same = " ".join(f"s{k}" for k in range(60))
+    texts = [same + " " + " ".join(f"x{r}_{k}" for k in range(60)) for r in range(3000)]
+    got = neardup.near_duplicates(frame(spark, texts)).toPandas()
+    assert got.kept.all() and sum(counted) < 50_000
+
+
+def test_many_copies_of_one_id(spark):
+    base = [f"w{k}" for k in range(30)]
+    rows = spark.range(20_000).select(F.lit(7).cast("long").alias("doc_id"), F.lit(" ".join(base)).alias("text"))
+    more = [(3, " ".join(base[:-1] + ["x"])), (7, "quite another text of one id"), (9, "quite another text of one id"), (5, "alone")]
+    got = neardup.near_duplicates(rows.unionByName(spark.createDataFrame(more, "doc_id long, text string"))).groupBy("doc_id", "component_id", "kept").count().collect()
+    assert sorted((r.doc_id, r.component_id, r.kept, r["count"]) for r in got) == [(3, 3, True, 1), (5, 5, True, 1), (7, 3, False, 20_001), (9, 3, False, 1)]
+
+
 def test_half_keys():
     for s in (0.5, 0.8, 0.85):
         m = neardup.half_keys(s)
@@ -283,8 +312,10 @@ def test_near_duplicate_edges(spark):
     assert neardup.near_duplicates(rows.limit(0)).count() == 0
 
 
-def test_large_families_are_linked_in_tiles(spark, monkeypatch):
-    monkeypatch.setattr(neardup, "TILE", 8)
+@pytest.mark.parametrize("limits", [{}, {"SMALL": 1, "TILE": 8}, {"HUB_ROWS": 3}])
+def test_large_families_are_linked(spark, monkeypatch, limits):
+    for name, value in limits.items():
+        monkeypatch.setattr(neardup, name, value)
     r, base = random.Random(5), [f"w{k}" for k in range(120)]
     texts = []
     for k in range(60):
