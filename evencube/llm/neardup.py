@@ -6,8 +6,9 @@ other: the tables of twice as long keys cost only the square root of their
 minhashes. Documents of equal sets form one class. A table bucket's smallest
 class is its hub. Every class is first compared, by whole sets, with two of its
 hubs; what that joins is contracted, and only in buckets that still hold several
-components are the pairs across components compared too. A pair must agree in
-enough half keys before sets are sent. Components of the links are the result.
+components are the other pairs compared too: one by one those of small buckets,
+tile by tile those of blocks of large ones. They must agree in enough half keys
+before sets are sent. Components of the links are the result.
 """
 
 from __future__ import annotations
@@ -31,11 +32,14 @@ HASHES, MISS = 4, 2e-4
 #: Chance that a pair at the threshold agrees in too few half keys to be compared.
 FEW = 2e-5
 
-#: Classes of a bucket whose pairs are made by a join; those of larger ones are made tile by tile, a side of TILE each.
-SMALL, TILE = 32, 256
+#: Classes of a bucket whose pairs are made by a join; larger ones are compared tile by tile, a side of TILE each.
+SMALL, TILE = 16, 256
+
+#: Shingles that a tile's product takes at once.
+COLUMNS = 1 << 14
 
 #: Bytes of sets and members that one hub meets in one task.
-HUB_BYTES, HUB_ROWS = 32 << 20, 1024
+HUB_BYTES, HUB_ROWS = 32 << 20, 128
 
 SEED = 0x5EED_0F_5E75
 
@@ -143,7 +147,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
 
     paired = durable(_table_keys(classes, m))
     total = paired.count()
-    hubs = paired.groupBy("key").agg(F.min("rep").alias("b"), F.count("*").alias("n")).where("n > 1")
+    hubs = durable(paired.groupBy("key").agg(F.min("rep").alias("b"), F.count("*").alias("n")).where("n > 1"))
     stars = durable(join_split(paired, hubs, ["key"], "n", total).where("rep <> b").groupBy(F.col("rep").alias("a"), "b").agg(F.count("*").alias("tables")))
     reps = stars.select(F.col("a").alias("doc_id")).unionByName(stars.select(F.col("b").alias("doc_id"))).distinct()
     sets = durable(_sets(source, reps, repeated if repeats else None, words))
@@ -155,8 +159,11 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
     if repeats:
         links = links.unionByName(_of_one_id(known, repeated, classes))
     joined = components(links)
-    rest = _across(paired, total, joined, classes, first, m, percent)
-    more = durable(_confirmed(rest, sets, percent))
+    members = _open_buckets(paired, total, hubs, stars, joined)
+    sketch = classes.select("rep", "left", "right", "n_shingles")
+    least = least_agreement(percent / 100, m)
+    more = _confirmed(_small_pairs(members, sketch, first, least, percent), sets, percent)
+    more = durable(more.unionByName(_tile_links(members, sketch, sets, least, percent)))
     if more.count():
         joined = components(joined.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
 
@@ -204,44 +211,100 @@ def _of_one_id(known: DataFrame, repeated: DataFrame, classes: DataFrame) -> Dat
     return rows.join(classes.select("s1", "s2", "rep"), ["s1", "s2"]).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
 
 
-def _across(paired: DataFrame, total: int, joined: DataFrame, classes: DataFrame, done: DataFrame, m: int, percent: int) -> DataFrame:
-    """(a, b), a > b: pairs of a bucket, of different components so far, that agree in enough half keys; without those in ``done``."""
-    least = least_agreement(percent / 100, m)
-    labelled = paired.join(joined.withColumnRenamed("node", "rep"), "rep", "left").select("rep", "key", F.coalesce("component", "rep").alias("c"))
-    open_ = labelled.groupBy("key").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.count("*").alias("n")).where("low <> high")
-    members = durable(join_split(labelled, open_.select("key", "n", F.col("n").alias("size")), ["key"], "n", total))
-    sketch = classes.select("rep", "left", "right", "n_shingles")
+def _open_buckets(paired: DataFrame, total: int, hubs: DataFrame, stars: DataFrame, joined: DataFrame) -> DataFrame:
+    """(key, rep, c, size) of the buckets that hold several components c so far."""
+    one, two = joined.toDF("a", "c"), joined.toDF("b", "d")
+    apart = stars.join(one, "a", "left").join(two, "b", "left").where(F.coalesce("c", "a") != F.coalesce("d", "b"))
+    left = hubs.join(apart.select("b").distinct(), "b", "left_semi").select("key", "n", F.col("n").alias("size"))
+    members = join_split(paired, left, ["key"], "n", total).join(joined.toDF("rep", "component"), "rep", "left")
+    members = durable(members.select("key", "rep", F.coalesce("component", "rep").alias("c"), "size"))
+    several = members.groupBy("key").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.count("*").alias("n")).where("low <> high")
+    return durable(join_split(members, several.select("key", "n"), ["key"], "n", total))
+
 
+def _small_pairs(members: DataFrame, sketch: DataFrame, done: DataFrame, least: int, percent: int) -> DataFrame:
+    """(a, b), a > b, not in ``done``: pairs of a small bucket, of different components, that agree in enough half keys."""
     few = members.where(F.col("size") <= SMALL).select("key", "rep", "c")
-    other = few.select("key", F.col("rep").alias("b"), F.col("c").alias("d"))
-    met = few.withColumnRenamed("rep", "a").join(other, "key").where("a > b and c <> d").select("a", "b").distinct()
+    met = few.toDF("key", "a", "c").join(few.toDF("key", "b", "d"), "key").where("a > b and c <> d").select("a", "b").distinct()
     met = met.join(done, ["a", "b"], "left_anti")
     one, two = (sketch.toDF(*[f"{c}_{x}" for c in sketch.columns]).withColumnRenamed(f"rep_{x}", x) for x in "ab")
     agree = F.size(F.array_intersect("left_a", "left_b")) + F.size(F.array_intersect("right_a", "right_b"))
     like = 100 * F.least("n_shingles_a", "n_shingles_b") >= percent * F.greatest("n_shingles_a", "n_shingles_b")
-    small = met.join(one, "a").join(two, "b").where(like & (agree >= least)).select("a", "b")
+    return durable(met.join(one, "a").join(two, "b").where(like & (agree >= least)).select("a", "b").distinct())
+
 
-    large = members.where(F.col("size") > SMALL).withColumn("parts", F.ceil(F.col("size") / TILE).cast("int"))
-    large = large.join(sketch, "rep").withColumn("part", F.pmod(F.xxhash64("rep"), "parts").cast("int"))
+def _tile_links(members: DataFrame, sketch: DataFrame, sets: DataFrame, least: int, percent: int) -> DataFrame:
+    """(a, b) links inside blocks of large buckets, from whole sets: a spanning forest of each tile.
+
+    Buckets that share classes make a block, so that a pair is compared once.
+    Sets are sent only to the tiles where a class agrees with one of another
+    component in enough half keys.
+    """
+    large = members.where(F.col("size") > SMALL)
+    low = large.groupBy("key").agg(F.min("rep").alias("b"), F.count("*").alias("n"))
+    edges = join_split(large.select("key", "rep"), low, ["key"], "n", large.count()).select(F.col("rep").alias("a"), "b").distinct()
+    blocks = durable(components(edges).select(F.col("node").alias("rep"), F.col("component").alias("block")))
+    parts = blocks.groupBy("block").agg(F.ceil(F.count("*") / TILE).cast("int").alias("parts"), F.count("*").alias("n"))
+    placed = join_split(blocks, parts, ["block"], "n", blocks.count()).withColumn("part", F.pmod(F.xxhash64("rep"), "parts").cast("int"))
+    placed = placed.join(large.select("rep", "c").distinct(), "rep").join(sketch.drop("n_shingles"), "rep")
     # part p meets every part: tile (min, max)
-    tiles = large.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select(
-        "key", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "rep", "c", F.concat("left", "right").alias("halves")
+    tiled = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select(
+        "block", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "rep", "c", F.concat("left", "right").alias("halves")
     )
 
-    def run(tile: pa.Table) -> pa.Table:
-        rep, c, part = (tile[x].to_numpy() for x in ("rep", "c", "part"))
-        halves = tile["halves"].combine_chunks().flatten().to_numpy().reshape(len(rep), -1)
-        i, j = tile["i"][0].as_py(), tile["j"][0].as_py()
-        x, y = np.flatnonzero(part == i), np.flatnonzero(part == j)
+    def sift(tile: pa.Table) -> pa.Table:
+        c, part = tile["c"].to_numpy(), tile["part"].to_numpy()
+        halves = tile["halves"].combine_chunks().flatten().to_numpy().reshape(len(c), -1)
+        x, y = np.flatnonzero(part == tile["i"][0].as_py()), np.flatnonzero(part == tile["j"][0].as_py())
         same = np.zeros((len(x), len(y)), np.int16)
         for k in range(halves.shape[1]):
             same += halves[x, k][:, None] == halves[y, k][None, :]
-        p, q = np.nonzero((same >= least) & (c[x][:, None] != c[y][None, :]))
-        a, b = rep[x[p]], rep[y[q]]
-        return pa.table({"a": pa.array(np.maximum(a, b), pa.int64()), "b": pa.array(np.minimum(a, b), pa.int64())})
+        near = (same >= least) & (c[x][:, None] != c[y][None, :])
+        return tile.drop_columns(["halves"]).take(pa.array(np.union1d(x[near.any(axis=1)], y[near.any(axis=0)]), pa.int64()))
 
-    big = tiles.groupBy("key", "i", "j").applyInArrow(run, "a long, b long").distinct().join(done, ["a", "b"], "left_anti")
-    return durable(small.unionByName(big).distinct())
+    schema = "block long, i int, j int, part int, rep long, c long"
+    asked = tiled.groupBy("block", "i", "j").applyInArrow(sift, schema).join(sets, "rep")
+
+    def compare(tile: pa.Table) -> pa.Table:
+        part, found = tile["part"].to_numpy(), [np.frombuffer(b, np.uint64) for b in tile["set"].to_pylist()]
+        i, j = tile["i"][0].as_py(), tile["j"][0].as_py()
+        links = forest(tile["rep"].to_numpy(), found, np.flatnonzero(part == i), np.flatnonzero(part == j), percent)
+        return pa.table({"a": pa.array([a for a, _ in links], pa.int64()), "b": pa.array([b for _, b in links], pa.int64())})
+
+    return asked.groupBy("block", "i", "j").applyInArrow(compare, "a long, b long")
+
+
+def forest(ids: np.ndarray, sets: list[np.ndarray], left: np.ndarray, right: np.ndarray, percent: int) -> list[tuple[int, int]]:
+    """Links that join all of ``left`` and ``right`` (places) whose sets are similar enough: a spanning forest of them."""
+    size = np.array([len(s) for s in sets])
+    owner = np.repeat(np.arange(len(sets)), size)
+    _, at, held = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    shared = held > 1
+    column, use = (np.cumsum(shared) - 1)[at], shared[at]
+    column, owner = column[use], owner[use]
+    both = np.zeros((len(left), len(right)))
+    for first in range(0, int(shared.sum()), COLUMNS):
+        here = (column >= first) & (column < first + COLUMNS)
+        matrix = np.zeros((len(sets), min(COLUMNS, int(shared.sum()) - first)), np.float32)
+        matrix[owner[here], column[here] - first] = 1
+        both += matrix[left] @ matrix[right].T
+    count = both.astype(np.int64)
+    x, y = np.nonzero(100 * count >= percent * (size[left][:, None] + size[right][None, :] - count))
+    root = list(range(len(sets)))
+
+    def find(i: int) -> int:
+        while root[i] != i:
+            root[i] = root[root[i]]
+            i = root[i]
+        return i
+
+    out = []
+    for i, j in zip(left[x].tolist(), right[y].tolist()):
+        a, b = find(i), find(j)
+        if a != b:
+            root[max(a, b)] = min(a, b)
+            out.append((int(ids[i]), int(ids[j])))
+    return out
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -252,12 +315,11 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     sizes = sets.groupBy("rep").agg(F.min("size").alias("low"), F.max("size").alias("high"))
     spread = F.greatest(F.ceil(F.col("n") / HUB_ROWS), F.ceil(F.col("n") * F.col("high") * (800 / percent) / HUB_BYTES)).cast("int")
     hubs = pairs.groupBy("b").agg(F.count("*").alias("n")).join(sizes.withColumnRenamed("rep", "b"), "b").withColumn("chunks", spread)
-    members = join_split(pairs, hubs, ["b"], "n", pairs.count()).join(sets.withColumnRenamed("rep", "a"), "a")
-    members = members.where(100 * F.least("size", "high") >= percent * F.greatest("size", "low"))
-    own = hubs.join(sets.withColumnRenamed("rep", "b"), "b").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    rows = own.select("b", "chunk", F.lit(None).cast("long").alias("a"), "set").unionByName(
-        members.select("b", F.pmod(F.xxhash64("a"), "chunks").cast("int").alias("chunk"), "a", "set")
-    )
+    members = join_split(pairs, hubs, ["b"], "n", pairs.count())
+    asked = members.select(F.col("a").alias("rep"), "b", F.pmod(F.xxhash64("a"), "chunks").cast("int").alias("chunk"), "a", "low", "high")
+    own = hubs.select(F.col("b").alias("rep"), "b", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), F.lit(None).cast("long").alias("a"), "low", "high")
+    like = F.col("a").isNull() | (100 * F.least("size", "high") >= percent * F.greatest("size", "low"))
+    rows = asked.unionByName(own).join(sets, "rep").where(like).select("b", "chunk", "a", "set")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hub, hub_sets = (None, None), []

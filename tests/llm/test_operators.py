@@ -312,7 +312,7 @@ def test_near_duplicate_edges(spark):
     assert neardup.near_duplicates(rows.limit(0)).count() == 0
 
 
-@pytest.mark.parametrize("limits", [{}, {"SMALL": 1, "TILE": 8}, {"HUB_ROWS": 3}])
+@pytest.mark.parametrize("limits", [{}, {"SMALL": 1, "TILE": 8, "COLUMNS": 50}, {"SMALL": 60, "HUB_ROWS": 3}])
 def test_large_families_are_linked(spark, monkeypatch, limits):
     for name, value in limits.items():
         monkeypatch.setattr(neardup, name, value)
