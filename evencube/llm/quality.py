@@ -1,33 +1,21 @@
-"""Quality classifier: an interpolated modified Kneser-Ney trigram model of trusted text.
+"""Quality classifier: an interpolated modified Kneser-Ney model of trusted text.
 
 Documents are judged by the word model of ``wordmodel``: its counts over all
 trusted texts of a language grow with the corpus. A document is kept when its
-loss lies between quantiles of its language's trusted texts, each scored
-without its own share. The model over 128 folded character classes
-(``count_trigrams``, ``probabilities``) is a small one for other uses; no
-query judges by it.
+loss lies between quantiles of its language's trusted texts, each scored by the
+texts of the other fold, as all documents are.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
 from dataclasses import dataclass
 
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from . import bytescan, wordmodel
-from .common import durable, small_batches
-
-BITS = 7
-SYMBOLS = 1 << BITS
-
-#: Control characters read as a blank; 1-31 stand for bytes of other characters, 0 for the text's edge.
-SYMBOL_OF = np.arange(256)
-SYMBOL_OF[:32] = 32
-SYMBOL_OF[128:] = 1 + np.arange(128) % 31
+from . import wordmodel
+from .common import durable
+from .graph import join_split
 
 #: The model for texts without a language of their own.
 ANY = ""
@@ -38,122 +26,13 @@ MIN_TEXTS = 20
 #: Quantiles of a language's trusted texts between which documents are kept.
 LOW, HIGH = 0.005, 0.995
 
+#: The scatter of a mean loss falls with this power of the number of words; words of a text go together, so less than by the root.
+POWER = 0.25
+
 #: Most labelled ids that are broadcast to find trusted texts; more are joined by shuffle.
 MAX_BROADCAST_IDS = 2_000_000
 
 
-def codes(part: bytescan.Slice) -> np.ndarray:
-    """Trigram code at every byte: the two symbols before it in its row (0 beyond the edge) and its own."""
-    s = SYMBOL_OF[part.data]
-    one, two = np.r_[0, s[:-1]], np.r_[0, 0, s[:-2]][: len(s)]
-    starts = part.offsets[:-1][np.diff(part.offsets) > 0]
-    one[starts] = 0
-    two[starts] = 0
-    second = starts + 1
-    ends = part.offsets[1:][np.diff(part.offsets) > 0]
-    two[second[second < ends]] = 0
-    return (two << 2 * BITS) | (one << BITS) | s
-
-
-def count_trigrams(trusted: DataFrame, text: str = "text", lang: str = "lang") -> DataFrame:
-    """(lang, gram, n) over whole texts, by language and over all of them; each task sends its sums."""
-
-    small_batches(trusted.sparkSession)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total: dict[str, np.ndarray] = {}
-        for batch in batches:
-            names = batch.column(0).dictionary_encode()
-            which = names.indices.to_numpy(zero_copy_only=False)
-            for part in bytescan.slices(batch.column(1)):
-                found = codes(part)
-                of = np.repeat(which[part.first : part.first + len(part)], np.diff(part.offsets))
-                for k in np.unique(of).tolist():
-                    name = names.dictionary[int(k)].as_py()
-                    if name not in total:
-                        total[name] = np.zeros(SYMBOLS**3, np.int64)
-                    np.add.at(total[name], found[of == k], 1)
-        for name, n in total.items():
-            gram = np.flatnonzero(n)
-            yield pa.RecordBatch.from_arrays([pa.array([name] * len(gram), pa.string()), pa.array(gram, pa.int32()), pa.array(n[gram], pa.int64())], names=["lang", "gram", "n"])
-
-    source = trusted.select(F.coalesce(F.col(lang).cast("string"), F.lit(ANY)).alias("lang"), F.col(text).alias("text"))
-    sent = source.mapInArrow(run, "lang string, gram int, n long")
-    both = F.explode(F.array_distinct(F.array(F.col("lang"), F.lit(ANY)))).alias("lang")
-    return sent.select(both, "gram", "n").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
-
-
-def _discounts(n: np.ndarray) -> np.ndarray:
-    """Modified Kneser-Ney discounts of counts 1, 2 and 3 or more, from how many grams have counts 1 to 4."""
-    t = [int((n == k).sum()) for k in (1, 2, 3, 4)]
-    y = t[0] / (t[0] + 2 * t[1]) if t[0] else 0.0
-    out = []
-    for k in (1, 2, 3):
-        raw = k - (k + 1) * y * t[k] / t[k - 1] if t[0] and t[k - 1] else 0.0
-        # too few grams to tell: the usual absolute discount
-        out.append(raw if 0 < raw < k else 0.6 + 0.3 * (k - 1))
-    return np.array(out)
-
-
-def _order(gram: np.ndarray, n: np.ndarray, below: np.ndarray | float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(p of every gram, contexts, mass that each leaves to lower orders): counts joined with their contexts and with p one order below."""
-    cut = np.minimum(_discounts(n)[np.minimum(n, 3) - 1], n)
-    context, at = np.unique(gram >> BITS, return_inverse=True)
-    total = np.bincount(at, n)
-    rest = np.bincount(at, cut) / total
-    return (n - cut) / total[at] + rest[at] * below, context, rest
-
-
-def kneser_ney(gram: np.ndarray, n: np.ndarray) -> dict[str, tuple[np.ndarray, np.ndarray]]:
-    """p1 to p3 (seen grams) and r1 to r3 (contexts' rests) of one model, as (codes, values)."""
-    out: dict[str, tuple[np.ndarray, np.ndarray]] = {}
-    # lower orders count in how many different words-before their grams are seen
-    levels = [(gram, n)]
-    for width in (2, 1):
-        levels.append(np.unique(levels[-1][0] & ((1 << width * BITS) - 1), return_counts=True))
-    lower: tuple[np.ndarray, np.ndarray] | None = None
-    for order, (codes_, counts) in enumerate(reversed(levels), 1):
-        below = 1 / SYMBOLS if lower is None else lower[1][np.searchsorted(lower[0], codes_ & ((1 << (order - 1) * BITS) - 1))]
-        p, context, rest = _order(codes_, counts, below)
-        lower = (codes_, p)
-        out[f"p{order}"], out[f"r{order}"] = (codes_, p), (context, rest)
-    return out
-
-
-def probabilities(trigrams: DataFrame) -> DataFrame:
-    """(lang, kind, code, value) from summed counts, one shard per language; a shard has at most 128**3 grams."""
-
-    def run(shard: pa.Table) -> pa.Table:
-        shard = shard.sort_by("gram")
-        found = kneser_ney(shard["gram"].to_numpy().astype(np.int64), shard["n"].to_numpy())
-        lang = shard["lang"][0].as_py()
-        parts = [pa.table({"lang": [lang] * len(c), "kind": [kind] * len(c), "code": pa.array(c, pa.int32()), "value": pa.array(v, pa.float64())}) for kind, (c, v) in found.items()]
-        return pa.concat_tables(parts)
-
-    return trigrams.groupBy("lang").applyInArrow(run, "lang string, kind string, code int, value double")
-
-
-@dataclass
-class QualityModel:
-    """Per language: the rows of ``probabilities``."""
-
-    rows: dict[str, dict[str, tuple[np.ndarray, np.ndarray]]]
-
-    def dense(self, name: str) -> np.ndarray:
-        """Negative log probability of every trigram code."""
-        of = self.rows[name]
-        p1 = np.full(SYMBOLS, (of["r1"][1].sum() or 1.0) / SYMBOLS)
-        p1[of["p1"][0]] = of["p1"][1]
-        r2, r3 = np.ones(SYMBOLS), np.ones(SYMBOLS**2)
-        r2[of["r2"][0]] = of["r2"][1]
-        r3[of["r3"][0]] = of["r3"][1]
-        p2 = (r2[:, None] * p1[None, :]).ravel()
-        p2[of["p2"][0]] = of["p2"][1]
-        p3 = (r3.reshape(SYMBOLS, SYMBOLS, 1) * p2.reshape(1, SYMBOLS, SYMBOLS)).ravel()
-        p3[of["p3"][0]] = of["p3"][1]
-        return -np.log(np.maximum(p3, 1e-12)).astype(np.float32)
-
-
 @dataclass
 class WordQuality:
     """Trusted texts, and the languages that have a model of their own."""
@@ -201,9 +80,9 @@ def _limits(losses: DataFrame) -> DataFrame:
 
 
 def _distance(prefix: str = "") -> Column:
-    """Mean loss of the fresh words less the centre, by the root of their number: the means of few words scatter more."""
+    """Mean loss of the fresh words less the centre, by a power of their number: the means of few words scatter more."""
     size = F.col(f"{prefix}fresh")
-    return (F.try_divide(F.col(f"{prefix}fresh_loss"), size) - F.col(f"{prefix}centre")) * F.sqrt(size)
+    return (F.try_divide(F.col(f"{prefix}fresh_loss"), size) - F.col(f"{prefix}centre")) * F.pow(size, F.lit(POWER))
 
 
 def score_quality(docs: DataFrame, model: WordQuality, text: str = "text", lang: str = "lang") -> DataFrame:
@@ -211,12 +90,11 @@ def score_quality(docs: DataFrame, model: WordQuality, text: str = "text", lang:
 
     ``loss`` is the whole text's negative log probability, ``perplexity`` per
     word, its end counted as one (null for null or blank texts, which are kept:
-    nothing speaks against them). The limits are on the words whose trigram no
-    (other) trusted text has, so that near copies of trusted texts do not
-    stretch them, and widen as the root of their number falls; ``score`` is 1 at
-    the language's centre and 0 at its limits or beyond. A trusted text is scored as if it
-    were not in the model. Columns of those names are replaced; repeated rows
-    score alike; an empty table gives an empty result.
+    nothing speaks against them). The limits are on the words whose bigram no
+    trusted text of the other fold has, so that near copies of trusted texts do
+    not stretch them, and widen as their number falls; ``score`` is 1 at the
+    language's centre and 0 at its limits or beyond. Columns of those names are
+    replaced; repeated rows score alike; an empty table gives an empty result.
     """
     new = ("model", "loss", "symbols", "perplexity", "score", "kept")
     names = [c for c in docs.columns if c.lower() not in new]
@@ -234,19 +112,20 @@ def score_quality(docs: DataFrame, model: WordQuality, text: str = "text", lang:
     for part in parts[1:]:
         texts = texts.unionByName(part)
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))
-    losses = durable(wordmodel.losses(texts, 2 * n))
-    found = losses.join(F.broadcast(_limits(losses)), "model", "left").withColumnsRenamed({c: f"__{c}_of" for c in ("a", "b", "model", "trusted")})
+    losses = durable(wordmodel.losses(texts, n))
+    found = losses.join(F.broadcast(_limits(losses)), "model", "left")
+    found = found.select(*[F.col(c).alias(f"__{c}") for c in found.columns if c not in ("model", "trusted")], F.col("model").alias("__key"))
+    total = losses.agg(F.sum("n")).first()[0] or 0
+    met = join_split(own.withColumn("__key", F.xxhash64("__model")), found, ["__a", "__b", "__key"], "__n", total)
     mean = F.try_divide("__loss", "__words")
-    found = found.withColumnsRenamed({c: f"__{c}" for c in ("loss", "words", "fresh_loss", "fresh", "low", "centre", "high")})
     far = _distance("__")
     edge = F.when(far > 0, F.col("__high")).otherwise(F.col("__low"))
     results = [
         F.col("__model").alias("model"),
-        F.coalesce("__loss", F.lit(0.0)).alias("loss"),
-        F.coalesce("__words", F.lit(0)).cast("long").alias("symbols"),
+        F.col("__loss").alias("loss"),
+        F.col("__words").alias("symbols"),
         F.when(F.col("__words") > 0, F.exp(mean)).alias("perplexity"),
         F.coalesce(F.when(far == 0, 1.0).when(edge * far <= 0, 0.0).otherwise(F.greatest(F.lit(0.0), 1 - far / edge)), F.lit(1.0)).alias("score"),
         F.coalesce(far.between(F.col("__low"), F.col("__high")), F.lit(True)).alias("kept"),
     ]
-    matched = (F.col("__a") == F.col("__a_of")) & (F.col("__b") == F.col("__b_of")) & (F.xxhash64("__model") == F.col("__model_of")) & (F.col("__trusted") == F.col("__trusted_of"))
-    return own.join(found, matched, "left").select(*[F.col(f"`{c}`") for c in names], *results)
+    return met.select(*[F.col(f"`{c}`") for c in names], *results)

@@ -1,13 +1,13 @@
-"""Interpolated modified Kneser-Ney trigrams of words, counted and looked up in shards of the middle word.
+"""Interpolated modified Kneser-Ney bigrams of words, counted and looked up in shards.
 
 A word is a lower-cased run without blanks, hashed to 48 bits: the vocabulary
-is open and nothing is cut. Every position of every text goes to the shard of
-its trigram's middle word, where the trigram, its context, its bigram and the
-bigram's context meet. Only how many words come before a word is spread over
-the shards: their sums are made in shards of words and sent back to the shards
-that asked. A trusted text is scored as if it were not in the model: its own
-share is taken off all counts (of the words-before of a word only what lies in
-the same shard, which is all of it for a word that occurs once).
+is open and nothing is cut. Texts fall into two folds by their hash, and a text
+is scored by the counts of the other fold's trusted texts, so that trusted and
+other texts are scored alike. A task packs its positions by distinct bigram and
+deals those to shards by their hash, counts and scores meet there; a context's
+totals and how many words come before a word are summed in shards of keys and
+sent back to the shards that asked. A bigram that is frequent in a chunk travels
+once: its score comes back to the chunk's places.
 """
 
 from __future__ import annotations
@@ -26,6 +26,9 @@ from .common import release, small_batches
 #: Positions that a task packs at once.
 CHUNK = 1_000_000
 
+#: Positions of a bigram in a chunk from which on its score comes to them.
+FREQUENT = 64
+
 #: Stands before and after a text.
 EDGE = np.uint64(0x5DEECE66D123)
 
@@ -78,44 +81,75 @@ def _ids(planes: np.ndarray) -> np.ndarray:
 
 
 def padded(part: bytescan.Slice) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(words of all rows, two edges before and one after each; where a trigram ends; its row)."""
+    """(words of all rows, an edge before and after each; where a bigram ends; its row)."""
     words = bytescan.scan(part, bytescan.NON_SPACE)
-    sizes = np.where(words.counts > 0, words.counts + 3, 0)
+    sizes = np.where(words.counts > 0, words.counts + 2, 0)
     starts = np.cumsum(sizes) - sizes
     seq = np.full(int(sizes.sum()), EDGE)
     row = words.row
-    seq[starts[row] + 2 + np.arange(len(row)) - words.bounds[row]] = words.hash >> np.uint64(16)
+    seq[starts[row] + 1 + np.arange(len(row)) - words.bounds[row]] = words.hash >> np.uint64(16)
     of = np.repeat(np.arange(len(sizes)), sizes)
-    last = np.flatnonzero(np.arange(len(seq)) - starts[of] >= 2)
-    return seq, last.astype(np.int32), of[last]
+    last = np.flatnonzero(np.arange(len(seq)) - starts[of] >= 1)
+    return seq, last.astype(np.int32), of[last].astype(np.int32)
+
 
+#: A document of a chunk: the two halves of its key, its model's hash, whether it is trusted.
+DOC = np.dtype([("a", "<i8"), ("b", "<i8"), ("model", "<i8"), ("trusted", "u1")])
 
-#: A document in a blob: its number in the chunk, its model's hash, whether it is trusted.
-DOC = np.dtype([("nth", "<u4"), ("model", "<u8"), ("trusted", "u1")])
 
+def _send(seq: np.ndarray, last: np.ndarray, row: np.ndarray, docs: np.ndarray, n: int) -> Iterator[tuple[int, str, bytes]]:
+    """What a chunk sends: (shard, "gram", its bigrams) and, for itself, (-1, "docs", documents and places of frequent bigrams).
 
-def _send(seq: np.ndarray, last: np.ndarray, row: np.ndarray, docs: np.ndarray, n: int) -> Iterator[tuple[int, bytes]]:
-    """One blob a shard: the documents, the words used and the trigrams by their words' numbers."""
+    An entry is a distinct bigram of one model and fold, with the number of its
+    places in trusted texts. Rare entries carry the documents of their places,
+    frequent ones stand last and leave them with the chunk.
+    """
+    if not len(seq):
+        yield -1, "docs", _pack(np.ascontiguousarray(docs).tobytes(), b"", b"")
+        return
+    models, of = np.unique(docs["model"], return_inverse=True)
+    group = (2 * of + (docs["b"] & 1)).astype(np.uint64)
     word, at, times = np.unique(seq, return_inverse=True, return_counts=True)
     # frequent words get small numbers, which pack well
     order = np.argsort(-times, kind="stable")
-    rank = np.empty(len(order), np.uint32)
-    rank[order] = np.arange(len(order), dtype=np.uint32)
-    at, word = rank[at], word[order]
-    shard = (bytescan.mix(word) % np.uint64(n)).astype(np.int32)[at[last - 1]]
-    by = np.argsort(shard, kind="stable")
-    bounds = np.searchsorted(shard[by], np.arange(n + 1))
+    rank = np.empty(len(order), np.uint64)
+    rank[order] = np.arange(len(order), dtype=np.uint64)
+    at, word, groups = rank[at], word[order], np.uint64(2 * len(models))
+    code = (at[last - 1] * np.uint64(len(word)) + at[last]) * groups + group[row]
+    by = np.argsort(code, kind="stable")
+    code, row = code[by], row[by]
+    start = np.flatnonzero(np.r_[True, code[1:] != code[:-1]])
+    size = np.diff(np.r_[start, len(code)])
+    known = np.add.reduceat(docs["trusted"][row].astype(np.int64), start)
+    entry = code[start]
+    pair, cls = entry // groups, (entry % groups).astype(np.int64)
+    one, two = (pair // np.uint64(len(word))).astype(np.int64), (pair % np.uint64(len(word))).astype(np.int64)
+    shard = (_pair(word[one], word[two], 1) % np.uint64(n)).astype(np.int64)
+    many = size >= FREQUENT
+    order = np.lexsort((many, shard))
+    bounds = np.searchsorted(shard[order], np.arange(n + 1))
+    kept_nth, kept_row, told = [], [], 0
     for s in range(n):
-        mine = by[bounds[s] : bounds[s + 1]]
-        if len(mine):
-            mine = mine[np.lexsort((at[last[mine] - 1], row[mine]))]
-            used, ids = np.unique(np.concatenate([at[last[mine] - k] for k in (2, 1, 0)]), return_inverse=True)
-            who, nth = np.unique(row[mine], return_inverse=True)
-            yield s, _pack(*(docs[f][who].tobytes() for f in DOC.names), _short(word[used]), _planes(np.diff(nth, prepend=0)), *(_planes(x) for x in ids.reshape(3, -1)))
+        mine = order[bounds[s] : bounds[s + 1]]
+        if not len(mine):
+            continue
+        few = mine[~many[mine]]
+        used, ids = np.unique(np.concatenate([one[mine], two[mine]]), return_inverse=True)
+        first, second = ids[: len(mine)], ids[len(mine) :]
+        places = np.repeat(start[few] - np.r_[0, np.cumsum(size[few])[:-1]], size[few]) + np.arange(size[few].sum())
+        yield s, "gram", _pack(
+            models.tobytes(), _short(word[used]), _planes(np.diff(first, prepend=0) & 0xFFFFFFFF), _planes(second), _planes(cls[mine]), _planes(known[mine]), _planes(size[few]), _planes(row[places])
+        )
+        for k, e in enumerate(mine[many[mine]].tolist()):
+            kept_nth.append(np.full(size[e], told + k))
+            kept_row.append(row[start[e] : start[e] + size[e]])
+        told += int(many[mine].sum())
+    joined = lambda xs: np.concatenate(xs) if xs else np.empty(0, np.int64)
+    yield -1, "docs", _pack(np.ascontiguousarray(docs).tobytes(), _planes(np.diff(joined(kept_nth), prepend=0)), _planes(joined(kept_row)))
 
 
 def shards(texts: DataFrame, n: int):
-    """RDD of (shard, (chunk, blob)) from (a, b, model hash as long, trusted, text), and of (chunk, (chunk, None, documents))."""
+    """RDD of (shard, (kind, chunk, blob)) from (a, b, model hash as long, trusted, text); a chunk's documents go to its home."""
     small_batches(texts.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -127,33 +161,33 @@ def shards(texts: DataFrame, n: int):
         def out() -> Iterator[pa.RecordBatch]:
             chunk, doc = task + number, np.concatenate(docs)
             base = np.cumsum([0, *(len(p[0]) for p in parts)])
-            seq = np.concatenate([p[0] for p in parts])
-            last = np.concatenate([p[1] + b for p, b in zip(parts, base)])
-            row = np.concatenate([p[2] for p in parts])
+            seq, last, row = (np.concatenate(x) if x else np.empty(0, np.int32) for x in ([p[0] for p in parts], [p[1] + b for p, b in zip(parts, base)], [p[2] for p in parts]))
             parts.clear()
-            found = [(s, "gram", b) for s, b in _send(seq, last, row, doc, n)]
-            found.append((chunk % n, "docs", np.ascontiguousarray(doc).tobytes()))
+            found = []
+            for s, kind, blob in _send(seq, last, row, doc, n):
+                found.append((chunk % n if s < 0 else s, kind, blob))
+                if len(found) == 8 or s < 0:
+                    shard, kinds, blobs = zip(*found)
+                    found.clear()
+                    yield pa.RecordBatch.from_arrays([pa.array(shard, pa.int32()), pa.array([chunk] * len(shard), pa.int64()), pa.array(kinds), pa.array(blobs, pa.binary())], names=["shard", "chunk", "kind", "blob"])
             del seq, last, row
             release()
-            for k in range(0, len(found), 8):
-                shard, kind, blob = zip(*found[k : k + 8])
-                yield pa.RecordBatch.from_arrays([pa.array(shard, pa.int32()), pa.array([chunk] * len(shard), pa.int64()), pa.array(kind), pa.array(blob, pa.binary())], names=["shard", "chunk", "kind", "blob"])
 
         for batch in batches:
-            doc = np.empty(batch.num_rows, FULL)
-            doc["nth"] = first + np.arange(len(doc))
-            for k, name in enumerate(("a", "b", "model", "trusted")):
-                doc[name] = batch.column(k).to_numpy(zero_copy_only=False).astype("<i8").view(FULL[name]) if name != "trusted" else batch.column(k).to_numpy(zero_copy_only=False)
+            doc = np.empty(batch.num_rows, DOC)
+            for k, name in enumerate(DOC.names):
+                doc[name] = batch.column(k).to_numpy(zero_copy_only=False)
             for part in bytescan.slices(batch.column(4)):
                 seq, last, row = padded(part)
-                parts.append((seq, last, (row + first + part.first).astype(np.uint32)))
+                if len(seq):
+                    parts.append((seq, last, row + np.int32(first + part.first)))
                 size += len(row)
             docs.append(doc)
             first += len(doc)
             if size >= CHUNK:
                 yield from out()
                 parts, docs, size, first, number = [], [], 0, 0, number + 1
-        if size:
+        if docs:
             yield from out()
         release()
 
@@ -161,88 +195,77 @@ def shards(texts: DataFrame, n: int):
     return sent.rdd.map(lambda r: (r.shard, (r.kind, r.chunk, bytes(r.blob)))).partitionBy(n, int)
 
 
-#: A document of a chunk, with the two halves of its key.
-FULL = np.dtype([*DOC.descr, ("a", "<i8"), ("b", "<i8")])
-
-
 class Shard:
-    """All positions of one shard and the counts of the trusted ones."""
+    """The entries of one shard, the counts of the trusted ones, and the keys that all of them ask for."""
 
     def __init__(self, blobs: list[tuple[int, bytes]]) -> None:
-        docs, nth, words, first = [], [], [], 0
-        self.chunks = []
+        columns: list[tuple[np.ndarray, ...]] = []
+        self.chunks, at = [], 0
         for chunk, blob in blobs:
-            *columns, word, step, one, two, three = _unpack(blob, 8)
-            doc, word = np.empty(len(columns[2]), DOC), _long(word)
-            for name, x in zip(DOC.names, columns):
-                doc[name] = x.view(DOC[name])
-            self.chunks.append((chunk, first, first + len(doc)))
-            ids = (one, two, three)
-            docs.append(doc)
-            nth.append(np.cumsum(_ids(step)) + first)
-            words.append(np.stack([word[_ids(x)] for x in ids]))
-            first += len(doc)
-        self.docs = np.concatenate(docs)
-        doc, (one, two, three) = np.concatenate(nth), np.concatenate(words, axis=1)
-        model = self.docs["model"][doc]
-        w2 = _pair(model, two, 1)
-        gram = _pair(_pair(w2, three, 2), one, 3)
-        # distinct trigrams of every document
-        _, at, inv = _groups(_pair(gram, doc.astype(np.uint64), 9))
-        self.own = np.bincount(inv, minlength=len(at))
-        self.doc, self.gram = doc[at], gram[at]
-        self.model, self.w2, self.c = model[at], w2[at], _pair(w2[at], one[at], 4)
-        self.b, self.w3 = _pair(w2[at], three[at], 2), _pair(model[at], three[at], 5)
-        self.trusted = self.docs["trusted"][self.doc] > 0
-        t = np.flatnonzero(self.trusted)
-        # counts of the trusted texts
-        self.G, rep, inv = _groups(self.gram[t])
+            models, word, step, two, cls, known, size, row = _unpack(blob, 8)
+            models, word, cls = models.view("<u8"), _long(word), _ids(cls)
+            one, two, size = np.cumsum(_ids(step).astype(np.int32)), _ids(two), _ids(size)
+            own = bytescan.mix(models[cls >> 1] + (cls & 1).astype(np.uint64))
+            other = bytescan.mix(models[cls >> 1] + (~cls & 1).astype(np.uint64))
+            columns.append((word[one], word[two], own, other, _ids(known)))
+            self.chunks.append((chunk, at, len(one), size.astype(np.int32), _ids(row).astype(np.int32)))
+            at += len(one)
+        one, two, own, other, known = (np.concatenate(c) for c in zip(*columns))
+        pair = _pair(one, two, 2)
+        t = np.flatnonzero(known)
+        self.G, rep, inv = _groups(_pair(pair[t], own[t], 3))
+        self.n = np.bincount(inv, known[t], len(self.G)).astype(np.int64)
         rep = t[rep]
-        self.n3 = np.bincount(inv, self.own[t], len(self.G)).astype(np.int64)
-        self.B, rep2, inv = _groups(self.b[rep])
-        self.n2 = np.bincount(inv, minlength=len(self.B))
-        rep2 = rep[rep2]
-        self.contexts3 = _contexts(self.c[rep], self.n3)
-        self.contexts2 = _contexts(self.w2[rep2], self.n2)
-        self.models3, self.models2 = self.model[rep], self.model[rep2]
-        # words that any position asks for, and how many words before each are here
-        self.W, rep, self.at_w = _groups(self.w3)
-        self.models1 = self.model[rep]
-        self.before = np.bincount(np.searchsorted(self.W, self.w3[rep2]), minlength=len(self.W))
+        self.models = own[rep]
+        contexts, sums = _contexts(_pair(one[rep], own[rep], 4), self.n)
+        words, _, inv = _groups(_pair(two[rep], own[rep], 5))
+        before = np.bincount(inv, minlength=len(words))
+        # what scores need, under the other fold's counts
+        self.asked, context, word = _pair(pair, other, 3), _pair(one, other, 4) >> np.uint64(16), _pair(two, other, 5) >> np.uint64(16)
+        contexts, words = contexts >> np.uint64(16), words >> np.uint64(16)
+        self.C = np.unique(np.concatenate([contexts, context]))
+        self.W, rep = np.unique(np.concatenate([words, word]), return_index=True)
+        self.context, self.word = np.searchsorted(self.C, context).astype(np.int32), np.searchsorted(self.W, word).astype(np.int32)
+        self.sums, self.before = np.zeros((4, len(self.C)), np.int64), np.zeros(len(self.W), np.int64)
+        self.sums[:, np.searchsorted(self.C, contexts)] += sums.astype(np.int64)
+        self.before[np.searchsorted(self.W, words)] += before
+        names, of = np.unique(np.concatenate([own, other]), return_inverse=True)
+        self.names, self.other = names, of[len(own) :].astype(np.int32)
+        # a key says which model it belongs to
+        self.of_word = np.zeros(len(self.W), np.int64)
+        self.of_word[self.word] = self.other
+        self.of_word[np.searchsorted(self.W, _pair(two[t], own[t], 5) >> np.uint64(16))] = of[t]
+
+    def asks(self, n: int) -> Iterator[tuple[int, str, bytes]]:
+        """(shard of keys, kind, keys with this shard's share of their sums)."""
+        to = (self.C % np.uint64(n)).astype(np.int64)
+        for k in np.unique(to).tolist():
+            m = to == k
+            yield k, "c", _pack(_short(self.C[m]), *(_planes(x) for x in self.sums[:, m]))
+        to = (self.W % np.uint64(n)).astype(np.int64)
+        for k in np.unique(to).tolist():
+            m = to == k
+            yield k, "w", _pack(_short(self.W[m]), self.names.tobytes(), _planes(self.of_word[m]), _planes(self.before[m]))
 
 
 def _contexts(key: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(contexts, their total and how many of their grams have counts 1, 2 and 3 or more)."""
     found, _, inv = _groups(key)
     cls = np.minimum(n, 3)
-    return found, np.stack([np.bincount(inv, n, len(found)), *(np.bincount(inv, cls == k, len(found)) for k in (1, 2, 3))])
+    return found, np.stack([np.bincount(inv, x, len(found)) for x in (n, cls == 1, cls == 2, cls == 3)])
 
 
 def _look(keys: np.ndarray, values: np.ndarray, asked: np.ndarray) -> np.ndarray:
     """Values of the asked keys, 0 where there are none."""
     if not len(keys):
-        return np.zeros((*values.shape[:-1], len(asked)), values.dtype)
+        return np.zeros(len(asked), values.dtype)
     at = np.minimum(np.searchsorted(keys, asked), len(keys) - 1)
-    return np.where(keys[at] == asked, values[..., at], 0)
-
-
-def _level(doc: np.ndarray, context: np.ndarray, contexts: tuple, n: np.ndarray, less: np.ndarray, cut: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(p of the order's own, mass left to lower orders), for rows distinct in (doc, gram) whose counts ``n`` lose ``less``."""
-    found = _look(*contexts, context)
-    if less.any():
-        hit = np.zeros(int(doc.max()) + 1, bool)
-        hit[doc[less > 0]] = True
-        mine = np.flatnonzero(hit[doc])
-        *_, inv = _groups(_pair(context[mine], doc[mine].astype(np.uint64), 6))
-        before, after = np.minimum(n[mine], 3), np.minimum(n[mine] - less[mine], 3)
-        found[0, mine] -= np.bincount(inv, less[mine])[inv]
-        for k in (1, 2, 3):
-            found[k, mine] += np.bincount(inv, (after == k) * 1.0 - (before == k))[inv]
-    left = n - less
-    d = np.where(left > 0, np.take_along_axis(cut, np.clip(np.minimum(left, 3) - 1, 0, 2)[:, None], 1)[:, 0], 0)
-    total = np.maximum(found[0], 1)
-    rest = np.where(found[0] > 0, (cut.T * found[1:]).sum(axis=0) / total, 1.0)
-    return np.maximum(left - d, 0) / total, np.minimum(rest, 1.0)
+    return np.where(keys[at] == asked, values[at], 0)
+
+
+def _cut(discounts: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """What each count loses, of its row's three discounts."""
+    return np.where(n > 0, np.take_along_axis(discounts, np.clip(n, 1, 3)[:, None] - 1, 1)[:, 0], 0)
 
 
 def counts_of_counts(models: np.ndarray, n: np.ndarray) -> dict[int, np.ndarray]:
@@ -263,10 +286,10 @@ def discounts(t: np.ndarray) -> np.ndarray:
 
 
 def losses(texts: DataFrame, n: int) -> DataFrame:
-    """(a, b, trusted, model, loss, words, fresh_loss, fresh) per document of ``texts`` (a, b, model, trusted, text), copies summed.
+    """(a, b, model, trusted, n, loss, words, fresh_loss, fresh) per distinct text (a, b) and model of ``texts`` (a, b, model, trusted, text).
 
-    ``fresh`` are the words whose trigram no (other) trusted text has; near
-    copies of trusted texts have few.
+    ``n`` counts the rows. ``fresh`` are the words whose bigram no trusted text
+    of the other fold has; near copies of trusted texts have few.
     """
     spark = texts.sparkSession
     data = shards(texts, n)
@@ -277,102 +300,109 @@ def losses(texts: DataFrame, n: int) -> DataFrame:
             return
         s = Shard(blobs)
         del blobs
-        yield 0, ("t", counts_of_counts(s.models3, s.n3), counts_of_counts(s.models2, s.n2))
-        to = (s.W % np.uint64(n)).astype(np.int64)
-        for k in range(n):
-            m = to == k
-            if m.any():
-                yield k, ("w", index, _pack(s.W[m], s.models1[m], _planes(s.before[m])), k)
+        yield 0, ("t", counts_of_counts(s.models, s.n))
+        for k, kind, blob in s.asks(n):
+            yield k, (kind, index, k, blob)
+        del s
         release()
 
-    words = data.mapPartitionsWithIndex(ask).partitionBy(n, int)
-
-    def summed(rows: list) -> tuple[np.ndarray, np.ndarray, np.ndarray, list]:
-        asked = [(x[1], *_unpack(x[2], 3)) for _, x in rows if x[0] == "w"]
+    keys = data.mapPartitionsWithIndex(ask).partitionBy(n, int)
+
+    def summed(rows: list, kind: str) -> tuple[np.ndarray, np.ndarray, np.ndarray, list]:
+        """(keys, their sums over all shards, model of each word, who asked for which)."""
+        width = {"c": 4, "w": 1}[kind]
+        asked, models, values = [], [], []
+        for x in rows:
+            if x[0] == kind:
+                found = _unpack(x[3], 5 if kind == "c" else 4)
+                asked.append((x[1], x[2], _long(found[0])))
+                models.append(found[1].view("<u8")[_ids(found[2])] if kind == "w" else np.empty(0, np.uint64))
+                values.append(np.stack([_ids(v) for v in found[-width:]]))
         if not asked:
-            return np.empty(0, np.uint64), np.empty(0, np.uint64), np.empty(0), []
-        every = np.concatenate([w.view("<u8") for _, w, _, _ in asked])
-        found, rep, inv = _groups(every)
-        total = np.bincount(inv, np.concatenate([_ids(b) for *_, b in asked])).astype(np.int64)
-        return found, np.concatenate([m.view("<u8") for _, _, m, _ in asked])[rep], total, [(x[1], x[3], w.view("<u8")) for (_, x), (_, w, _, _) in zip([y for y in rows if y[1][0] == "w"], asked)]
+            return np.empty(0, np.uint64), np.empty((width, 0), np.int64), np.empty(0, np.uint64), []
+        found, rep, inv = _groups(np.concatenate([w for *_, w in asked]))
+        total = np.stack([np.bincount(inv, v, len(found)) for v in np.concatenate(values, axis=1)]).astype(np.int64)
+        return found, total, np.concatenate(models)[rep] if kind == "w" else np.empty(0, np.uint64), asked
 
     def tell(rows: Iterator) -> Iterator[tuple]:
-        rows = list(rows)
-        _, models, total, _ = summed(rows)
-        yield counts_of_counts(models, total), [x[1:] for _, x in rows if x[0] == "t"]
+        rows = [x for _, x in rows if x[0] in "tw"]
+        _, total, models, _ = summed(rows, "w")
+        yield counts_of_counts(models, total[0]), [x[1] for x in rows if x[0] == "t"]
 
-    tables: list[dict[int, np.ndarray]] = [{}, {}, {}]
-    for one, more in words.mapPartitions(tell).collect():
-        for k, found in [(0, one), *((j, x) for pair in more for j, x in zip((2, 1), pair))]:
+    tables: list[dict[int, np.ndarray]] = [{}, {}]
+    for one, more in keys.mapPartitions(tell).collect():
+        for k, found in [(0, one), *((1, x) for x in more)]:
             for m, t in found.items():
                 tables[k][m] = tables[k].get(m, 0) + t
     shared = spark.sparkContext.broadcast(tables)
 
     def answer(rows: Iterator) -> Iterator[tuple[int, tuple]]:
-        found, _, total, asked = summed(list(rows))
-        for index, k, w in asked:
-            yield index, ("told", k, _pack(_planes(total[np.searchsorted(found, w)])))
+        rows = [x for _, x in rows]
+        for kind in "cw":
+            found, total, _, asked = summed(rows, kind)
+            for index, k, w in asked:
+                yield index, (kind, k, _pack(*(_planes(x) for x in total[:, np.searchsorted(found, w)])))
+        release()
 
-    answers = words.mapPartitions(answer).partitionBy(n, int)
+    answers = keys.mapPartitions(answer).partitionBy(n, int)
 
-    def score(rows: Iterator) -> Iterator[tuple]:
+    def score(index: int, rows: Iterator) -> Iterator[tuple]:
         blobs, told = [], []
         for _, x in rows:
             if x[0] == "docs":
                 yield x[1] % n, x
             else:
-                (blobs if x[0] == "gram" else told).append(x[1:])
+                (blobs if x[0] == "gram" else told).append(x)
         if not blobs:
             return
-        s = Shard(blobs)
+        s = Shard([x[1:] for x in blobs])
         del blobs
-        # counts come in the order in which the words were asked for
-        one, to = np.zeros(len(s.W), np.int64), (s.W % np.uint64(n)).astype(np.int64)
-        for k, c in told:
-            one[to == k] = _ids(_unpack(c, 1)[0])
-        names, of = np.unique(s.model, return_inverse=True)
+        # sums come in the order in which the keys were sent
+        to = {"c": (s.C % np.uint64(n)).astype(np.int64), "w": (s.W % np.uint64(n)).astype(np.int64)}
+        sums = {"c": np.zeros((4, len(s.C)), np.int64), "w": np.zeros((1, len(s.W)), np.int64)}
+        for kind, k, blob in told:
+            sums[kind][:, to[kind] == k] = np.stack([_ids(v) for v in _unpack(blob, len(sums[kind]))])
         none = np.zeros(7)
-        t1 = np.array([shared.value[0].get(m, none) for m in names.tolist()])
-        cut = [np.array([discounts(t.get(m, none)) for m in names.tolist()])[of] for t in shared.value]
-        seen = _look(s.G, s.n3, s.gram)
-        less = np.where(s.trusted, s.own, 0)
-        p3, r3 = _level(s.doc, s.c, s.contexts3, seen, less, cut[2])
-        alone = (seen > 0) & (seen == less)
-        # the same one order below, on rows distinct in (doc, bigram)
-        _, rep, inv = _groups(_pair(s.b, s.doc.astype(np.uint64), 7))
-        n2, less2 = _look(s.B, s.n2, s.b[rep]), np.bincount(inv, alone).astype(np.int64)
-        p2, r2 = _level(s.doc[rep], s.w2[rep], s.contexts2, n2, less2, cut[1][rep])
-        alone2 = (n2 > 0) & (n2 == less2)
-        *_, inv1 = _groups(_pair(s.w3[rep], s.doc[rep].astype(np.uint64), 8))
-        n1 = np.maximum(one[s.at_w[rep]] - np.bincount(inv1, alone2)[inv1], 0).astype(np.int64)
-        c1, t = cut[0][rep], t1[of[rep]]
-        d = np.where(n1 > 0, np.take_along_axis(c1, np.clip(np.minimum(n1, 3) - 1, 0, 2)[:, None], 1)[:, 0], 0)
-        mass = c1[:, 0] * t[:, 0] + c1[:, 1] * t[:, 1] + c1[:, 2] * t[:, 4]
-        total = np.maximum(t[:, 6], 1)
-        p1 = np.maximum(n1 - d, 0) / total + np.where(t[:, 6] > 0, mass / total, 1.0) / (t[:, 5] + 1)
-        p = p3 + r3 * (p2 + r2 * p1)[inv]
-        loss, fresh = -np.log(np.maximum(p, 1e-30)) * s.own, seen == less
-        sums = [np.bincount(s.doc, x, len(s.docs)).astype("<f4") for x in (loss, s.own, loss * fresh, s.own * fresh)]
-        for chunk, first, end in s.chunks:
-            yield chunk % n, ("loss", chunk, _pack(s.docs["nth"][first:end], *(x[first:end] for x in sums)))
+        t1 = np.array([shared.value[0].get(m, none) for m in s.names.tolist()])
+        cut1, cut2 = (np.array([discounts(t.get(m, none)) for m in s.names.tolist()]) for t in shared.value)
+        # words: in how many contexts they are seen, interpolated with all being alike
+        mass, total = (cut1 * t1[:, [0, 1, 4]]).sum(axis=1), np.maximum(t1[:, 6], 1)
+        floor = np.where(t1[:, 6] > 0, mass / total, 1.0) / (t1[:, 5] + 1)
+        before = sums["w"][0][s.word]
+        p1 = np.maximum(before - _cut(cut1[s.other], before), 0) / total[s.other] + floor[s.other]
+        seen, found = _look(s.G, s.n, s.asked), sums["c"][:, s.context]
+        rest = np.minimum(np.where(found[0] > 0, (cut2[s.other].T * found[1:]).sum(axis=0) / np.maximum(found[0], 1), 1.0), 1.0)
+        p = np.maximum(seen - _cut(cut2[s.other], seen), 0) / np.maximum(found[0], 1) + rest * p1
+        loss, fresh = -np.log(np.maximum(p, 1e-30)), seen == 0
+        for chunk, at, entries, size, row in s.chunks:
+            few = np.repeat(np.arange(at, at + len(size)), size)
+            who, nth = np.unique(row, return_inverse=True)
+            values = (loss[few], np.ones(len(few)), loss[few] * fresh[few], fresh[few])
+            sums_ = [np.bincount(nth, v, len(who)).astype("<f4") for v in values]
+            many = slice(at + len(size), at + entries)
+            yield chunk % n, ("loss", chunk, index, _pack(_planes(who), *sums_, loss[many].astype("<f4"), fresh[many].astype("u1")))
         release()
 
     def add(rows: Iterator) -> Iterator[tuple]:
-        rows = [x for _, x in rows]
-        chunks = {x[1]: np.frombuffer(x[2], FULL) for x in rows if x[0] == "docs"}
-        sums = {k: np.zeros((4, len(d))) for k, d in chunks.items()}
-        for kind, chunk, blob in rows:
-            if kind == "loss":
-                nth, *found = _unpack(blob, 5)
-                sums[chunk][:, nth.view("<u4")] += np.stack([x.view("<f4") for x in found])
-        for k, d in chunks.items():
-            model = np.ascontiguousarray(d["model"]).view("<i8")
-            loss, size, fresh_loss, fresh = sums[k]
-            yield from zip(d["a"].tolist(), d["b"].tolist(), (d["trusted"] > 0).tolist(), model.tolist(), loss.tolist(), size.astype(int).tolist(), fresh_loss.tolist(), fresh.astype(int).tolist())
+        chunks: dict[int, dict[str, list]] = {}
+        for _, x in rows:
+            chunks.setdefault(x[1], {}).setdefault(x[0], []).append(x[2:])
+        for parts in chunks.values():
+            doc, nth, row = _unpack(parts["docs"][0][0], 3)
+            doc, nth, row = doc.view(DOC), np.cumsum(_ids(nth)), _ids(row)
+            sums, told = np.zeros((4, len(doc))), []
+            for _, blob in sorted(parts.get("loss", [])):
+                who, *found, loss, fresh = _unpack(blob, 7)
+                sums[:, _ids(who)] += np.stack([x.view("<f4") for x in found])
+                told.append((loss.view("<f4"), fresh))
+            loss, fresh = (np.concatenate(x)[nth].astype(float) for x in zip(*told)) if len(nth) else (np.empty(0), np.empty(0))
+            sums += [np.bincount(row, v, len(doc)) for v in (loss, np.ones(len(row)), loss * fresh, fresh)]
+            yield from zip(*(doc[c].tolist() for c in ("a", "b", "model")), (doc["trusted"] > 0).tolist(), sums[0].tolist(), sums[1].astype(int).tolist(), sums[2].tolist(), sums[3].astype(int).tolist())
 
     # both are dealt alike, so that their partitions meet without another shuffle
     met = data.union(answers)
     assert met.getNumPartitions() == data.getNumPartitions()
-    rows = met.mapPartitions(score).partitionBy(n, int).mapPartitions(add)
-    found = spark.createDataFrame(rows, "a long, b long, trusted boolean, model long, loss double, words long, fresh_loss double, fresh long", verifySchema=False)
-    return found.groupBy("a", "b", "trusted", "model").agg(*[F.sum(c).alias(c) for c in ("loss", "words", "fresh_loss", "fresh")])
+    rows = met.mapPartitionsWithIndex(score).partitionBy(n, int).mapPartitions(add)
+    found = spark.createDataFrame(rows, "a long, b long, model long, trusted boolean, loss double, words long, fresh_loss double, fresh long", verifySchema=False)
+    # equal texts have equal losses, up to the order of their sums
+    return found.groupBy("a", "b", "model").agg(F.bool_or("trusted").alias("trusted"), F.count("*").alias("n"), *[F.max(c).alias(c) for c in ("loss", "words", "fresh_loss", "fresh")])

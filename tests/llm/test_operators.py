@@ -391,39 +391,6 @@ def test_toxicity_edges(spark):
     assert np.array_equal(again.key, model.key) and np.allclose(again.weight, model.weight)
 
 
-def test_kneser_ney_by_hand(spark):
-    """Probabilities of a tiny text against a plain calculation, and sums of one."""
-    docs = spark.createDataFrame([(0, "abab abba abab", "xx"), (1, "abba", "xx")], "doc_id long, text string, lang string")
-    model = quality.QualityModel({})
-    found = quality.probabilities(quality.count_trigrams(docs)).toArrow()
-    lang, kind = np.array(found["lang"].to_pylist()), np.array(found["kind"].to_pylist())
-    for name in set(lang.tolist()):
-        model.rows[name] = {k: (found["code"].to_numpy()[(lang == name) & (kind == k)], found["value"].to_numpy()[(lang == name) & (kind == k)]) for k in ("p1", "p2", "p3", "r1", "r2", "r3")}
-    assert set(model.rows) == {"", "xx"}
-    for name in model.rows:
-        p = np.exp(-model.dense(name).astype(float)).reshape(quality.SYMBOLS**2, quality.SYMBOLS)
-        assert np.allclose(p.sum(axis=1), 1, atol=1e-4)
-    # trigrams of the two texts, plainly
-    tri = {}
-    for t in ("abab abba abab", "abba"):
-        s = [0, 0, *map(ord, t)]
-        for k in range(2, len(s)):
-            tri[tuple(s[k - 2 : k + 1])] = tri.get(tuple(s[k - 2 : k + 1]), 0) + 1
-    total = sum(v for g, v in tri.items() if g[:2] == (97, 98))
-    t = [sum(v == k for v in tri.values()) for k in (1, 2, 3, 4)]
-    y = t[0] / (t[0] + 2 * t[1])
-    d = [k - (k + 1) * y * (t[k] / t[k - 1]) if t[k - 1] else None for k in (1, 2, 3)]
-    d = [x if x is not None and t[0] and 0 < x < k else 0.6 + 0.3 * (k - 1) for k, x in zip((1, 2, 3), d)]
-    cut = lambda v: min(v, d[min(v, 3) - 1])
-    rest = sum(cut(v) for g, v in tri.items() if g[:2] == (97, 98)) / total
-    of = model.rows["xx"]
-    assert of["r3"][1][of["r3"][0] == (97 << 7 | 98)][0] == pytest.approx(rest)
-    seen = tri[(97, 98, 97)]
-    p2 = of["p2"][1][of["p2"][0] == (98 << 7 | 97)][0]
-    p3 = of["p3"][1][of["p3"][0] == (97 << 14 | 98 << 7 | 97)][0]
-    assert p3 == pytest.approx((seen - cut(seen)) / total + rest * p2)
-
-
 def test_quality_edges(spark):
     good = [f"the quick brown fox number {k} jumps over the lazy dog again and again" for k in range(40)]
     docs = frame(spark, good + ["##@@!!zz" * 40, None, ""], lang=["en"] * 40 + [None, None, "en"], kept=["x"] * 43)
@@ -438,37 +405,41 @@ def test_quality_edges(spark):
     assert long.count() == len(EDGE)
 
 
-def test_word_model_by_hand(spark):
-    """Losses of a text outside the trusted ones against plain dictionaries; a trusted text is scored without its share."""
-    good = ["a b c a b", "a b d", "b c a b", "c a b c d"]
-    rows = [(k, 0, 7, True, t) for k, t in enumerate(good)] + [(9, 0, 7, False, "a b c x b d")]
-    found = lambda r: {x.a: x for x in wordmodel.losses(spark.createDataFrame(r, "a long, b long, model long, trusted boolean, text string"), 3).collect()}
+@pytest.mark.parametrize("limits", [{}, {"FREQUENT": 2}, {"CHUNK": 8, "FREQUENT": 2}])
+def test_word_model_by_hand(spark, monkeypatch, limits):
+    """Losses against plain dictionaries, for texts of either fold, in and outside the trusted ones."""
+    for name, value in limits.items():
+        monkeypatch.setattr(wordmodel, name, value)
+    good = ["a b c a b", "a b d", "b c a b", "c a b c d", "a b", "d a b c", "c c c", "a c b a b c d"]
+    rows = [(k, k, 7, True, t) for k, t in enumerate(good)]
+    rows += [(20, 0, 7, False, "a b c x b d"), (21, 1, 7, False, "a b c x b d"), (22, 0, 8, False, "a b"), (23, 0, 7, False, ""), (0, 0, 7, False, good[0])]
+    got = {x.a: x for x in wordmodel.losses(spark.createDataFrame(rows, "a long, b long, model long, trusted boolean, text string"), 3).collect()}
 
     def grams(texts):
-        return Counter(g for t in texts for w in [["<", "<", *t.split(), "<"]] for g in zip(w, w[1:], w[2:]))
-
-    n3 = grams(good)
-    n2 = Counter(g[1:] for g in n3)
-    n1 = Counter(g[1:] for g in n2)
-    uniform = 1 / (len(n1) + 1)
-
-    def p(gram):
-        if not gram:
-            return uniform
-        n = {3: n3, 2: n2, 1: n1}[len(gram)]
-        d = wordmodel.discounts([sum(v == k for v in n.values()) for k in (1, 2, 3, 4)])
-        same = [v for g, v in n.items() if g[:-1] == gram[:-1]]
-        if not same:
-            return p(gram[1:])
-        own = n[gram] - d[min(n[gram], 3) - 1] if n[gram] else 0
-        return own / sum(same) + min(1, sum(d[min(v, 3) - 1] for v in same) / sum(same)) * p(gram[1:])
-
-    got = found(rows)
-    assert got[9].loss == pytest.approx(-sum(np.log(p(g)) for g in grams(["a b c x b d"]).elements()), rel=1e-5)
-    assert (got[9].words, got[9].fresh) == (7, 3)
-    apart = found([*rows[1:4], (0, 0, 7, False, good[0])])
-    assert got[0].words == 6 and got[0].fresh == apart[0].fresh
-    assert got[0].loss == pytest.approx(apart[0].loss, rel=0.2)
+        return Counter(g for t in texts for w in [["<", *t.split(), "<"]] for g in zip(w, w[1:]))
+
+    def loss(text, fold):
+        n2 = grams([t for k, t in enumerate(good) if k % 2 != fold])
+        n1 = Counter(w for _, w in n2)
+        d1, d2 = (wordmodel.discounts([sum(v == k for v in n.values()) for k in (1, 2, 3, 4)]) for n in (n1, n2))
+        cut = lambda d, v: d[min(v, 3) - 1] if v else 0.0
+        total, fresh, lost = 0.0, 0, 0.0
+        for (v, w), times in grams([text]).items():
+            p = (n1[w] - cut(d1, n1[w]) + sum(cut(d1, x) for x in n1.values()) / (len(n1) + 1)) / sum(n1.values())
+            same = [x for (u, _), x in n2.items() if u == v]
+            if same:
+                p = (n2[v, w] - cut(d2, n2[v, w])) / sum(same) + min(1, sum(cut(d2, x) for x in same) / sum(same)) * p
+            total -= times * np.log(p)
+            fresh += times * ((v, w) not in n2)
+            lost -= times * np.log(p) * ((v, w) not in n2)
+        return total, len(text.split()) + 1, lost, fresh
+
+    for a, b, model, _, text in rows:
+        if model == 7 and text:
+            assert (got[a].loss, got[a].words, got[a].fresh_loss, got[a].fresh) == pytest.approx(loss(text, b % 2), rel=1e-5)
+    assert got[0].n == 2 and got[0].trusted and not got[20].trusted
+    # nothing is known of the other model: all words are alike
+    assert got[22].loss == pytest.approx(0, abs=1e-6) and got[22].fresh == 3 and (got[23].words, got[23].loss) == (0, 0)
 
 
 def test_what_the_word_model_gathers_is_open(spark):
