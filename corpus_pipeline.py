@@ -7,14 +7,13 @@ nothing speaks against them. An empty table gives empty results throughout.
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 import public_tokenizers
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evencube.llm.common import durable, table
+from evencube.llm.common import durable, shared_folder, table
 from evencube.llm.decontam import find_contamination
 from evencube.llm.neardup import near_duplicates
 from evencube.llm.packing import pack
@@ -70,8 +69,8 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     n = repeated.count()
     if n:
         repeated = F.broadcast(repeated) if n <= MAX_BROADCAST_IDS else repeated
-        first = Window.partitionBy(*same).orderBy(F.lit(0))
-        one = left.join(repeated, same, "left_semi").withColumn("__nth", F.row_number().over(first)).where("__nth = 1").drop("__nth")
+        # each task leaves one row of a group before they meet
+        one = left.join(repeated, same, "left_semi").dropDuplicates(same)
         left = left.join(repeated, same, "left_anti").unionByName(one)
     return left.select(*[f"`{c}`" for c in docs.columns])
 
@@ -108,8 +107,7 @@ def _delete(spark: SparkSession, folder: str) -> None:
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents; between them tables in the shared folder, each deleted once the next is written."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="evencube-")
-    folder, last = f"{base}/evencube-{uuid.uuid4().hex}", None
+    folder, last = f"{shared_folder(spark)}/evencube-{uuid.uuid4().hex}", None
     docs = table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES[:-1]):
         docs = _written(stage(spark, docs, sf_dir), f"{folder}/{k}")

@@ -8,9 +8,15 @@ from pyspark.sql import DataFrame
 
 
 def durable(df: DataFrame) -> DataFrame:
-    """``df`` from a reliable checkpoint in the folder of ``spark.checkpoint.dir``; only where none is set, in a temporary one."""
+    """``df`` from a reliable checkpoint in the folder of ``spark.checkpoint.dir``.
+
+    Where none is set, one machine (tests) uses a temporary folder; a cluster
+    raises, as its machines would not share one.
+    """
     context = df.sparkSession.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
         named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        if not named and not context.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
         context.setCheckpointDir(named or tempfile.mkdtemp(prefix="evencube-"))
     return df.checkpoint(eager=True)
