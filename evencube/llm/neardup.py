@@ -243,7 +243,7 @@ def _tile_links(members: DataFrame, sketch: DataFrame, sets: DataFrame, least: i
     large = members.where(F.col("size") > SMALL)
     low = large.groupBy("key").agg(F.min("rep").alias("b"), F.count("*").alias("n"))
     edges = join_split(large.select("key", "rep"), low, ["key"], "n", large.count()).select(F.col("rep").alias("a"), "b").distinct()
-    blocks = durable(components(edges).select(F.col("node").alias("rep"), F.col("component").alias("block")))
+    blocks = components(edges).select(F.col("node").alias("rep"), F.col("component").alias("block"))
     parts = blocks.groupBy("block").agg(F.ceil(F.count("*") / TILE).cast("int").alias("parts"), F.count("*").alias("n"))
     placed = join_split(blocks, parts, ["block"], "n", blocks.count()).withColumn("part", F.pmod(F.xxhash64("rep"), "parts").cast("int"))
     placed = placed.join(large.select("rep", "c").distinct(), "rep").join(sketch.drop("n_shingles"), "rep")
