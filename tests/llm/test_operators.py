@@ -11,7 +11,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from evencube.llm import bytescan, decontam, graph, langid, licenses, neardup, packing, quality, tokencount, topk, toxicity, urlfilter, wordmodel
+from evencube.llm import bytegrams, bytescan, decontam, graph, langid, licenses, neardup, packing, quality, tokencount, topk, toxicity, urlfilter
 
 UP = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 PATTERNS = {"alnum": (bytescan.ALNUM, re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")), "solid": (bytescan.NON_SPACE, re.compile(r"[^\x20\x09-\x0D]+"))}
@@ -241,7 +241,9 @@ def test_packing_edges(spark):
 # near duplicates and components
 
 
-def test_components_by_brute_force(spark):
+@pytest.mark.parametrize("edges", [1 << 18, 5])
+def test_components_by_brute_force(spark, monkeypatch, edges):
+    monkeypatch.setattr(graph, "EDGES", edges)
     r = random.Random(4)
     for n, m in ((40, 30), (200, 150), (60, 59)):
         edges = [(r.randrange(n), r.randrange(n)) for _ in range(m)] if m != 59 else [(k, k + 1) for k in range(59)]
@@ -405,45 +407,48 @@ def test_quality_edges(spark):
     assert long.count() == len(EDGE)
 
 
-@pytest.mark.parametrize("limits", [{}, {"FREQUENT": 2}, {"CHUNK": 8, "FREQUENT": 2}])
-def test_word_model_by_hand(spark, monkeypatch, limits):
-    """Losses against plain dictionaries, for texts of either fold, in and outside the trusted ones."""
+def byte_model(texts):
+    """Probability of a gram's last byte from plain dictionaries."""
+    counts = {6: Counter(g for t in texts for w in [b"\0" * 5 + t.lower().encode() + b"\0"] for g in (w[k : k + 6] for k in range(len(w) - 5)))}
+    for k in range(5, 0, -1):
+        counts[k] = Counter(g[1:] for g in counts[k + 1])
+    cuts = {k: bytegrams.discounts(np.array([sum(v == x for v in n.values()) for x in (1, 2, 3, 4)])) for k, n in counts.items()}
+
+    def p(gram):
+        k = len(gram)
+        if not k:
+            return 1 / 256
+        same = [v for g, v in counts[k].items() if g[:-1] == gram[:-1]]
+        if not same:
+            return p(gram[1:])
+        n, cut = counts[k][gram], lambda v: min(v, cuts[k][min(v, 3) - 1]) if v else 0
+        return (n - cut(n)) / sum(same) + sum(map(cut, same)) / sum(same) * p(gram[1:])
+
+    return p, counts[6]
+
+
+@pytest.mark.parametrize("limits", [{}, {"BLOCK_BYTES": 1000, "SHARDS": 2}])
+def test_byte_model_by_hand(spark, monkeypatch, limits):
+    """Whole-document losses of either fold against plain dictionaries, in one block and in several."""
     for name, value in limits.items():
-        monkeypatch.setattr(wordmodel, name, value)
-    good = ["a b c a b", "a b d", "b c a b", "c a b c d", "a b", "d a b c", "c c c", "a c b a b c d"]
-    rows = [(k, k, 7, True, t) for k, t in enumerate(good)]
-    rows += [(20, 0, 7, False, "a b c x b d"), (21, 1, 7, False, "a b c x b d"), (22, 0, 8, False, "a b"), (23, 0, 7, False, ""), (0, 0, 7, False, good[0])]
-    got = {x.a: x for x in wordmodel.losses(spark.createDataFrame(rows, "a long, b long, model long, trusted boolean, text string"), 3).collect()}
-
-    def grams(texts):
-        return Counter(g for t in texts for w in [["<", *t.split(), "<"]] for g in zip(w, w[1:]))
-
-    def loss(text, fold):
-        n2 = grams([t for k, t in enumerate(good) if k % 2 != fold])
-        n1 = Counter(w for _, w in n2)
-        d1, d2 = (wordmodel.discounts([sum(v == k for v in n.values()) for k in (1, 2, 3, 4)]) for n in (n1, n2))
-        cut = lambda d, v: d[min(v, 3) - 1] if v else 0.0
-        total, fresh, lost = 0.0, 0, 0.0
-        for (v, w), times in grams([text]).items():
-            p = (n1[w] - cut(d1, n1[w]) + sum(cut(d1, x) for x in n1.values()) / (len(n1) + 1)) / sum(n1.values())
-            same = [x for (u, _), x in n2.items() if u == v]
-            if same:
-                p = (n2[v, w] - cut(d2, n2[v, w])) / sum(same) + min(1, sum(cut(d2, x) for x in same) / sum(same)) * p
-            total -= times * np.log(p)
-            fresh += times * ((v, w) not in n2)
-            lost -= times * np.log(p) * ((v, w) not in n2)
-        return total, len(text.split()) + 1, lost, fresh
-
-    for a, b, model, _, text in rows:
-        if model == 7 and text:
-            assert (got[a].loss, got[a].words, got[a].fresh_loss, got[a].fresh) == pytest.approx(loss(text, b % 2), rel=1e-5)
-    assert got[0].n == 2 and got[0].trusted and not got[20].trusted
-    # nothing is known of the other model: all words are alike
-    assert got[22].loss == pytest.approx(0, abs=1e-6) and got[22].fresh == 3 and (got[23].words, got[23].loss) == (0, 0)
-
-
-def test_what_the_word_model_gathers_is_open(spark):
-    """More trusted words make more grams, beyond any fixed alphabet: whole words count."""
+        monkeypatch.setattr(quality, name, value)
+    good = [[f"The cat {k} sat on the mat", f"a dog ate {k * k} cakes", "é is a letter of the cat", "aaaa aaab"] for k in range(6)]
+    good = sorted({t for g in good for t in g})
+    docs = frame(spark, [*good, "the dog sat on é", "zzz", ""], lang=["en"] * (len(good) + 3))
+    labels = spark.createDataFrame([(k, 1) for k in range(len(good))], "doc_id long, quality int")
+    monkeypatch.setattr(quality, "MIN_TEXTS", 2)
+    got = quality.score_quality(docs, quality.fit_quality(docs, labels)).withColumn("fold", F.pmod(F.xxhash64("text"), F.lit(2))).collect()
+    of = {r.text: r.fold for r in got}
+    models = [byte_model([t for t in good if of[t] != f]) for f in (0, 1)]
+    for r in got:
+        w, (p, _) = b"\0" * 5 + r.text.lower().encode() + b"\0", models[r.fold]
+        want = -sum(np.log(p(w[k : k + 6])) for k in range(len(w) - 5)) if r.text else 0
+        assert r.loss == pytest.approx(want, rel=1e-5) and r.symbols == (len(w) - 5 if r.text else 0)
+        assert r.perplexity is None if not r.text else r.perplexity == pytest.approx(np.exp(want / r.symbols), rel=1e-5)
+
+
+def test_what_the_model_gathers_is_open(spark):
+    """Whole words count: known words in another order score worse."""
     good = [" ".join(f"w{(k * 7 + j) % 50}" for j in range(60)) for k in range(60)]
     shuffled = " ".join(f"w{(j * j * 11 + 3 * j) % 50}" for j in range(60))
     docs = frame(spark, [*good, shuffled], lang=["en"] * 61)
