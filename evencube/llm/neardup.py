@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bytescan
-from .common import durable, map_text
+from .common import durable, map_text, small_side
 from .graph import components, join_split
 
 #: Minhashes of a half key; chance that a pair at the threshold shares no table.
@@ -38,8 +38,8 @@ SMALL, TILE = 16, 256
 #: Shingles that a tile's product takes at once.
 COLUMNS = 1 << 14
 
-#: Bytes of sets and members that one hub meets in one task.
-HUB_BYTES, HUB_ROWS = 32 << 20, 128
+#: Members that one hub meets in one task.
+HUB_ROWS = 128
 
 SEED = 0x5EED_0F_5E75
 
@@ -150,7 +150,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
     hubs = durable(paired.groupBy("key").agg(F.min("rep").alias("b"), F.count("*").alias("n")).where("n > 1"))
     stars = durable(join_split(paired, hubs, ["key"], "n", total).where("rep <> b").groupBy(F.col("rep").alias("a"), "b").agg(F.count("*").alias("tables")))
     reps = stars.select(F.col("a").alias("doc_id")).unionByName(stars.select(F.col("b").alias("doc_id"))).distinct()
-    sets = durable(_sets(source, reps, repeated if repeats else None, words))
+    sets = durable(_sets(source, small_side(durable(reps)), repeated if repeats else None, words))
 
     # the smallest hub joins a family to one star, the one met most often reaches over its drift
     two = stars.groupBy("a").agg(F.min("b").alias("x"), F.max_by("b", F.struct("tables", -F.col("b"))).alias("y"))
@@ -167,7 +167,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
     if more.count():
         joined = components(joined.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
 
-    linked = joined.select(F.col("node").alias("rep"), "component")
+    linked = small_side(joined.select(F.col("node").alias("rep"), "component"))
     of_class = classes.select("s1", "s2", "rep", "n").join(linked, "rep", "left")
     of_class = of_class.select("s1", "s2", "n", F.coalesce("component", "rep").alias("component_id"))
     found = join_split(known.select("doc_id", "n_shingles", "s1", "s2"), of_class, ["s1", "s2"], "n", sketched.count())
@@ -213,10 +213,11 @@ def _of_one_id(known: DataFrame, repeated: DataFrame, classes: DataFrame) -> Dat
 
 def _open_buckets(paired: DataFrame, total: int, hubs: DataFrame, stars: DataFrame, joined: DataFrame) -> DataFrame:
     """(key, rep, c, size) of the buckets that hold several components c so far."""
-    one, two = joined.toDF("a", "c"), joined.toDF("b", "d")
+    labels = small_side(joined)
+    one, two = labels.toDF("a", "c"), labels.toDF("b", "d")
     apart = stars.join(one, "a", "left").join(two, "b", "left").where(F.coalesce("c", "a") != F.coalesce("d", "b"))
     left = hubs.join(apart.select("b").distinct(), "b", "left_semi").select("key", "n", F.col("n").alias("size"))
-    members = join_split(paired, left, ["key"], "n", total).join(joined.toDF("rep", "component"), "rep", "left")
+    members = join_split(paired, left, ["key"], "n", total).join(labels.toDF("rep", "component"), "rep", "left")
     members = durable(members.select("key", "rep", F.coalesce("component", "rep").alias("c"), "size"))
     several = members.groupBy("key").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.count("*").alias("n")).where("low <> high")
     return durable(join_split(members, several.select("key", "n"), ["key"], "n", total))
@@ -226,7 +227,7 @@ def _small_pairs(members: DataFrame, sketch: DataFrame, done: DataFrame, least:
     """(a, b), a > b, not in ``done``: pairs of a small bucket, of different components, that agree in enough half keys."""
     few = members.where(F.col("size") <= SMALL).select("key", "rep", "c")
     met = few.toDF("key", "a", "c").join(few.toDF("key", "b", "d"), "key").where("a > b and c <> d").select("a", "b").distinct()
-    met = met.join(done, ["a", "b"], "left_anti")
+    met = met.join(small_side(done), ["a", "b"], "left_anti")
     one, two = (sketch.toDF(*[f"{c}_{x}" for c in sketch.columns]).withColumnRenamed(f"rep_{x}", x) for x in "ab")
     agree = F.size(F.array_intersect("left_a", "left_b")) + F.size(F.array_intersect("right_a", "right_b"))
     like = 100 * F.least("n_shingles_a", "n_shingles_b") >= percent * F.greatest("n_shingles_a", "n_shingles_b")
@@ -310,16 +311,14 @@ def forest(ids: np.ndarray, sets: list[np.ndarray], left: np.ndarray, right: np.
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """(a, b) of ``pairs`` whose whole sets are similar enough; ``b`` is the hub that its members are sent to.
 
-    A hub of many members, or of many bytes, is sent to several tasks.
+    A hub of many members is sent to several tasks; a task holds the hub's sets
+    and a batch of members.
     """
-    sizes = sets.groupBy("rep").agg(F.min("size").alias("low"), F.max("size").alias("high"))
-    spread = F.greatest(F.ceil(F.col("n") / HUB_ROWS), F.ceil(F.col("n") * F.col("high") * (800 / percent) / HUB_BYTES)).cast("int")
-    hubs = pairs.groupBy("b").agg(F.count("*").alias("n")).join(sizes.withColumnRenamed("rep", "b"), "b").withColumn("chunks", spread)
+    hubs = pairs.groupBy("b").agg(F.count("*").alias("n")).withColumn("chunks", F.ceil(F.col("n") / HUB_ROWS).cast("int"))
     members = join_split(pairs, hubs, ["b"], "n", pairs.count())
-    asked = members.select(F.col("a").alias("rep"), "b", F.pmod(F.xxhash64("a"), "chunks").cast("int").alias("chunk"), "a", "low", "high")
-    own = hubs.select(F.col("b").alias("rep"), "b", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), F.lit(None).cast("long").alias("a"), "low", "high")
-    like = F.col("a").isNull() | (100 * F.least("size", "high") >= percent * F.greatest("size", "low"))
-    rows = asked.unionByName(own).join(sets, "rep").where(like).select("b", "chunk", "a", "set")
+    asked = members.select(F.col("a").alias("rep"), "b", F.pmod(F.xxhash64("a"), "chunks").cast("int").alias("chunk"), "a")
+    own = hubs.select(F.col("b").alias("rep"), "b", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), F.lit(None).cast("long").alias("a"))
+    rows = asked.unionByName(own).join(sets, "rep").select("b", "chunk", "a", "set")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hub, hub_sets = (None, None), []
