@@ -361,6 +361,42 @@ def test_search_group_by_brute_force(monkeypatch):
             assert list(zip(got_ids[x == k], score[x == k])) == [(j, -v) for v, j in want]
 
 
+def exact_scores(rows):
+    whole = {i: [int(np.floor(64 * x)) for x in v] for i, v in rows}
+    clip = lambda x: max(1 - (1 << 63), min((1 << 63) - 1, x))
+    return {q: sorted((-clip(sum(x * y for x, y in zip(whole[q], whole[i]))), i) for i in whole if i != q) for q in whole if q % 20 == 0}
+
+
+@pytest.mark.parametrize("size", [0, 20, 40, 60])
+def test_products_are_exact(spark, monkeypatch, size):
+    """Components up to 2**40 give products beyond what doubles hold, 2**60 beyond 64 bits."""
+    monkeypatch.setattr(topk, "GROUP_ROWS", 30)
+    monkeypatch.setattr(topk, "BLOCK_ROWS", 2)
+    r = np.random.default_rng(size)
+    rows = [(k, [float(x) for x in r.integers(-(1 << 20), 1 << 20, 6) * 2.0 ** (size - 20 - (k % 3) * 9)]) for k in range(120)]
+    got = topk.top_products(topk.scaled_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>")), F.col("vec_id") % 20 == 0, 5).collect()
+    want = exact_scores(rows)
+    assert sorted((x.query_id, x["rank"], x.vec_id, x.score) for x in got) == [(q, n + 1, i, -v) for q in sorted(want) for n, (v, i) in enumerate(want[q][:5])]
+
+
+def test_short_vectors_are_not_sent(spark, monkeypatch):
+    monkeypatch.setattr(topk, "GROUP_ROWS", 25)
+    monkeypatch.setattr(topk, "BLOCK_ROWS", 2)
+    sent, plain = [], topk._round
+
+    def watch(asked, right, reach, start, stop, k):
+        sent.append(asked.count() * (stop - start))
+        return plain(asked, right, reach, start, stop, k)
+
+    monkeypatch.setattr(topk, "_round", watch)
+    r = np.random.default_rng(7)
+    rows = [(k, [float(x) for x in r.normal(size=4) * 2.0 ** (-(k % 40) / 3)]) for k in range(600)]
+    got = topk.top_products(topk.scaled_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>")), F.col("vec_id") % 20 == 0, 5).collect()
+    want = exact_scores(rows)
+    assert sorted((x.query_id, x["rank"], x.vec_id, x.score) for x in got) == [(q, n + 1, i, -v) for q in sorted(want) for n, (v, i) in enumerate(want[q][:5])]
+    assert sum(sent) < 0.6 * 30 * 24
+
+
 def test_vector_edges(spark, monkeypatch):
     monkeypatch.setattr(topk, "GROUP_ROWS", 3)
     monkeypatch.setattr(topk, "BLOCK_ROWS", 1)
