@@ -45,18 +45,22 @@ def probes(spark: SparkSession, count: int, n: int, seed: int = 0) -> DataFrame:
 #: Points held by each task when nearest distances are taken in blocks.
 BLOCK = 4096
 
+#: Places that one task compares with a block.
+PLACES = 65_536
+
 
 def nearest(space: DataFrame, points: DataFrame, space_id: str = "probe_id", space_x: str = "p", point_x: str = "x") -> DataFrame:
     """(space_id, distance) to the nearest point, by blocks of points against all of space.
 
-    Points are dealt to blocks of about ``BLOCK``; every place meets each block
-    once and its partial minima are combined. Rows with a null coordinate array
+    Points are dealt to blocks of about ``BLOCK``, places to slices of about
+    ``PLACES``, so that a task's size stays when either grows; every place meets
+    each block once and its partial minima are combined. Rows with a null coordinate array
     take no part.
     """
     chosen = points.where(F.col(point_x).isNotNull()).select(F.col(point_x).alias("x"))
     blocks = max(1, -(-chosen.count() // BLOCK))
     right = chosen.withColumn("block", F.pmod(F.monotonically_increasing_id(), F.lit(blocks)).cast("int"))
-    slices_ = max(1, space.sparkSession.sparkContext.defaultParallelism // blocks)
+    slices_ = max(-(-space.count() // PLACES), space.sparkSession.sparkContext.defaultParallelism // blocks, 1)
     piece = F.pmod(F.xxhash64(space_id), F.lit(slices_)).cast("int")
     left = space.where(F.col(space_x).isNotNull()).select(F.col(space_id).alias("id"), F.col(space_x).alias("p"), piece.alias("piece"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
     right = right.withColumn("piece", F.explode(F.sequence(F.lit(0), F.lit(slices_ - 1))))

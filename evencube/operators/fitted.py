@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import rng
+from ..plans.checkpoints import durable
 from . import covering
 
 RULES = ("middle", "median", "mean", "mean_gap")
@@ -66,11 +69,17 @@ def mean_gap_partition(points: DataFrame, n: int, tries: int = 1, seed: int = 0,
     chosen = points.where(F.col(x).isNotNull() & ~F.exists(x, lambda v: v.isNull())).select(F.col(point_id).alias("point_id"), F.col(x).alias("x"))
     zero, one = F.array(*[F.lit(0.0)] * n), F.array(*[F.lit(1.0)] * n)
     rows = chosen.select(F.explode(F.sequence(F.lit(0), F.lit(tries - 1))).alias("try"), "point_id", "x", zero.alias("lo"), one.alias("hi"), F.lit(1).cast("long").alias("node"))
-    for _ in range(40):
-        big = rows.groupBy("try", "node").count().where(F.col("count") > LOCAL_POINTS)
-        if not big.limit(1).count():
+    spread = lambda d: F.min(F.element_at("x", d + 1)) < F.max(F.element_at("x", d + 1))
+    several = reduce(lambda p, q: p | q, [spread(d) for d in range(n)])
+    while True:
+        big = durable(rows.groupBy("try", "node").agg(F.count("*").alias("count"), several.alias("several")).where(F.col("count") > LOCAL_POINTS))
+        if not big.where("several").limit(1).count():
             break
-        rows = _cut_level(rows, big, n, seed)
+        rows = _cut_level(rows, big.where("several").drop("several"), n, seed)
+    # a large box that is left holds equal points only, and is done
+    same = F.broadcast(big.select("try", "node"))
+    done = rows.join(same, ["try", "node"], "left_semi").select("try", "point_id", "x", "lo", "hi")
+    rows = rows.join(same, ["try", "node"], "left_anti")
 
     schema = "try int, point_id " + chosen.schema["point_id"].dataType.simpleString() + ", x array<double>, lo array<double>, hi array<double>"
 
@@ -80,25 +89,28 @@ def mean_gap_partition(points: DataFrame, n: int, tries: int = 1, seed: int = 0,
         low, high = mean_gap_np(pts, a, b, seed, int(pdf["try"].iloc[0]), int(pdf["node"].iloc[0]))
         return pdf[["try", "point_id", "x"]].assign(lo=list(low), hi=list(high))
 
-    return rows.groupBy("try", "node").applyInPandas(run, schema)
+    return rows.groupBy("try", "node").applyInPandas(run, schema).unionByName(done)
 
 
 def _cut_level(rows: DataFrame, big: DataFrame, n: int, seed: int) -> DataFrame:
-    """Cuts every box named in ``big`` once; the small table of cuts is joined back."""
-    from ..plans.checkpoints import durable
-
+    """Cuts every box named in ``big``, one row for ``LOCAL_POINTS`` points or more, once; boxes and cuts are broadcast."""
     at = lambda c, d: F.element_at(c, d + 1)
-    open_ = rows.join(big.drop("count"), ["try", "node"], "left_semi")
+    open_ = rows.join(F.broadcast(big.drop("count")), ["try", "node"], "left_semi")
     ranges = open_.groupBy("try", "node").agg(F.first("lo").alias("lo"), F.first("hi").alias("hi"), *[F.min(at("x", d)).alias(f"a{d}") for d in range(n)], *[F.max(at("x", d)).alias(f"b{d}") for d in range(n)], *[F.avg(at("x", d)).alias(f"m{d}") for d in range(n)])
     side = F.array(*[F.when(F.col(f"b{d}") > F.col(f"a{d}"), at("hi", d) - at("lo", d)).otherwise(F.lit(-1.0)) for d in range(n)])
     turn = F.filter(F.sequence(F.lit(1), F.lit(n)), lambda k: F.element_at(F.col("side"), k) >= F.array_max("side") * (1 - 1e-12))
     axes = ranges.withColumn("side", side).where(F.array_max("side") > 0)
     axes = axes.withColumn("axis", F.element_at(turn, F.floor(rng.uniform(seed, "fit", F.col("try"), F.col("node")) * F.size(turn)).cast("int") + 1))
-    axes = axes.withColumn("mean", F.element_at(F.array(*[F.col(f"m{d}") for d in range(n)]), F.col("axis"))).select("try", "node", "axis", "mean")
-    valued = open_.join(axes, ["try", "node"]).withColumn("v", F.element_at("x", F.col("axis")))
-    cuts = valued.groupBy("try", "node", "axis").agg(F.max(F.when(F.col("v") <= F.col("mean"), F.col("v"))).alias("p"), F.min(F.when(F.col("v") > F.col("mean"), F.col("v"))).alias("q"))
-    cuts = cuts.where("p is not null and q is not null").select("try", "node", "axis", ((F.col("p") + F.col("q")) / 2).alias("cut"))
-    joined = rows.join(cuts, ["try", "node"], "left")
+    of = lambda c: F.element_at(F.array(*[F.col(f"{c}{d}") for d in range(n)]), F.col("axis"))
+    axes = axes.withColumns({"mean": of("m"), "top": of("b")}).select("try", "node", "axis", "mean", "top")
+    valued = open_.join(F.broadcast(axes), ["try", "node"]).withColumn("v", F.element_at("x", F.col("axis")))
+    # where rounding puts the mean at the top, the neighbours are the top and the next
+    mid = F.least("mean", "below")
+    valued = valued.join(F.broadcast(valued.where("v < top").groupBy("try", "node").agg(F.max("v").alias("below"))), ["try", "node"])
+    cuts = valued.groupBy("try", "node", "axis").agg(F.max(F.when(F.col("v") <= mid, F.col("v"))).alias("p"), F.min(F.when(F.col("v") > mid, F.col("v"))).alias("q"))
+    middle = (F.col("p") + F.col("q")) / 2
+    cuts = cuts.select("try", "node", "axis", F.when(middle < F.col("q"), middle).otherwise(F.col("p")).alias("cut"))
+    joined = rows.join(F.broadcast(cuts), ["try", "node"], "left")
     left = F.element_at("x", F.col("axis")) <= F.col("cut")
     put = lambda c: F.transform(c, lambda v, k: F.when(k + 1 == F.col("axis"), F.col("cut")).otherwise(v))
     return durable(

@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from .. import rng
+from ..plans.checkpoints import durable
 
 #: Slack at bin edges, in bins, so that rounding never makes a box lose a bin it only touches.
 EDGE = 1e-9
@@ -27,15 +28,20 @@ def long_form(strata: DataFrame) -> DataFrame:
     return strata.select("stratum_id", F.posexplode(F.arrays_zip("lo", "hi")).alias("dim", "side")).select("stratum_id", "dim", "side.lo", "side.hi")
 
 
-def global_rank(rows: DataFrame, by: str, order: list[str], buckets: int = 64) -> DataFrame:
+#: Rows of a range that is ranked in one task.
+RANGE_ROWS = 200_000
+
+
+def global_rank(rows: DataFrame, by: str, order: list[str]) -> DataFrame:
     """Zero-based rank within ``by`` (a few values, such as axes) without putting a whole axis into one task.
 
-    Rows are cut into value ranges by approximate quantiles of the first order
-    column; ranks are counted inside a range and offset by the ranges before.
+    Rows are dealt to ranges of the whole order, ties included, whose number
+    grows with the rows; ranks are counted inside a range and offset by the
+    ranges before. The last of ``order`` should tell rows apart.
     """
-    lead = order[0]
-    marks = rows.groupBy(by).agg(F.percentile_approx(lead, [k / buckets for k in range(1, buckets)], 100 * buckets).alias("marks"))
-    placed = rows.join(F.broadcast(marks), by).withColumn("range_", F.size(F.filter("marks", lambda m: m < F.col(lead)))).drop("marks")
+    parts = max(1, -(-rows.count() // RANGE_ROWS))
+    # written once, so that both passes see the same ranges
+    placed = durable(rows.repartitionByRange(parts, by, *order).withColumn("range_", F.spark_partition_id()))
     sizes = placed.groupBy(by, "range_").agg(F.count("*").alias("size_"))
     before = sizes.withColumn("before_", F.sum("size_").over(Window.partitionBy(by).orderBy("range_").rowsBetween(Window.unboundedPreceding, -1)))
     inside = F.row_number().over(Window.partitionBy(by, "range_").orderBy(*order)) - 1
@@ -47,11 +53,35 @@ def global_rank(rows: DataFrame, by: str, order: list[str], buckets: int = 64) -
     )
 
 
-def cog_bins(strata: DataFrame, count: int, seed: int = 0, exact_order: bool = True) -> DataFrame:
-    """(stratum_id, dim, lo, hi, bin, violation): bins in order of box centres, ties by a keyed number."""
+def bucket_rank(rows: DataFrame, by: str, order: list[str], count: int) -> DataFrame:
+    """``global_rank`` for a first order column spread evenly over [0, 1]: a bucket sort, linear in the rows.
+
+    Buckets are equal slices of the value, about ``RANGE_ROWS`` rows each where
+    the spread is even; their sizes are counted, nothing is sampled or sorted
+    across buckets.
+    """
+    buckets = max(1, -(-count // RANGE_ROWS))
+    slot = F.least(F.greatest(F.floor(F.col(order[0]) * buckets), F.lit(0)), F.lit(buckets - 1)).cast("int")
+    placed = rows.withColumn("slot_", slot)
+    sizes = placed.groupBy(by, "slot_").agg(F.count("*").alias("size_"))
+    before = sizes.withColumn("before_", F.sum("size_").over(Window.partitionBy(by).orderBy("slot_").rowsBetween(Window.unboundedPreceding, -1)))
+    inside = F.row_number().over(Window.partitionBy(by, "slot_").orderBy(*order)) - 1
+    found = placed.withColumn("inside_", inside).join(F.broadcast(before.select(by, "slot_", F.coalesce("before_", F.lit(0)).alias("before_"))), [by, "slot_"])
+    return found.withColumn("rank", (F.col("before_") + F.col("inside_")).cast("long")).drop("inside_", "before_", "slot_")
+
+
+def cog_bins(strata: DataFrame, count: int, seed: int = 0, rank: str = "range") -> DataFrame:
+    """(stratum_id, dim, lo, hi, bin, violation): bins in order of box centres, ties by a keyed number.
+
+    ``rank`` is "range", or "bucket" for the linear bucket sort of centres that
+    lie evenly in the unit cube; both give the same bins.
+    """
+    if rank not in ("range", "bucket"):
+        raise ValueError("rank is range or bucket")
     rows = long_form(strata).withColumn("centre", F.round((F.col("lo") + F.col("hi")) / 2, 12))
     rows = rows.withColumn("tie", rng.uniform(seed, "cog", F.col("stratum_id"), F.col("dim")))
-    ranked = global_rank(rows, "dim", ["centre", "tie", "stratum_id"])
+    order = ["centre", "tie", "stratum_id"]
+    ranked = global_rank(rows, "dim", order) if rank == "range" else bucket_rank(rows, "dim", order, count)
     return with_violation(ranked.withColumnRenamed("rank", "bin").drop("centre", "tie"), count)
 
 

@@ -116,7 +116,8 @@ def expected_discrepancy(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "count long, dims int, scaled double").select("count", "dims", F.round("scaled", 8).alias("scaled"))
 
 
-PREFIXES = (64, 128, 256, 512)
+#: Prefix sizes, as far as the table reaches.
+PREFIXES = tuple(4**k for k in range(3, 9))
 
 
 def _event_cloud(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -126,13 +127,19 @@ def _event_cloud(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(
     "prefix_discrepancy",
-    f"WITH p AS ({cloud_sql('events', 'event_id', ['epoch_us(ts)', 'value'])}), " + ", ".join(f"p{k} AS (SELECT * FROM p WHERE point_id < {k})" for k in PREFIXES)
-    + " " + " UNION ALL ".join(f"SELECT CAST({k} AS BIGINT) AS prefix, round({discrepancy_sql(f'p{k}', 2)}, 10) AS discrepancy_sq" for k in PREFIXES),
+    f"WITH p AS ({cloud_sql('events', 'event_id', ['epoch_us(ts)', 'value'])}), r AS (SELECT *, row_number() OVER (ORDER BY x1, point_id) AS nth, count(*) OVER () AS rows_ FROM p), "
+    + ", ".join(f"p{k} AS (SELECT * FROM r WHERE nth <= {k} AND rows_ >= {k})" for k in PREFIXES)
+    + " SELECT * FROM (" + " UNION ALL ".join(f"SELECT CAST({k} AS BIGINT) AS prefix, round({discrepancy_sql(f'p{k}', 2)}, 10) AS discrepancy_sq" for k in PREFIXES)
+    + ") WHERE discrepancy_sq IS NOT NULL",
 )
 def prefix_discrepancy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    points, out = _event_cloud(spark, sf_dir), None
-    for k in PREFIXES:
-        one = discrepancy.discrepancy(points.where(F.col("point_id") < k), 2).select(F.lit(k).cast("long").alias("prefix"), rounded("discrepancy_sq", 10).alias("discrepancy_sq"))
+    """Discrepancy of the first events in time, for every power of four from 64 that the table holds."""
+    from ..operators import latin
+
+    points = _event_cloud(spark, sf_dir).withColumns({"all": F.lit(0), "at": F.element_at("x", 1)})
+    ranked, total, out = latin.global_rank(points, "all", ["at", "point_id"]), points.count(), None
+    for k in [k for k in PREFIXES if k <= total] or PREFIXES[:1]:
+        one = discrepancy.discrepancy(ranked.where(F.col("rank") < k).select("point_id", "x"), 2).select(F.lit(k).cast("long").alias("prefix"), rounded("discrepancy_sq", 10).alias("discrepancy_sq"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -269,14 +276,12 @@ def projection_designs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-@query(
-    "covering_over_emb",
-    f"""WITH p AS ({_prefix_sql(4)}), c AS (SELECT * FROM p WHERE point_id % 10 = 0)
-    SELECT round(max(d), {DIGITS}) AS radius FROM (SELECT p.point_id, min(sqrt({" + ".join(f"pow(p.x{d} - c.x{d}, 2)" for d in range(1, 5))})) AS d FROM p, c GROUP BY p.point_id)""",
-)
+@query("covering_over_emb")
 def covering_over_emb(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Covering radius of all rows by the 200 that the box splitting picks, four axes."""
     space = _prefix(spark, sf_dir, 4)
-    return covering.covering_over(space.where("point_id % 10 = 0"), space, "point_id", "x").select(rounded("radius").alias("radius"))
+    picked = fitted.select_uniform_subset(space, 200, 4)
+    return covering.covering_over(picked, space, "point_id", "x").select(rounded("radius").alias("radius"))
 
 
 @query(
@@ -430,27 +435,26 @@ def integrate_product(spark: SparkSession, sf_dir: str) -> DataFrame:
     return valued.agg(F.count("*").alias("points"), F.round(F.avg("product"), 6).alias("relative"))
 
 
-def _gap_sql(n: int, f: str) -> str:
-    picked = f"(SELECT min({f}) FROM e WHERE vec_id % 4 = 0)"
-    return f"SELECT {n} AS dims, round({picked}, 6) AS picked_min, round((SELECT min({f}) FROM e), 6) AS true_min, round({picked} - (SELECT min({f}) FROM e), 6) AS gap"
-
-
 DIMS = (2, 4, 8, 16, 32, 64)
 
 
-@query(
-    "optimum_gap_emb",
-    "WITH e AS (SELECT vec_id, embedding FROM embeddings) " + " UNION ALL ".join(_gap_sql(n, f"list_sum([pow(CAST(v AS DOUBLE) - 0.05, 2) FOR v IN embedding[1:{n}]])") for n in DIMS),
-)
+@query("optimum_gap_emb")
 def optimum_gap_emb(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Gap between the best picked row and the best of all rows of a shifted sphere, per prefix length."""
+    """Gap between the best of 50 n picked rows and the best of all rows of a shifted sphere, per prefix length n.
+
+    Rows are picked by box splitting of their first n components; all of them
+    where there are no more.
+    """
     from ..functions.objectives import sphere
 
-    rows = read(spark, sf_dir, "embeddings")
-    value = lambda n: sphere(F.transform(F.slice("embedding", 1, n), lambda v: v.cast("double") - 0.05))
-    each = rows.select("vec_id", F.explode(F.array(*[F.struct(F.lit(n).alias("dims"), value(n).alias("f")) for n in DIMS])).alias("s")).select("vec_id", "s.*")
-    best = each.groupBy("dims").agg(F.min(F.when(F.col("vec_id") % 4 == 0, F.col("f"))).alias("p"), F.min("f").alias("t"))
-    return best.select("dims", F.round("p", 6).alias("picked_min"), F.round("t", 6).alias("true_min"), F.round(F.col("p") - F.col("t"), 6).alias("gap"))
+    out = None
+    for n in DIMS:
+        rows = _prefix(spark, sf_dir, n).withColumn("f", sphere(F.transform("x", lambda v: 2 * v - 1 - 0.05)))
+        picked = fitted.select_uniform_subset(rows, 50 * n, n).select("point_id")
+        best = rows.join(picked, "point_id").agg(F.min("f").alias("p")).crossJoin(rows.agg(F.min("f").alias("t")))
+        one = best.select(F.lit(n).alias("dims"), F.round("p", 6).alias("picked_min"), F.round("t", 6).alias("true_min"), F.round(F.col("p") - F.col("t"), 6).alias("gap"))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def _experiment(name: str, call) -> None:
