@@ -164,21 +164,84 @@ def test_licence_spans(spark):
 # token counts
 
 
-def test_segments_and_chunks_agree_with_the_library(monkeypatch):
+PIECES = [" ", "  ", "\n", "a", "the", "é", "▁", "\x00", "<s>", "①", "\t", " x", "\n\n", "中", "😀", "12", "...", " \n", "\n ", " " * 17, "aaa", "abba"]
+
+
+def piece_model():
     import public_tokenizers
     import sentencepiece
 
     path = public_tokenizers.path("piece_bpe_32k.model")
-    library, counter, r = sentencepiece.SentencePieceProcessor(model_file=path), tokencount.TokenCounter(path), random.Random(2)
-    parts = [" ", "  ", "\n", "a", "the", "é", "▁", "\x00", "<s>", "①", "\t", " x", "\n\n", "中", "😀", "12", "...", " \n", "\n "]
-    texts = [t or "" for t in EDGE] + ["".join(r.choices(parts, k=r.randrange(1, 30))) for _ in range(3000)]
+    return path, sentencepiece.SentencePieceProcessor(model_file=path)
+
+
+def test_compiled_counts_agree_with_the_library(monkeypatch):
+    (path, library), r = piece_model(), random.Random(2)
+    compiled = tokencount.compile_model(path)
+    texts = [t or "" for t in EDGE] + ["".join(r.choices(PIECES, k=r.randrange(1, 30))) for _ in range(3000)]
     want = [len(x) for x in library.encode(texts)]
-    assert counter.counts(texts) == want
-    monkeypatch.setattr(tokencount, "CHUNK_CHARS", 7)
-    monkeypatch.setattr(tokencount.chunks, "__defaults__", (7,))
+    assert tokencount.TokenCounter(compiled).counts(texts) == want
     monkeypatch.setattr(tokencount, "MAX_ARCS", 50)
-    few = texts[13:400]
-    assert tokencount.TokenCounter(path).counts(few) == want[13:400]
+    monkeypatch.setattr("evencube.llm.merges.MAX_PAIRS", 20)
+    assert tokencount.TokenCounter(compiled).counts(texts[13:400]) == want[13:400]
+
+
+def test_transducer_by_naive_merges(monkeypatch):
+    """Against merging the best pair, leftmost first, until none is left; strings read side by side and alone."""
+    from evencube.llm import merges
+
+    r, made = random.Random(8), 0
+    for _ in range(60):
+        letters = "abc"[: r.randrange(1, 4)]
+        pieces, known = [], set(letters)
+        while len(pieces) < 12:
+            p = "".join(r.choices(sorted(known), k=2))
+            if len(p) > 1 and p not in known:
+                known.add(p)
+                pieces.append(p)
+            elif r.random() < 0.05:
+                break
+        rank = {p: k for k, p in enumerate(pieces)}
+        texts = ["".join(r.choices(letters + "?é", weights=[9] * len(letters) + [1, 1], k=r.randrange(1, 30))) for _ in range(200)]
+        try:
+            machine = merges.Transducer(list(letters), pieces)
+        except ValueError:  # no trained vocabulary has later pieces inside earlier ones
+            continue
+        made += 1
+        parts = [merges._merged(t, rank, len(pieces)) for t in texts]
+        want = [sum(len(x.encode()) if x in "?é" else 1 for x in p) for p in parts]
+        for limit in (0, 64):
+            monkeypatch.setattr(merges, "SIDE_BY_SIDE", limit)
+            count, alone = machine.counts(texts)
+            assert count.tolist() == want and alone.tolist() == [len(p[0]) == 1 for p in parts]
+    assert made > 20
+
+
+def test_chunk_maps_agree_wherever_texts_are_cut():
+    (path, library), r = piece_model(), random.Random(5)
+    counter = tokencount.TokenCounter(tokencount.compile_model(path))
+    for _ in range(400):
+        text = "".join(r.choices(PIECES, k=r.randrange(1, 30)))
+        raw, size = tokencount.SPACE + text.replace(" ", tokencount.SPACE), r.randrange(1, 9)
+        maps = [counter.chunk_map(raw[k : k + size]) for k in range(0, len(raw), size)]
+        assert counter.long(maps) == len(library.encode(text))
+
+
+def test_token_count_edges(spark, monkeypatch):
+    """Null, empty, repeated, long rows (cut over tasks), clashing names and empty tables."""
+    path, library = piece_model()
+    monkeypatch.setattr(tokencount, "CHUNK_CHARS", 500)
+    monkeypatch.setattr(tokencount, "LONG_CHARS", 2000)
+    texts = [*EDGE, "two rows", "two rows", "one  line\n" * 1000, "one  line\n" * 1000]
+    docs = frame(spark, texts, n_tokens=["x"] * len(texts), row=["y"] * len(texts)).withColumn("a.b", F.lit(None).cast("string"))
+    got = tokencount.count_tokens(docs, path)
+    assert got.columns == ["doc_id", "text", "row", "a.b", "n_bytes", "n_tokens", "over_limit"]
+    rows = {r.doc_id: r for r in got.collect()}
+    assert len(rows) == len(texts)
+    for k, t in enumerate(texts):
+        n = len(library.encode(t or ""))
+        assert (rows[k].text, rows[k].row, rows[k].n_bytes, rows[k].n_tokens, rows[k].over_limit) == (t, "y", len((t or "").encode()), n, n > 4096)
+    assert tokencount.count_tokens(docs.limit(0), path).count() == 0
 
 
 def test_state_maps_compose_associatively():
