@@ -23,25 +23,38 @@ from .common import map_text
 
 WINDOW = 10
 
-#: Most bytes of item text in one broadcast pattern table; more items make more tables, each its own pass.
+#: Most bytes of item text in one broadcast pattern table, which takes about ten times that; more items make more tables, each its own pass.
 BLOCK_BYTES = 16 << 20
 
+#: Occurrences whose bytes are compared at once.
+COMPARED = 1 << 14
+
 #: Window ends of a row that one search pointer walks over.
 LANE = 256
 
 SPAN = T.StructType([T.StructField("first", T.LongType()), T.StructField("last", T.LongType())])
 
 
+@dataclass
+class ItemWords:
+    """The words of all items, one after another: hash and place in ``data``."""
+
+    hash: np.ndarray
+    start: np.ndarray
+    end: np.ndarray
+    data: np.ndarray
+
+
 @dataclass
 class ShiftTable:
-    """The patterns of one length, sorted by the hash of their last block."""
+    """The patterns of one length, sorted by the hash of their last block; pattern p begins at word ``first[p]`` of the items."""
 
     length: int
     block: int
-    words: np.ndarray
+    items: ItemWords
+    first: np.ndarray
     suffix: np.ndarray
     shift: np.ndarray
-    texts: list[bytes]
     #: owner[owner_at[p] : owner_at[p + 1]] are the items of pattern p
     owner_at: np.ndarray
     owner: np.ndarray
@@ -59,7 +72,7 @@ class ShiftTable:
         stop = np.minimum(at + LANE, bounds[row + 1])
         found = []
         while len(at):
-            step = self.shift[blocks[at - self.block + 1] & mask]
+            step = self.shift[blocks[at - self.block + 1] & mask].astype(np.int64)
             hit = step == 0
             if hit.any():
                 found.append(at[hit])
@@ -80,12 +93,12 @@ class ShiftTable:
         out_e, out_p = [], []
         # buckets are walked side by side, one member at a time
         while len(ends):
-            same = self.words[low, 0] == h[ends - self.length + 1]
+            same = self.items.hash[self.first[low]] == h[ends - self.length + 1]
             e, p = ends[same], low[same]
             for k in range(1, self.length):
                 if not len(e):
                     break
-                same = self.words[p, k] == h[e - self.length + 1 + k]
+                same = self.items.hash[self.first[p] + k] == h[e - self.length + 1 + k]
                 e, p = e[same], p[same]
             out_e.append(e)
             out_p.append(p)
@@ -95,52 +108,70 @@ class ShiftTable:
         if not out_e:
             return np.empty(0, np.int64), np.empty(0, np.int64)
         e, p = np.concatenate(out_e), np.concatenate(out_p)
-        sure = np.array([self._same_bytes(data, words, x, y) for x, y in zip(e.tolist(), p.tolist())], bool)
+        sure = np.concatenate([self._same_bytes(data, words, e[k : k + COMPARED], p[k : k + COMPARED]) for k in range(0, len(e), COMPARED)] or [np.empty(0, bool)])
         return e[sure], p[sure]
 
-    def _same_bytes(self, data: np.ndarray, words: bytescan.Words, end: int, pattern: int) -> bool:
-        span = range(end - self.length + 1, end + 1)
-        return b" ".join(data[words.start[i] : words.end[i]].tobytes() for i in span) == self.texts[pattern]
+    def _same_bytes(self, data: np.ndarray, words: bytescan.Words, end: np.ndarray, pattern: np.ndarray) -> np.ndarray:
+        """Whether the words up to each ``end`` are the pattern's, byte by byte."""
+        span = np.arange(self.length)
+        here, there = (end[:, None] - self.length + 1 + span).ravel(), (self.first[pattern][:, None] + span).ravel()
+        size = words.end[here] - words.start[here]
+        same = size == self.items.end[there] - self.items.start[there]
+        size = np.where(same, size, 0)
+        within = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+        differs = data[np.repeat(words.start[here], size) + within] != self.items.data[np.repeat(self.items.start[there], size) + within]
+        same &= np.bincount(np.repeat(np.arange(len(size)), size), differs, len(size)) == 0
+        return same.reshape(-1, self.length).all(axis=1)
 
 
 def compile_tables(texts: pa.Array, window: int) -> list[ShiftTable]:
     """Shift tables, one per pattern length, of the items in ``texts``; owners are row numbers."""
-    found: dict[int, dict[bytes, tuple[np.ndarray, set[int]]]] = {}
+    found, counts, base = [], [], 0
     for part in bytescan.slices(texts):
         words, data = bytescan.scan(part, bytescan.ALNUM), bytescan.LOWER[part.data]
-        raw = [data[a:b].tobytes() for a, b in zip(words.start.tolist(), words.end.tolist())]
-        for r in range(len(part)):
-            a, b = int(words.bounds[r]), int(words.bounds[r + 1])
-            m = min(window, b - a)
-            for i in range(a, b - m + 1) if m else ():
-                entry = found.setdefault(m, {}).setdefault(b" ".join(raw[i : i + m]), (words.hash[i : i + m], set()))
-                entry[1].add(part.first + r)
-    return [_table(m, patterns) for m, patterns in sorted(found.items())]
+        found.append((words.hash, words.start + base, words.end + base, data))
+        counts.append(words.counts)
+        base += len(data)
+    if not found:
+        return []
+    items, size = ItemWords(*(np.concatenate(x) for x in zip(*found))), np.concatenate(counts)
+    begin = np.cumsum(size) - size
+    lengths = np.minimum(size, window)
+    out = []
+    for m in np.unique(lengths[lengths > 0]).tolist():
+        owner = np.flatnonzero(lengths == m)
+        many = size[owner] - m + 1
+        first = np.repeat(begin[owner] - (np.cumsum(many) - many), many) + np.arange(many.sum())
+        out.append(_table(m, items, first, np.repeat(owner, many)))
+    return out
 
 
-def _table(m: int, patterns: dict[bytes, tuple[np.ndarray, set[int]]]) -> ShiftTable:
+def _table(m: int, items: ItemWords, first: np.ndarray, owner: np.ndarray) -> ShiftTable:
     block = min(2, m)
-    texts, words = list(patterns), np.array([h for h, _ in patterns.values()], np.uint64)
-    pairs = [
-        words[:, j] if block == 1 else np.array([bytescan.gram_hash(row, 2)[0] for row in words[:, j : j + 2]], np.uint64)
-        for j in range(m - block + 1)
-    ]
-    size = 1 << max(12, int(8 * len(texts) * len(pairs)).bit_length())
-    shift = np.full(size, m - block + 1, np.int64)
-    for j, pair in enumerate(pairs):
-        np.minimum.at(shift, pair & np.uint64(size - 1), m - block - j)
-    order = np.argsort(pairs[-1], kind="stable")
-    owners = [sorted(patterns[texts[i]][1]) for i in order]
-    return ShiftTable(
-        m,
-        block,
-        words[order],
-        pairs[-1][order],
-        shift,
-        [texts[i] for i in order],
-        np.cumsum([0, *map(len, owners)]),
-        np.array([x for o in owners for x in o], np.int64),
-    )
+    # equal windows are one pattern: two 64-bit hashes tell them apart
+    keys = [np.full(len(first), np.uint64(salt)) for salt in (1, 2)]
+    with np.errstate(over="ignore"):
+        for k in range(m):
+            keys = [bytescan.mix(key * odd + items.hash[first + k]) for key, odd in zip(keys, (np.uint64(0xD6E8FEB86659FD93), np.uint64(0x9E3779B97F4A7C15)))]
+    order = np.lexsort((owner, *keys))
+    one, two, first, owner = keys[0][order], keys[1][order], first[order], owner[order]
+    new = np.r_[True, (one[1:] != one[:-1]) | (two[1:] != two[:-1])] if len(one) else np.empty(0, bool)
+    group = np.cumsum(new) - 1
+    again = np.r_[False, ~new[1:] & (owner[1:] == owner[:-1])] if len(one) else new
+    first, owner, group = first[new], owner[~again], group[~again]
+    blocks = items.hash if block == 1 else bytescan.gram_hash(items.hash, 2)
+    met = len(np.unique(np.concatenate([blocks[first + j] for j in range(m - block + 1)])))
+    shift = np.full(1 << max(12, int(8 * met).bit_length()), m - block + 1, np.uint16 if m < 1 << 16 else np.int64)
+    for j in range(m - block + 1):
+        # ever nearer to the end, so that the least shift is written last
+        shift[blocks[first + j] & np.uint64(len(shift) - 1)] = m - block - j
+    suffix = blocks[first + m - block]
+    order = np.argsort(suffix, kind="stable")
+    place = np.empty(len(order), np.int64)
+    place[order] = np.arange(len(order))
+    by = np.argsort(place[group], kind="stable")
+    at = np.r_[0, np.cumsum(np.bincount(place[group], minlength=len(first)))]
+    return ShiftTable(m, block, items, first[order], suffix[order], shift, at, owner[by])
 
 
 def search(text: pa.Array, tables: list[ShiftTable], names: np.ndarray) -> list[pa.Array]:

@@ -15,7 +15,7 @@ document vector's length: dimensions times the root of summed squared counts.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import bytescan
-from .common import map_text, small_batches
+from .common import durable, map_text, small_batches
 
 DIMENSIONS, SEED = 8192, 20_011
 
@@ -36,8 +36,8 @@ SYMBOL_OF[97:123] = np.arange(1, 27)
 SYMBOL_OF[48:58] = 27
 SYMBOL_OF[128:] = 28 + _b[128:] % 36
 
-#: Most languages that get a prototype; the table of trigrams by languages stays under 64**3 * this * 4 bytes.
-MAX_LANGUAGES = 64
+#: Languages of a block; its table of trigrams takes 64**3 * 4 bytes each.
+BLOCK_LANGUAGES = 64
 
 
 def trigrams(part: bytescan.Slice) -> tuple[np.ndarray, np.ndarray]:
@@ -73,32 +73,33 @@ def _parts(n: int, size: int = 1024) -> Iterator[slice]:
     return (slice(k, k + size) for k in range(0, n, size))
 
 
-def prototypes(counts: dict[str, dict[int, int]], vectors: np.ndarray) -> tuple[list[str], np.ndarray]:
-    """(languages, product of each trigram vector with each unit prototype)."""
-    names = sorted(counts)
-    codes = np.array(sorted({c for of in counts.values() for c in of}), np.int64)
-    weight = np.array([[counts[name].get(c, 0) for c in codes.tolist()] for name in names], np.float64).reshape(len(names), len(codes))
+def bundle(counts: Sequence[tuple[np.ndarray, np.ndarray]], vectors: np.ndarray) -> np.ndarray:
+    """One vector per language from its (codes, counts): the sum of its trigrams' vectors, by their shares."""
     # a language's size must not matter, only its mix of trigrams
-    weight /= np.maximum(weight.sum(axis=1, keepdims=True), 1)
-    profile = np.zeros((len(names), vectors.shape[1]))
-    for part in _parts(len(codes)):
-        profile += weight[:, part] @ bind(codes[part], vectors).astype(np.float64)
-    if len(names) > 1:  # what all languages share tells none apart
-        profile -= profile.mean(axis=0)
-    profile /= np.maximum(np.linalg.norm(profile, axis=1, keepdims=True), 1e-12)
-    # trigrams of no training text would add nothing but the noise of chance products
-    table = np.zeros((len(names), SYMBOLS**3), np.float32)
-    for part in _parts(len(codes)):
-        table[:, codes[part]] = profile.astype(np.float32) @ bind(codes[part], vectors).astype(np.float32).T
-    return names, table
+    profile = np.zeros((len(counts), vectors.shape[1]))
+    for k, (codes, n) in enumerate(counts):
+        share = n / max(n.sum(), 1)
+        for part in _parts(len(codes)):
+            profile[k] += share[part] @ bind(codes[part], vectors).astype(np.float64)
+    return profile
+
+
+def prototypes(profile: np.ndarray) -> np.ndarray:
+    """Unit vectors of what tells the languages apart."""
+    if len(profile) > 1:  # what all languages share tells none apart
+        profile = profile - profile.mean(axis=0)
+    return profile / np.maximum(np.linalg.norm(profile, axis=1, keepdims=True), 1e-12)
 
 
 class Profiles:
-    """Prototypes ready to score texts."""
+    """Prototypes of a block of languages, ready to score texts; ``codes`` are the trigrams of all training texts."""
 
-    def __init__(self, counts: dict[str, dict[int, int]], dimensions: int = DIMENSIONS, seed: int = SEED) -> None:
-        self.root = dimensions**0.5
-        self.names, self.table = prototypes(counts, symbol_vectors(dimensions, seed))
+    def __init__(self, names: list[str], unit: np.ndarray, codes: np.ndarray, vectors: np.ndarray) -> None:
+        self.root, self.names = vectors.shape[1] ** 0.5, names
+        # trigrams of no training text would add nothing but the noise of chance products
+        self.table = np.zeros((len(names), SYMBOLS**3), np.float32)
+        for part in _parts(len(codes)):
+            self.table[:, codes[part]] = unit.astype(np.float32) @ bind(codes[part], vectors).astype(np.float32).T
 
     def cosines(self, part: bytescan.Slice) -> np.ndarray:
         """Cosine of every row (down) with every language (across); rows without symbols: 0."""
@@ -162,30 +163,42 @@ def count_trigrams(docs: DataFrame, text: str, lang: str) -> DataFrame:
     return each.mapInArrow(run, "lang string, code int, n long").groupBy("lang", "code").agg(F.sum("n").alias("n"))
 
 
-def fit_profiles(docs: DataFrame, text: str = "text", lang: str = "lang", dimensions: int = DIMENSIONS, seed: int = SEED) -> Profiles:
-    """Profiles learned from every text with a non-null language (counts over all of them).
+def fit_profiles(docs: DataFrame, text: str = "text", lang: str = "lang", dimensions: int = DIMENSIONS, seed: int = SEED) -> list[Profiles]:
+    """Profiles learned from every text with a non-null language (counts over all of them), in blocks of ``BLOCK_LANGUAGES``.
 
-    The counts that reach the driver number at most 64**3 per language; more
-    than ``MAX_LANGUAGES`` languages raise ValueError. Without any, every text
-    is ``und``.
+    The counts that reach the driver at once number at most 64**3 for each
+    language of a block. Without any language, every text is ``und``.
     """
-    if docs.select(lang).distinct().count() > MAX_LANGUAGES:
-        raise ValueError(f"more than {MAX_LANGUAGES} languages")
-    found = count_trigrams(docs, text, lang).toArrow()
-    out: dict[str, dict[int, int]] = {}
-    for name, code, n in zip(found["lang"].to_pylist(), found["code"].to_pylist(), found["n"].to_pylist()):
-        out.setdefault(name, {})[code] = n
-    return Profiles(out, dimensions, seed)
-
-
-def predict_language(docs: DataFrame, profiles: Profiles, text: str = "text") -> DataFrame:
+    counts, vectors = durable(count_trigrams(docs, text, lang)), symbol_vectors(dimensions, seed)
+    names = sorted(r.lang for r in counts.select("lang").distinct().collect())
+    blocks = [names[k : k + BLOCK_LANGUAGES] for k in range(0, len(names), BLOCK_LANGUAGES)]
+    met, profile = np.zeros(SYMBOLS**3, bool), [np.zeros((0, dimensions))]
+    for block in blocks:
+        found = counts.where(F.col("lang").isin(block)).toArrow()
+        of, code, n = np.array(found["lang"].to_pylist(), object), found["code"].to_numpy().astype(np.int64), found["n"].to_numpy()
+        met[code] = True
+        order = np.argsort(code, kind="stable")
+        profile.append(bundle([(code[order][of[order] == name], n[order][of[order] == name]) for name in block], vectors))
+    unit, codes = prototypes(np.concatenate(profile)), np.flatnonzero(met)
+    return [Profiles(block, unit[k * BLOCK_LANGUAGES :][: len(block)], codes, vectors) for k, block in enumerate(blocks)]
+
+
+def predict_language(docs: DataFrame, profiles: list[Profiles], text: str = "text") -> DataFrame:
     """``docs`` with lang_pred and score ((1 + cosine) / 2).
 
     Columns of those names are replaced. Null texts and texts without a letter
     of any script get ``und`` and score 0; ties go to the first language in
     order; repeated rows are predicted alike; documents never move.
     """
-    shared = docs.sparkSession.sparkContext.broadcast(profiles)
-    fields = [T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]
-    return map_text(docs, text, fields, lambda: shared.value.predict)
-
+    names, out = [c for c in docs.columns if c.lower() not in ("lang_pred", "score")], docs
+    # a pass a block; one is enough for up to BLOCK_LANGUAGES languages
+    for k, block in enumerate(profiles or [Profiles([], np.zeros((0, 1)), np.empty(0, np.int64), np.ones((SYMBOLS, 1), np.int8))]):
+        shared = docs.sparkSession.sparkContext.broadcast(block)
+        fields = [T.StructField(f"__lang{k}", T.StringType()), T.StructField(f"__score{k}", T.DoubleType())]
+        out = map_text(out, text, fields, lambda shared=shared: shared.value.predict)
+    best = F.col("__score0")
+    name = F.col("__lang0")
+    for k in range(1, len(profiles)):
+        name = F.when(F.col(f"__score{k}") > best, F.col(f"__lang{k}")).otherwise(name)
+        best = F.greatest(best, F.col(f"__score{k}"))
+    return out.select(*[F.col(f"`{c}`") for c in names], name.alias("lang_pred"), best.alias("score"))

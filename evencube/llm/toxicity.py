@@ -27,6 +27,9 @@ BITS = 22
 #: Most labelled rows that a fit uses: those with the smallest hash of their id.
 MAX_TRAIN_ROWS = 8_000
 
+#: Bytes of their texts; batches of later rows are left out.
+MAX_TRAIN_BYTES = 256 << 20
+
 #: Bytes of the stems that count as features beside whole words.
 STEMS = (4, 5, 6, 7)
 
@@ -141,8 +144,9 @@ class ToxicityModel:
 def fit_toxicity(docs: DataFrame, labels: DataFrame, allowed: Column | None = None, how: Ftrl = Ftrl(), max_rows: int = MAX_TRAIN_ROWS) -> ToxicityModel:
     """A model from labelled texts: ``labels`` (doc_id, toxic), where ``allowed`` (a condition on doc_id) holds.
 
-    At most ``max_rows`` labelled ids take part, those with the smallest hash;
-    their whole texts are read. Null labels and ids without a document are left
+    At most ``max_rows`` labelled ids take part, those with the smallest hash,
+    and of them batches up to ``MAX_TRAIN_BYTES``; their whole texts are read,
+    one row an id. Null labels and ids without a document are left
     out. One task trains on that bounded sample, in hash order, so a lost
     executor repeats the same result. Without any labelled text the model is
     neutral (score 0.5).
@@ -156,13 +160,20 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, allowed: Column | None = No
     sample = (
         docs.select("doc_id", "text")
         .join(F.broadcast(chosen), "doc_id")
-        .select(rank.alias("rank"), "doc_id", "text", F.col("toxic").cast("int").alias("toxic"))
+        # of repeated rows one, so that the bound on ids bounds the rows
+        .groupBy(rank.alias("rank"), "doc_id")
+        .agg(F.min("text").alias("text"), F.max("toxic").cast("int").alias("toxic"))
         .repartition(1)
         .sortWithinPartitions("rank", "doc_id", "text")
     )
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows = list(batches)
+        rows, size = [], 0
+        for batch in batches:
+            size += batch.column(2).nbytes
+            if rows and size > MAX_TRAIN_BYTES:
+                break
+            rows.append(batch)
         if not rows:
             return
         whole = pa.Table.from_batches(rows)

@@ -31,6 +31,10 @@ class Rule:
     def name(self) -> str:
         return self.host + self.path
 
+    @property
+    def labels(self) -> int:
+        return len(self.host.split(".")) if self.host else 0
+
 
 @dataclass
 class _Node:
@@ -113,28 +117,44 @@ def judge_urls(pages: DataFrame, rules: list[Rule], url: str = "url", default: s
     Columns of those names are replaced. A null, empty or malformed url gets
     empty host and path, no rule and the default verdict; repeated rows are
     judged alike, an empty table gives an empty result. Rows never move: the
-    trie is broadcast, its size is checked first.
+    trie is broadcast, its size is checked first; rules of more than
+    ``MAX_RULE_CHARS`` make several tries, of which the longest match wins.
     """
-    if sum(len(r.name) for r in rules) > MAX_RULE_CHARS:
-        raise ValueError("more rule text than may be broadcast; judge with parts of the rules and keep each url's longest rule")
     if default not in ("allow", "block"):
         raise ValueError("default is allow or block")
-    trie = pages.sparkSession.sparkContext.broadcast(HostPathTrie(rules))
-
-    @F.pandas_udf("rule string, verdict string")
-    def judged(host: pd.Series, path: pd.Series) -> pd.DataFrame:
-        match, seen, out = trie.value.match, {}, []
-        for key in zip(host, path):
-            if key not in seen:
-                rule = match(*key)
-                seen[key] = (None, default) if rule is None else (rule.name, rule.verdict)
-            out.append(seen[key])
-        return pd.DataFrame(out, columns=["rule", "verdict"])
-
-    parsed = pages.withColumns({"host": url_host(F.col(url)), "path": url_path(F.col(url))})
-    return (
-        parsed.drop("rule", "verdict")
-        .withColumn("__judged", judged("host", "path"))
-        .select("*", "__judged.rule", "__judged.verdict")
-        .drop("__judged")
-    )
+    tries = [pages.sparkSession.sparkContext.broadcast(HostPathTrie(part)) for part in _blocks(rules)]
+
+    def judge(trie, host: Column, path: Column) -> Column:
+        @F.pandas_udf("labels int, chars int, rule string, verdict string")
+        def judged(host: pd.Series, path: pd.Series) -> pd.DataFrame:
+            match, seen, out = trie.value.match, {}, []
+            for key in zip(host, path):
+                if key not in seen:
+                    rule = match(*key)
+                    seen[key] = (-1, -1, None, default) if rule is None else (rule.labels, len(rule.path), rule.name, rule.verdict)
+                out.append(seen[key])
+            return pd.DataFrame(out, columns=["labels", "chars", "rule", "verdict"])
+
+        return judged(host, path)
+
+    names = [c for c in pages.columns if c.lower() not in ("host", "path", "rule", "verdict")]
+    # under names of their own, as pages may have columns of any name
+    plain = pages.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("own"), url_host(F.col(url)).alias("host"), url_path(F.col(url)).alias("path"))
+    found = plain.select("*", *[judge(trie, F.col("host"), F.col("path")).alias(f"judged{k}") for k, trie in enumerate(tries)])
+    # a struct is greater by its labels first, then by its path's length
+    best = F.greatest(*[F.col(f"judged{k}") for k in range(len(tries))]) if len(tries) > 1 else F.col("judged0")
+    found = found.select("own", "host", "path", best.alias("best"))
+    return found.select(*[F.col("own").getField(c).alias(c) for c in names], "host", "path", F.col("best.rule").alias("rule"), F.col("best.verdict").alias("verdict"))
+
+
+def _blocks(rules: list[Rule]) -> list[list[Rule]]:
+    """Rules of ``MAX_RULE_CHARS`` or so each; rules of one host and path stay together."""
+    out: list[list[Rule]] = [[]]
+    size, last = 0, None
+    for rule in sorted(rules, key=lambda r: (r.host.lower(), r.path)):
+        if size > MAX_RULE_CHARS and (rule.host.lower(), rule.path) != last:
+            out.append([])
+            size = 0
+        out[-1].append(rule)
+        size, last = size + len(rule.name), (rule.host.lower(), rule.path)
+    return out

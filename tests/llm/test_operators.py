@@ -476,6 +476,74 @@ def test_vector_edges(spark, monkeypatch):
 # classifiers
 
 
+def test_many_tries_give_the_same(spark, monkeypatch):
+    r = random.Random(4)
+    hosts, paths = ["net", "a.net", "b.a.net", "org", ""], ["", "/", "/x", "/x/", "/x/y", "/z"]
+    rules = [urlfilter.Rule(r.choice(["allow", "block"]), r.choice(hosts), r.choice(paths)) for _ in range(25)]
+    urls = [(k, f"http://{r.choice(['net', 'c.a.net', 'b.a.net', 'x.org', 'other.de'])}{r.choice(['', '/', '/x', '/xy', '/x/y/z', '/z?q'])}", "mine") for k in range(200)]
+    pages = spark.createDataFrame(urls, "page_id long, url string, judged0 string")
+    one = urlfilter.judge_urls(pages, rules).collect()
+    monkeypatch.setattr(urlfilter, "MAX_RULE_CHARS", 9)
+    assert len(urlfilter._blocks(rules)) > 3 and sorted(urlfilter.judge_urls(pages, rules).collect(), key=str) == sorted(one, key=str)
+
+
+def test_training_step_by_step():
+    """Weights and scores against the update rule, one coordinate at a time in plain Python."""
+    r = random.Random(9)
+    texts = [" ".join(r.choices(["bad", "good", "worse", "fine", "thing"], k=6)) for _ in range(40)]
+    labels = np.array([float("bad" in t.split()) for t in texts])
+    how = toxicity.Ftrl(alpha=0.5, beta=1.0, l1=0.3, l2=0.1, epochs=2, min_texts=3)
+    key, weight, bias = toxicity.train(pa.array(texts), labels, how)
+    sets = [set(toxicity.features(next(bytescan.slices(pa.array([t]))))[1].tolist()) for t in texts]
+    held = Counter(f for s in sets for f in s)
+    known = {f for f, n in held.items() if n >= 3}
+    z, n = Counter(), Counter()
+
+    def w(f):
+        edge = 0.0 if f is None else how.l1
+        if abs(z[f]) <= edge:
+            return 0.0
+        return -(z[f] - (edge if z[f] > 0 else -edge)) / ((how.beta + n[f] ** 0.5) / how.alpha + how.l2)
+
+    for _ in range(how.epochs):
+        for s, label in zip(sets, labels):
+            on = [*(s & known), None]
+            g = 1 / (1 + np.exp(-sum(w(f) for f in on))) - label
+            for f, old in [(f, w(f)) for f in on]:
+                z[f] += g - ((n[f] + g * g) ** 0.5 - n[f] ** 0.5) / how.alpha * old
+                n[f] += g * g
+    assert bias == pytest.approx(w(None)) and dict(zip(key.tolist(), weight)) == pytest.approx({f: w(f) for f in known if w(f)})
+    model = toxicity.ToxicityModel(key, weight, bias)
+    score, _ = model.scorer()(pa.array(texts[:9]))
+    assert np.allclose(score.to_numpy(), [1 / (1 + np.exp(-sum(w(f) for f in [*(s & known), None]))) for s in sets[:9]], atol=1e-6)
+
+
+def test_repeated_rows_train_once(spark):
+    docs = frame(spark, [("nasty word " if k % 2 == 0 else "kind word ") + f"t{k}" for k in range(60)])
+    labels = spark.createDataFrame([(k, int(k % 2 == 0)) for k in range(60)], "doc_id long, toxic int")
+    one = toxicity.fit_toxicity(docs, labels)
+    many = toxicity.fit_toxicity(docs.unionByName(docs.where("doc_id < 3").crossJoin(spark.range(200)).drop("id")), labels.unionByName(labels))
+    assert np.array_equal(one.key, many.key) and np.allclose(one.weight, many.weight)
+
+
+def test_repeated_rows_are_judged_alike(spark):
+    """Rows of one id and text, many times over, in the operators that judge row by row."""
+    docs = frame(spark, ["under the mit license and more words to find here", "the house and the garden are here", None], lang=["en", "en", None])
+    twice = docs.unionByName(docs)
+    items = spark.createDataFrame([(1, "the house and the garden"), (1, "the house and the garden"), (2, None)], "item_id int, text string")
+    pages = spark.createDataFrame([(1, "http://a.net/x", "own"), (1, "http://a.net/x", "own"), (2, None, "own")], "page_id long, url string, __judged string")
+    profiles = langid.fit_profiles(docs)
+    for result, keys in (
+        (licenses.scan_licences(twice), ["doc_id"]),
+        (decontam.find_contamination(twice, items), ["doc_id"]),
+        (langid.predict_language(twice, profiles), ["doc_id"]),
+        (urlfilter.judge_urls(pages, [urlfilter.Rule("block", "net", "/")]), ["page_id"]),
+    ):
+        rows = [tuple(str(x) for x in r) for r in result.collect()]
+        assert len(rows) in (6, 3) and len(set(rows)) == (3 if keys == ["doc_id"] else 2)
+        assert result.limit(0).count() == 0
+
+
 def test_toxicity_edges(spark):
     labels = spark.createDataFrame([(k, int(k % 2 == 0)) for k in range(60)] + [(99, None), (None, 1)], "doc_id long, toxic int")
     texts = [("nasty word here " if k % 2 == 0 else "kind word here ") + f"t{k}" for k in range(60)]
@@ -577,13 +645,53 @@ def test_language_edges(spark):
     assert langid.predict_language(docs.limit(0), profiles).count() == 0
 
 
-def test_table_of_products_equals_bundled_vectors():
-    """Scores from the table against vectors bundled one by one."""
-    counts = {"a": {5 * 4096 + 3 * 64 + 9: 4, 77: 2}, "b": {9: 1, 4096: 3}}
-    p = langid.Profiles(counts, dimensions=512, seed=1)
-    v = langid.symbol_vectors(512, 1)
-    profile = np.stack([sum(n / sum(c.values()) * langid.bind(np.array([g]), v)[0].astype(float) for g, n in c.items()) for c in counts.values()])
+def test_predictions_equal_those_of_bundled_vectors():
+    """Products from the table against document vectors bundled one by one, and the documents' cosines."""
+    texts = {"a": ["the house and the garden", "a house"], "b": ["das haus und der garten", "ein haus"], "c": ["la maison et le jardin"]}
+    vectors = langid.symbol_vectors(8192, 1)
+
+    def codes(text):
+        return langid.trigrams(next(bytescan.slices(pa.array([text]))))[1]
+
+    counts = [np.unique(np.concatenate([codes(t) for t in of]), return_counts=True) for of in texts.values()]
+    profile = np.stack([sum(n / c[1].sum() * langid.bind(np.array([g]), vectors)[0].astype(float) for g, n in zip(*c)) for c in counts])
     profile -= profile.mean(axis=0)
     profile /= np.linalg.norm(profile, axis=1, keepdims=True)
-    for g in (77, 9, 4096):
-        assert np.allclose(p.table[:, g], profile @ langid.bind(np.array([g]), v)[0], atol=1e-4)
+    every = np.unique(np.concatenate([c[0] for c in counts]))
+    made = langid.Profiles(list(texts), langid.prototypes(langid.bundle(counts, vectors)), every, vectors)
+    for g in every[:20]:
+        assert np.allclose(made.table[:, g], profile @ langid.bind(np.array([g]), vectors)[0], atol=1e-3)
+    for text in ("the garden", "der garten", "le jardin", "house haus maison", "quite other words"):
+        known = codes(text)[np.isin(codes(text), every)]
+        document = langid.bind(codes(text), vectors).astype(float).sum(axis=0)
+        inside = langid.bind(known, vectors).astype(float).sum(axis=0) if len(known) else np.zeros(8192)
+        want = profile @ inside / np.linalg.norm(document)
+        got = made.cosines(next(bytescan.slices(pa.array([text]))))[0]
+        # a document's length is taken from quasi-orthogonality
+        assert np.allclose(got, want, rtol=0.1, atol=0.01)
+        if len(known):
+            assert got.argmax() == want.argmax()
+
+
+def test_seventy_languages(spark, monkeypatch):
+    words = [f"{chr(97 + k % 26)}{chr(97 + k // 26)}x{chr(97 + (k * 7) % 26)}zq{chr(97 + (k * 11) % 26)}" for k in range(70)]
+    docs = frame(spark, [f"{w} {w} {w}" for w in words] * 2, lang=[f"l{k:02}" for k in range(70)] * 2)
+    profiles = langid.fit_profiles(docs)
+    assert [len(p.names) for p in profiles] == [64, 6]
+    got = {r.doc_id: r.lang_pred for r in langid.predict_language(docs, profiles).collect()}
+    assert got == {k: f"l{k % 70:02}" for k in range(140)}
+    monkeypatch.setattr(langid, "BLOCK_LANGUAGES", 7)
+    again = {r.doc_id: r.lang_pred for r in langid.predict_language(docs, langid.fit_profiles(docs)).collect()}
+    assert again == got
+
+
+def test_many_items_compile_in_bounded_memory():
+    import pickle
+    import time
+
+    r = np.random.default_rng(2)
+    words = np.array([f"w{k}" for k in range(50_000)])
+    texts = pa.array([" ".join(words[r.integers(0, len(words), 200)]) for _ in range(2000)])
+    began = time.time()
+    tables = decontam.compile_tables(texts, 10)
+    assert len(pickle.dumps(tables)) < 15 * texts.nbytes and time.time() - began < 20
