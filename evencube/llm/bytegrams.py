@@ -29,7 +29,10 @@ ORDER = 6
 MODELS = 1 << 16
 
 #: Grams of trusted texts that a task gathers before it sends them.
-SEND = 2_000_000
+SEND = 1_000_000
+
+#: Bytes of text handled at once, each as a gram of eight bytes in several arrays.
+SLICE = 1 << 18
 
 #: Orders whose grams hold the two bytes that a shard is chosen by.
 SHARDED = range(3, ORDER + 1)
@@ -52,13 +55,13 @@ def grams(part: bytescan.Slice, model: np.ndarray) -> tuple[np.ndarray, np.ndarr
     size = np.diff(part.offsets)
     full = np.where(size > 0, size + ORDER, 0)
     start = np.cumsum(full) - full
-    row = np.repeat(np.arange(len(size)), size)
+    row = np.repeat(np.arange(len(size), dtype=np.int32), size)
     data = np.zeros(int(full.sum()), np.uint64)
     data[start[row] + ORDER - 1 + np.arange(len(row)) - part.offsets[row]] = bytescan.LOWER[part.data]
     gram = data.copy()
     for k in range(1, ORDER):
         gram[k:] |= data[: len(data) - k] << np.uint64(8 * k)
-    of = np.repeat(np.arange(len(size)), full)
+    of = np.repeat(np.arange(len(size), dtype=np.int32), full)
     last = np.flatnonzero(np.arange(len(data)) - start[of] >= ORDER - 1)
     row = of[last]
     return gram[last] | (model.astype(np.uint64) << np.uint64(48))[row], row
@@ -83,7 +86,7 @@ def count(trusted: DataFrame) -> DataFrame:
 
         for batch in batches:
             model = batch.column(0).to_numpy(zero_copy_only=False)
-            for part in bytescan.slices(batch.column(1)):
+            for part in bytescan.slices(batch.column(1), SLICE):
                 found = np.unique(grams(part, model[part.first : part.first + len(part)])[0], return_counts=True)
                 parts.append(found)
                 size += len(found[0])
@@ -282,7 +285,7 @@ class Block:
     def score(self, text: pa.Array, model: pa.Array) -> list[pa.Array]:
         """Per text: loss, bytes, loss of fresh bytes and their number, of the bytes that this block knows; each text counts its end."""
         numbers, out = model.to_numpy(zero_copy_only=False), []
-        for part in bytescan.slices(text):
+        for part in bytescan.slices(text, SLICE):
             gram, row = grams(part, numbers[part.first : part.first + len(part)])
             if self.blocks > 1:
                 mine = shard_of(gram, self.blocks) == self.nth
