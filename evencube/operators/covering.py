@@ -205,8 +205,10 @@ def lower_np(x: np.ndarray, m: int, *key: int) -> float:
 
 
 def bound_tightness(rows: DataFrame, eps: float = 1e-9) -> DataFrame:
-    """Share of rows (n, exact, upper) per n whose upper bound is exact."""
-    return rows.groupBy("n").agg(F.avg((F.abs(F.col("exact") - F.col("upper")) < eps).cast("double")).alias("tight"), F.avg(F.col("upper") / F.col("exact")).alias("mean_ratio"))
+    """Share of rows (n, exact, upper) per n whose upper bound is exact, within ``eps`` and bit by bit."""
+    share = lambda same: F.avg(same.cast("double"))
+    close, equal = F.abs(F.col("exact") - F.col("upper")) < eps, F.col("exact") == F.col("upper")
+    return rows.groupBy("n").agg(share(close).alias("tight"), share(equal).alias("equal"), F.avg(F.col("upper") / F.col("exact")).alias("mean_ratio"))
 
 
 def separation(points: DataFrame, n: int, point_id: str = "point_id", x: str = "x") -> DataFrame:

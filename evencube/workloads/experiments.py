@@ -34,8 +34,8 @@ def block_sizes(text: str) -> list[int]:
     return [int(size) for part in text.split(".") for size, times in [(part.split("^") + ["1"])[:2]] for _ in range(int(times))]
 
 
-def _strata_np(count: int, n: int, *key: int) -> tuple[np.ndarray, np.ndarray]:
-    return strata.bsplit_np(count, n, mode="keyed", seed=int(rng.fast_key(*key, 61) >> np.uint64(33)))
+def _strata_np(count: int, n: int, *key: int, avoid_odd: bool = True) -> tuple[np.ndarray, np.ndarray]:
+    return strata.bsplit_np(count, n, avoid_odd, mode="keyed", seed=int(rng.fast_key(*key, 61) >> np.uint64(33)))
 
 
 def make_design(method: str, count: int, n: int, generators: dict[str, int], *key: int) -> np.ndarray:
@@ -133,45 +133,69 @@ def integration_spread(spark: SparkSession, which: str, reps: int, count: int =
 MEASURED = ("srs", "lhs", "radinv", "power_lattice", "power_lattice_latin", "grid_centre", "bsplit:1", "bsplit:2", "bsplit:8", "bsplit:inf", "bsplit_cog")
 
 
-def measures_np(x: np.ndarray, probes: int, tries: int, *key: int) -> dict[str, float]:
+#: Probes of the lower bound: ten for each point, or 20,000 for each axis.
+PROBES: dict[str, Callable[[int, int], int]] = {"10N": lambda count, n: 10 * count, "1e4*2n": lambda count, n: 20_000 * n}
+
+
+def measures_np(x: np.ndarray, probes: int, tries: int, *key: int, boxes: tuple[np.ndarray, np.ndarray] | None = None) -> dict[str, float]:
+    """Discrepancy, lower and upper bound of the radius, and the radius where it is affordable; ``boxes`` are a design's own strata, else some are fitted."""
     n = x.shape[1]
-    out = {"discrepancy": math.sqrt(max(0.0, discrepancy.discrepancy_of(x))), "lower": covering.lower_np(x, probes, *key), "upper": fitted.fitted_upper_np(x, tries, *key)}
+    upper = covering.upper_np(x, *boxes) if boxes is not None else fitted.fitted_upper_np(x, tries, *key)
+    out = {"discrepancy": math.sqrt(max(0.0, discrepancy.discrepancy_of(x))), "lower": covering.lower_np(x, probes, *key), "upper": upper}
     if planner.covering_method(len(x), n) == "exact":
         out["exact"] = covering.covering_exact_nd(x)
     return out
 
 
-def measure_rows(spark: SparkSession, count: int, dims: Sequence[int], reps: int, methods: Sequence[str] = MEASURED, probes: int | None = None, tries: int = 10) -> DataFrame:
-    """(method, n, count, rep, measure, value) of every replicated design; grids only where count is a power that fits."""
+def measure_rows(spark: SparkSession, count: int, dims: Sequence[int], reps: int, methods: Sequence[str] = MEASURED, probes: str = "10N", tries: int = 10) -> DataFrame:
+    """(method, n, count, rep, measure, value) of every replicated design; grids only where count is a power that fits.
+
+    Two-way split designs are bounded by their own strata, others by fitted ones.
+    """
     tables = {n: generators_for(spark, methods, count, n) for n in dims}
     jobs = [(m, n, r) for r in range(reps) for n in dims for m in methods if not m.startswith("grid") or planner.stratifier(count, n) == "grid"]
 
     def work(method: str, n: int, rep: int) -> list[tuple]:
         x = make_design(method, count, n, tables[n], SEED, 2, n, rep)
-        return [(method, n, count, rep, k, v) for k, v in measures_np(x, probes or 10 * count, tries, SEED, 3, n, rep).items()]
+        # the points of a plain split design lie in the strata of the same key
+        boxes = _strata_np(count, n, SEED, 2, n, rep) if method.startswith("bsplit:") else None
+        return [(method, n, count, rep, k, v) for k, v in measures_np(x, PROBES[probes](count, n), tries, SEED, 3, n, rep, boxes=boxes).items()]
 
     return replicate(spark, jobs, "method string, n int, rep int", work, "method string, n int, count long, rep int, measure string, value double")
 
 
-def measure_table(spark: SparkSession, count: int, dims: Sequence[int], reps: int, methods: Sequence[str] = MEASURED) -> DataFrame:
+def measure_table(spark: SparkSession, count: int, dims: Sequence[int], reps: int, methods: Sequence[str] = MEASURED, probes: str = "10N", tries: int = 10) -> DataFrame:
     """Mean of every measure per method and dimension, with a flag for methods that no other beats in discrepancy and radius at once."""
     from pyspark.sql.window import Window
 
-    rows = measure_rows(spark, count, dims, reps, methods)
+    rows = measure_rows(spark, count, dims, reps, methods, probes, tries)
     wide = rows.groupBy("n", "method").pivot("measure", ["discrepancy", "lower", "exact", "upper"]).agg(F.avg("value"))
     wide = wide.withColumn("radius", F.coalesce("exact", "upper"))
     best_before = F.min("radius").over(Window.partitionBy("n").orderBy("discrepancy").rowsBetween(Window.unboundedPreceding, -1))
     return wide.withColumn("front", F.coalesce(F.col("radius") < best_before, F.lit(True)))
 
 
-def discrepancy_sweep(spark: SparkSession, dims: Sequence[int], sizes: Sequence[int], reps: int | None = None, methods: Sequence[str] = MEASURED) -> DataFrame:
-    """Median discrepancy with its 95 % interval per method, dimension and size."""
+def discrepancy_sweep(spark: SparkSession, dims: Sequence[int], sizes: Sequence[int], reps: int | None = None, methods: Sequence[str] = MEASURED, measure: str = "discrepancy", tries: int = 3) -> DataFrame:
+    """Median discrepancy or covering radius with its 95 % interval per method, dimension and size.
+
+    The radius is exact where ``planner.covering_method`` says so, else the upper
+    bound by a design's own strata or by fitted ones.
+    """
+    if measure not in ("discrepancy", "radius"):
+        raise ValueError("measure is discrepancy or radius")
     tables = {(n, c): generators_for(spark, methods, c, n) for n in dims for c in sizes}
     jobs = [(m, n, c, r) for n in dims for c in sizes for r in range(reps or max(1, 400 // n)) for m in methods if not m.startswith("grid") or planner.stratifier(c, n) == "grid"]
 
     def work(method: str, n: int, c: int, rep: int) -> list[tuple]:
-        x = make_design(method, c, n, tables[n, c], SEED, 4, n, c, rep)
-        return [(method, n, c, math.sqrt(max(0.0, discrepancy.discrepancy_of(x))))]
+        key = (SEED, 4, n, c, rep)
+        x = make_design(method, c, n, tables[n, c], *key)
+        if measure == "discrepancy":
+            value = math.sqrt(max(0.0, discrepancy.discrepancy_of(x)))
+        elif planner.covering_method(c, n) == "exact":
+            value = covering.covering_exact_nd(x)
+        else:
+            value = covering.upper_np(x, *_strata_np(c, n, *key)) if method.startswith("bsplit:") else fitted.fitted_upper_np(x, tries, *key)
+        return [(method, n, c, value)]
 
     rows = replicate(spark, jobs, "method string, n int, count int, rep int", work, "method string, n int, count int, value double")
     named = rows.withColumnRenamed("n", "dims").withColumnRenamed("count", "size")
@@ -204,13 +228,16 @@ def radius_bounds(spark: SparkSession, dims: Sequence[int], sizes: Sequence[int]
     return replicate(spark, jobs, "dims int, count int", work, "dims int, count int, lower double, exact double, upper double, normalized double")
 
 
-def rule_measures(spark: SparkSession, dims: Sequence[int], sizes: Iterable[int], exact_dims: int = 2) -> DataFrame:
-    """(dims, count, with_rule, without_rule): radius of stratum centres, exact up to ``exact_dims`` axes, else the upper bound; fixed mode."""
+def rule_measures(spark: SparkSession, dims: Sequence[int], sizes: Iterable[int], exact_dims: int = 2, mode: str = "keyed") -> DataFrame:
+    """(dims, count, with_rule, without_rule): radius of stratum centres, exact up to ``exact_dims`` axes, else the upper bound.
+
+    Random (keyed) splits as published, each side with draws of its own; or fixed ones.
+    """
 
     def work(n: int, count: int) -> list[tuple]:
         found = []
         for rule in (True, False):
-            lo, hi = strata.bsplit_np(count, n, rule)
+            lo, hi = _strata_np(count, n, SEED, 9, n, count, int(rule), avoid_odd=rule) if mode == "keyed" else strata.bsplit_np(count, n, rule)
             x = (lo + hi) / 2
             found.append(covering.covering_exact_nd(x) if n <= exact_dims else covering.upper_np(x, lo, hi))
         return [(n, count, *found)]
@@ -219,8 +246,8 @@ def rule_measures(spark: SparkSession, dims: Sequence[int], sizes: Iterable[int]
     return replicate(spark, jobs, "dims int, count int", work, "dims int, count int, with_rule double, without_rule double")
 
 
-def rule_table(spark: SparkSession, dims: Sequence[int], sizes: Iterable[int], exact_dims: int = 2) -> DataFrame:
-    return stats.contest(rule_measures(spark, dims, list(sizes), exact_dims), ["dims"], "with_rule", "without_rule")
+def rule_table(spark: SparkSession, dims: Sequence[int], sizes: Iterable[int], exact_dims: int = 2, mode: str = "keyed") -> DataFrame:
+    return stats.contest(rule_measures(spark, dims, list(sizes), exact_dims, mode), ["dims"], "with_rule", "without_rule")
 
 
 def oversample_select(spark: SparkSession, count: int, n: int, factor: int = 20) -> DataFrame:
@@ -239,7 +266,7 @@ def oversample_select(spark: SparkSession, count: int, n: int, factor: int = 20)
 # optimization
 
 
-OPTIMIZERS = ("srs", "lhs", "radinv", "power_lattice", "bsplit:1", "bsplit:inf", "bsplit_cog")
+OPTIMIZERS = ("srs", "lhs", "radinv", "power_lattice_latin", "bsplit:1", "bsplit:inf", "bsplit_cog")
 OBJECTIVES = ("sphere", "rosenbrock", "double_sum", "trigonometric")
 
 
