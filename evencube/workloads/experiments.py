@@ -246,8 +246,9 @@ def rule_measures(spark: SparkSession, dims: Sequence[int], sizes: Iterable[int]
     return replicate(spark, jobs, "dims int, count int", work, "dims int, count int, with_rule double, without_rule double")
 
 
-def rule_table(spark: SparkSession, dims: Sequence[int], sizes: Iterable[int], exact_dims: int = 2, mode: str = "keyed") -> DataFrame:
-    return stats.contest(rule_measures(spark, dims, list(sizes), exact_dims, mode), ["dims"], "with_rule", "without_rule")
+def rule_table(spark: SparkSession, dims: Sequence[int], sizes: Iterable[int], exact_dims: int = 2, mode: str = "keyed", tie: float = 0.0) -> DataFrame:
+    """(dims, wins, ties, losses) of the rule; as published, ties are equal to the last bit unless ``tie`` says otherwise."""
+    return stats.contest(rule_measures(spark, dims, list(sizes), exact_dims, mode), ["dims"], "with_rule", "without_rule", tie)
 
 
 def oversample_select(spark: SparkSession, count: int, n: int, factor: int = 20) -> DataFrame:

@@ -471,7 +471,7 @@ _experiment("integrate_spread", lambda e, s: e.integration_spread(s, "plate", re
 _experiment("integrate_spread_100d", lambda e, s: e.integration_spread(s, "hundred", reps=8))
 _experiment("measure_table", lambda e, s: e.measure_table(s, count=100, dims=(2, 5), reps=4))
 _experiment("discrepancy_sweep", lambda e, s: e.discrepancy_sweep(s, dims=(2, 3), sizes=(16, 64, 256, 1024, 4096), reps=8))
-_experiment("radius_sweep", lambda e, s: e.discrepancy_sweep(s, dims=(2, 3), sizes=(16, 64, 256), reps=8, measure="radius"))
+_experiment("radius_sweep", lambda e, s: e.discrepancy_sweep(s, dims=(2, 3), sizes=(16, 64), reps=8, measure="radius"))
 _experiment("radius_bounds", lambda e, s: e.radius_bounds(s, dims=(2, 3, 4), sizes=(4, 9, 16, 25, 36)))
 _experiment("optimum_gaps", lambda e, s: e.optimum_gaps(s, dims=(2, 4, 8), reps=20))
 _experiment("rule_contest", lambda e, s: e.rule_table(s, dims=tuple(range(2, 11)), sizes=range(4, 129), exact_dims=2))

@@ -6,10 +6,11 @@ from pathlib import Path
 
 sys.path.insert(0, str(Path(__file__).resolve().parent.parent))
 
+import numpy as np
 from compare import session
 from pyspark.sql import functions as F
 
-from evencube.operators import covering, strata
+from evencube.operators import covering, designs, discrepancy, fitted, latin, strata
 from evencube.workloads import experiments as e
 
 #: Published spreads (plate: standard deviation; hundred: three integrands).
@@ -34,6 +35,20 @@ HUNDRED = {
 CONTEST = {2: (822, 96, 102), 3: (610, 96, 314), 4: (800, 94, 126), 5: (698, 120, 202), 6: (720, 167, 133), 7: (712, 271, 37), 8: (517, 466, 37), 9: (136, 807, 77), 10: (142, 778, 100)}
 
 
+#: Sizes that run times are compared over, and what is timed at each.
+GROWTH = (1000, 2000, 4000, 8000)
+RUNS = {
+    "two-way splits, n = 6": lambda c: strata.bsplit_np(c, 6),
+    "centre order, n = 2": lambda c: latin.latin_np(*strata.bsplit_np(c, 2), "cog", 1),
+    "perfect matching, n = 2": lambda c: latin.latin_np(*strata.bsplit_np(c, 2), "random_greedy", 1),
+    "upper bound by own strata, n = 6": lambda c: covering.upper_np(designs.srs_np(c, 6, 1), *strata.bsplit_np(c, 6)),
+    "fitted partition, n = 6": lambda c: fitted.fitted_upper_np(designs.srs_np(c, 6, 1), 1, 1),
+    "discrepancy by pairs, n = 6": lambda c: discrepancy.discrepancy_np(designs.srs_np(c, 6, 1)),
+    "lower bound, ten probes a point, n = 6": lambda c: covering.lower_np(designs.srs_np(c, 6, 1), 10 * c, 1),
+    "pick by splitting, 20 points a pick, n = 2": lambda c: fitted.pick_np(designs.srs_np(20 * c, 2, 1), c),
+}
+
+
 def timed(title: str, make) -> list:
     began = time.time()
     rows = make()
@@ -58,19 +73,23 @@ def main(reps: int) -> None:
     print("n | with, ties, without | published\n-|-|-")
     for r in rows:
         print(f"{r.dims} | {r.wins}, {r.ties}, {r.losses} | {', '.join(map(str, CONTEST[r.dims]))}")
-    rows = timed("Exact radius in two dimensions, every fifth size to 1024", lambda: e.rule_table(spark, (2,), range(4, 1025, 5), exact_dims=2).collect())
-    print(f"with, ties, without: {rows[0].wins}, {rows[0].ties}, {rows[0].losses}")
-    rows = timed("Upper bound over exact radius", lambda: covering.bound_tightness(e.radius_bounds(spark, (2,), range(5, 1025, 17)).withColumnRenamed("dims", "n")).collect())
-    print("; ".join(f"n={r.n}: exact for {r.tight:.0%}, mean ratio {r.mean_ratio:.3f}" for r in rows))
+    rows = timed("Exact radius, n = 2 and 3, every 17th size to 1024", lambda: e.rule_table(spark, (2, 3), range(4, 1025, 17), exact_dims=3).orderBy("dims").collect())
+    print("; ".join(f"n={r.dims}: with, ties, without {r.wins}, {r.ties}, {r.losses}" for r in rows))
+    for n, step in ((2, 9), (3, 51)):
+        rows = timed(f"Upper bound over exact radius, n = {n}, every {step}th size", lambda n=n, step=step: covering.bound_tightness(e.radius_bounds(spark, (n,), range(4, 1025, step)).withColumnRenamed("dims", "n")).collect())
+        print("; ".join(f"n={r.n}: exact within 1e-9 for {r.tight:.0%}, to the last bit for {r.equal:.0%}, mean ratio {r.mean_ratio:.3f}" for r in rows))
     rows = timed("Measures, 100 points, 25 replications", lambda: e.measure_table(spark, 100, (2, 5, 10), 25).orderBy("n", "discrepancy").collect())
     print("n | design | discrepancy | radius or its bound | front\n-|-|-|-|-")
     for r in rows:
         print(f"{r.n} | {r.method} | {r.discrepancy:.3e} | {r.radius:.4f} | {'yes' if r.front else ''}")
-    print("\n### Run time of stratification\n")
-    for count in (100_000, 200_000, 400_000, 800_000):
-        began = time.time()
-        strata.bsplit_np(count, 6)
-        print(f"{count}: {time.time() - began:.2f} s, {(time.time() - began) / count * 1e6:.2f} us a stratum")
+    print("\n### Run time against the number of points\n\nmethod | " + " | ".join(map(str, GROWTH)) + " | power\n-|-|-|-|-|-")
+    for name, run in RUNS.items():
+        took = []
+        for count in GROWTH:
+            began = time.time()
+            run(count)
+            took.append(time.time() - began)
+        print(name, "|", " | ".join(f"{t:.3f}" for t in took), "|", f"{np.polyfit(np.log(GROWTH), np.log(took), 1)[0]:.2f}")
     rows = timed("Best of 50 n points, mean gap", lambda: e.optimum_gap_rows(spark, (2, 4, 8, 16), max(20, reps // 5), candidates=200).groupBy("n", "objective").pivot("method").agg(F.avg("gap")).orderBy("objective", "n").collect())
     for r in rows:
         d = r.asDict()
