@@ -13,7 +13,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evencube.llm.common import durable, shared_folder, table
+from evencube.llm.common import durable, shared_folder, spent_shuffles, table
 from evencube.llm.decontam import find_contamination
 from evencube.llm.neardup import near_duplicates
 from evencube.llm.packing import pack
@@ -96,7 +96,8 @@ STAGES = [
 
 
 def _written(df: DataFrame, folder: str) -> DataFrame:
-    df.write.parquet(folder)
+    with spent_shuffles(df.sparkSession):
+        df.select("*").write.parquet(folder)
     return df.sparkSession.read.schema(df.schema).parquet(folder)
 
 
