@@ -22,3 +22,24 @@ def test_quantiles_over_several_ranges(spark, monkeypatch):
     assert "percentile_disc" not in got._jdf.queryExecution().toString()
     none = tf.quantiles(rows.where("v is null"), "v", [0.5, 0.9]).collect()
     assert [(x.probability, x.value) for x in sorted(none)] == [(0.5, None), (0.9, None)]
+
+
+@pytest.mark.parametrize("n", [1, 2, 3, 4])
+def test_discrepancy_in_blocks_is_that_of_all_pairs(spark, monkeypatch, n):
+    from evencube.operators import discrepancy
+
+    monkeypatch.setattr(discrepancy, "TILED", 50)
+    monkeypatch.setattr(discrepancy, "BLOCK", 60)
+    monkeypatch.setattr(discrepancy, "_pair_sums", None)  # no tile of pairs is formed
+    r = np.random.default_rng(n)
+    x = r.random((400, n))
+    x[:, 0] = np.round(x[:, 0] * 3) / 3 if n > 1 else x[:, 0]
+    x = np.r_[x, x[:50], np.ones((1, n)), np.zeros((1, n))]
+    rows = spark.createDataFrame([(k, [float(a) for a in p]) for k, p in enumerate(x)] + [(999, None)], "point_id long, x array<double>")
+    row = discrepancy.discrepancy(rows.repartition(3), n).first()
+    kernel = np.ones((len(x), len(x)))
+    for d in range(n):
+        p, q = x[:, d, None], x[None, :, d]
+        kernel *= np.minimum(p, q) * (1 - np.maximum(p, q))
+    want = kernel.mean() - 2.0 ** (1 - n) * (x * (1 - x)).prod(axis=1).mean() + 12.0**-n
+    assert row["count"] == len(x) and row.discrepancy_sq == pytest.approx(want, abs=1e-13)
