@@ -43,3 +43,24 @@ def test_discrepancy_in_blocks_is_that_of_all_pairs(spark, monkeypatch, n):
         kernel *= np.minimum(p, q) * (1 - np.maximum(p, q))
     want = kernel.mean() - 2.0 ** (1 - n) * (x * (1 - x)).prod(axis=1).mean() + 12.0**-n
     assert row["count"] == len(x) and row.discrepancy_sq == pytest.approx(want, abs=1e-13)
+
+
+@pytest.mark.parametrize("n", [2, 5])
+def test_equal_points_form_no_pairs_of_rows(spark, monkeypatch, n):
+    from evencube.operators import discrepancy
+
+    seen, tiles = spark.sparkContext.accumulator(0), discrepancy._pair_sums
+
+    def counted(a, b, *w):
+        seen.add(len(a) * len(b))
+        return tiles(a, b, *w)
+
+    monkeypatch.setattr(discrepancy, "TILE", 8)
+    monkeypatch.setattr(discrepancy, "_pair_sums", counted)
+    x = np.random.default_rng(n).random((20, n))
+    times = np.arange(1, 21)
+    rows = spark.createDataFrame([([float(a) for a in p], int(t)) for p, t in zip(x, times)], "x array<double>, t int")
+    row = discrepancy.discrepancy(rows.selectExpr("explode(array_repeat(x, t)) AS x").repartition(3), n).first()
+    # 20 points in tiles, not 210 rows
+    assert row["count"] == times.sum() == 210 and 0 < seen.value <= 400
+    assert row.discrepancy_sq == pytest.approx(discrepancy.discrepancy_np(np.repeat(x, times, axis=0)), abs=1e-13)
